@@ -132,7 +132,7 @@ def digest(spans: Column) -> Column:
 
 
 def mask(docs: DataFrame, kinds: tuple[Kind, ...] = KINDS, threshold: float = THRESHOLD) -> DataFrame:
-    """The rows with every span of ``text`` replaced by its kind in brackets; overlapping spans go under the first one's."""
+    """The rows with every span of ``text`` replaced by its kind in brackets, and n_chars, if there, after it; overlapping spans go under the first one's."""
     zero = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
     text = F.col("text").cast("string")
 
@@ -144,4 +144,7 @@ def mask(docs: DataFrame, kinds: tuple[Kind, ...] = KINDS, threshold: float = TH
 
     rebuilt = F.aggregate("pii_spans", zero, step, lambda s: F.concat(s["out"], text.substr(s["at"] + 1, F.char_length(text))))
     found = detect(docs, kinds, threshold)
-    return found.withColumn("text", F.when(F.size("pii_spans") > 0, rebuilt).otherwise(text)).drop("pii_spans")
+    masked = found.withColumn("text", F.when(F.size("pii_spans") > 0, rebuilt).otherwise(text))
+    if "n_chars" in docs.columns:
+        masked = masked.withColumn("n_chars", F.when(F.size("pii_spans") > 0, F.char_length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType))
+    return masked.drop("pii_spans")

@@ -154,6 +154,17 @@ def train(docs: DataFrame, labels: DataFrame, most: int = MOST) -> tuple[np.ndar
     return (np.frombuffer(model[0]["weights"], dtype="<f4"), model[0]["bias"]) if model else (np.zeros(BUCKETS, dtype=np.float32), float(np.log(share / (1 - share))))
 
 
+def _scores(column: pa.Array, weights: np.ndarray, bias: float) -> np.ndarray:
+    """The probability of label 1 for each text."""
+    split = words(column)
+    features, bounds = word_features(split.vocabulary)
+    running = np.concatenate([[0.0], np.cumsum(weights[features], dtype=np.float64)])
+    by_word, sizes = running[bounds[1:]] - running[bounds[:-1]], np.diff(bounds)
+    rows = len(split.bounds) - 1
+    sums, counts = (np.bincount(split.owners, x[split.codes], rows) for x in (by_word, sizes.astype(np.float64)))
+    return 1 / (1 + np.exp(-np.clip(bias + sums / np.maximum(1, counts), -30, 30)))
+
+
 def scored(docs: DataFrame, model: tuple[np.ndarray, float]) -> DataFrame:
     """(doc_id, score) of every document."""
     weights, bias = model
@@ -162,18 +173,24 @@ def scored(docs: DataFrame, model: tuple[np.ndarray, float]) -> DataFrame:
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in slices(whole):
-                split = words(batch.column("text"))
-                features, bounds = word_features(split.vocabulary)
-                running = np.concatenate([[0.0], np.cumsum(sent.value[features], dtype=np.float64)])
-                by_word, sizes = running[bounds[1:]] - running[bounds[:-1]], np.diff(bounds)
-                rows = len(split.bounds) - 1
-                sums, counts = (np.bincount(split.owners, x[split.codes], rows) for x in (by_word, sizes.astype(np.float64)))
-                odds = np.clip(bias + sums / np.maximum(1, counts), -30, 30)
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(1 / (1 + np.exp(-odds)))], names=["doc_id", "score"])
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(_scores(batch.column("text"), sent.value, bias))], names=["doc_id", "score"])
 
     return map_arrow(docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text")), score, "doc_id bigint, score double")
 
 
+def accepted(docs: DataFrame, labels: DataFrame, least: float = PREDICTED_FROM, most: int = MOST) -> DataFrame:
+    """The documents that score at least so much, all columns as they are."""
+    weights, bias = train(docs, labels, most)
+    sent = docs.sparkSession.sparkContext.broadcast(weights)
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for batch in slices(whole):
+                yield batch.filter(pa.array(_scores(batch.column("text"), sent.value, bias) >= least))
+
+    return map_arrow(docs, keep, docs.schema)
+
+
 def classify(docs: DataFrame, labels: DataFrame, most: int = MOST) -> DataFrame:
     """(doc_id, held_out, score, predicted) of every document."""
     out = scored(docs, train(docs, labels, most))

@@ -313,3 +313,16 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = S
     final = of.select("node", "text_key").join(components(links), "node", "left").select("text_key", "node", F.coalesce("root", "node").alias("component_id"))
     out = found.select("doc_id", "text_key").join(final, "text_key", "left")
     return out.select("doc_id", "text_key", "component_id", F.coalesce(F.col("node") == F.col("component_id"), F.lit(False)).alias("keep"))
+
+
+def deduplicated(docs: DataFrame, width: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
+    """One document of each group of equal or similar texts, the one with the least doc_id, all columns as they are.
+
+    A row without a doc_id takes part under a negative number made from its text.
+    """
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    own = F.coalesce(F.col("doc_id").cast("bigint"), -1 - F.pmod(F.xxhash64(text), F.lit(1 << 62)))
+    kept = near_duplicates(docs.select(own.alias("doc_id"), text.alias("text")), width, similarity).where("keep")
+    chosen = kept.groupBy("text_key").agg(F.min("doc_id").alias("_dedup_id")).withColumnRenamed("text_key", "_dedup_key")
+    marked = docs.withColumns({"_dedup_id": own, "_dedup_key": F.md5(text)})
+    return marked.join(chosen, ["_dedup_id", "_dedup_key"], "left_semi").dropDuplicates(["_dedup_id", "_dedup_key"]).select(*docs.columns)
