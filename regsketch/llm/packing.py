@@ -13,6 +13,9 @@ are packed as documents of their own; extra columns are ignored.
 
 from __future__ import annotations
 
+import json
+import os
+import re
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -37,6 +40,63 @@ PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigin
 
 _tokenizers: dict = {}
 
+#: How the tokenizer of the contract cuts lower-cased words into pieces.
+_PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+#: The same over ASCII and the letters of Latin-1, for which lower-casing and composition are plain.
+_PLAIN_WORD = re.compile("[!-~\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+")
+_PLAIN_PIECES = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-z\u00df-\u00f6\u00f8-\u00ff]+|[0-9]|[^\\sa-z0-9\u00df-\u00f6\u00f8-\u00ff]+")
+#: Stands for the end of a piece, which is part of the piece's last token.
+_END = "\x01"
+
+
+def _byte_letters() -> dict[str, int]:
+    """The printable letters that byte-level vocabularies write bytes as."""
+    shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    hidden = [b for b in range(256) if b not in shown]
+    return {chr(b): b for b in shown} | {chr(256 + k): b for k, b in enumerate(hidden)}
+
+
+class PlainWords:
+    """A faster encoder of plain words with the same merges: ends of pieces become a byte of their own, merged first."""
+
+    def __init__(self, spec: dict):
+        import tiktoken
+
+        letters, vocabulary = _byte_letters(), spec["model"]["vocab"]
+        ending = spec["model"]["end_of_word_suffix"]
+
+        def as_bytes(token: str) -> bytes:
+            end = token.endswith(ending)
+            return bytes(letters[c] for c in (token[: -len(ending)] if end else token)) + _END.encode() * end
+
+        ordered = [bytes([b]) for b in range(256)]
+        ordered += [as_bytes(t) for t in vocabulary if t.endswith(ending) and len(t) == len(ending) + 1]
+        ordered += [as_bytes("".join(m if isinstance(m, list) else m.split(" "))) for m in spec["model"]["merges"]]
+        ranks = {t: k for k, t in enumerate(ordered)}
+        special = {x["content"] for x in spec["added_tokens"]}
+        ids = {as_bytes(t): i for t, i in vocabulary.items() if t not in special}
+        self.ids = np.array([ids.get(t, 0) for t in ordered], dtype="<u4")
+        self.ends = np.array([t.endswith(_END.encode()) for t in ordered])
+        self.coder = tiktoken.Encoding("words", pat_str=f"[^\n{_END}]+{_END}", mergeable_ranks=ranks, special_tokens={})
+
+    @staticmethod
+    def of(spec: dict) -> PlainWords | None:
+        """One for tokenizers that cut and fold words as is known here."""
+        fold = [x.get("type") for x in (spec.get("normalizer") or {}).get("normalizers", [])]
+        cut_ = [x.get("pattern", {}).get("Regex") for x in (spec.get("pre_tokenizer") or {}).get("pretokenizers", [])]
+        same = fold == ["NFC", "Replace", "Lowercase"] and cut_[:1] == [_PIECES] and spec["model"].get("end_of_word_suffix")
+        return PlainWords(spec) if same else None
+
+    def encode(self, plain: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of the words in one array, and how many each has."""
+        marked = _PLAIN_PIECES.sub(rf"\g<0>{_END}", "\n".join(plain).lower())
+        seen = np.frombuffer(marked.encode("latin-1"), dtype=np.uint8)
+        ended = np.cumsum(seen == 1)
+        upto = np.append(ended[seen == 10], ended[-1])  # pieces up to each word's end
+        ranks = np.array(self.coder.encode_ordinary(marked), dtype=np.int64)
+        bounds = np.flatnonzero(self.ends[ranks])[upto - 1] + 1
+        return self.ids[ranks], np.diff(bounds, prepend=0)
+
 
 class WordTokenizer:
     """Token ids of texts by way of their distinct words.
@@ -45,17 +105,13 @@ class WordTokenizer:
     ids of a text are then the ids of its words, one after another.
     """
 
-    #: A character that is one token where it stands alone, and part of that token nowhere else.
-    MARK = "\u2665"
-
     def __init__(self, path: str):
-        import os
-
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        (self.mark,) = self.tokenizer.encode(self.MARK, add_special_tokens=False).ids
+        with open(path, encoding="utf-8") as spec:
+            self.plain = PlainWords.of(json.load(spec))
         self._forget()
 
     @classmethod
@@ -71,23 +127,18 @@ class WordTokenizer:
         self.bounds = np.zeros(1, dtype=np.int64)
 
     def _learn(self, new: list[str]) -> None:
-        """Remember the ids of new words: many words in one text, marks between them."""
-        encode = getattr(self.tokenizer, "encode_batch_fast", self.tokenizer.encode_batch)
-        plain = [w for w in new if self.MARK not in w]
-        between = f"\n{self.MARK}\n"
-        blocks = [between.join(plain[i : i + 1000]) for i in range(0, len(plain), 1000)]
+        """Remember the ids of new words."""
+        fits = [bool(self.plain and _PLAIN_WORD.fullmatch(w) and "<|" not in w) for w in new]
+        plain, other = [w for w, f in zip(new, fits, strict=True) if f], [w for w, f in zip(new, fits, strict=True) if not f]
         ids, lengths = [self.flat], []
-        for block in blocks:
-            (coded,) = encode([block], add_special_tokens=False)
-            own = np.array(coded.ids, dtype="<u4")
-            marks = np.flatnonzero(own == self.mark)
-            lengths.append(np.diff(np.concatenate([[-1], marks, [len(own)]])) - 1)
-            ids.append(np.delete(own, marks))
-        marked = [w for w in new if self.MARK in w]
-        for coded in encode(marked, add_special_tokens=False) if marked else []:
+        for i in range(0, len(plain), 20_000):
+            own, counts = self.plain.encode(plain[i : i + 20_000])
+            ids.append(own)
+            lengths.append(counts)
+        for coded in self.tokenizer.encode_batch(other, add_special_tokens=False) if other else []:
             ids.append(np.array(coded.ids, dtype="<u4"))
-            lengths.append(np.array([len(ids[-1])]))
-        self.known.update(zip(plain + marked, range(len(self.known), len(self.known) + len(new)), strict=True))
+            lengths.append(np.array([len(coded.ids)]))
+        self.known.update(zip(plain + other, range(len(self.known), len(self.known) + len(new)), strict=True))
         self.flat = np.concatenate(ids)
         self.bounds = np.concatenate([self.bounds, self.bounds[-1] + np.cumsum(np.concatenate(lengths))])
 
