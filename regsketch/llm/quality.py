@@ -26,7 +26,9 @@ from .labelled import remainder, sample, shares
 from .textbatch import Words, code_points, expanded, slices, words
 
 BUCKETS, DIMENSIONS, GRAMS = 1 << 17, 12, (3, 4, 5)
-EPOCHS, RATE, MOST, SEED = 8, 0.6, 6000, 7
+EPOCHS, RATE, MOST, SEED = 8, 0.6, 5000, 7
+#: Bytes of text at once; the n-grams of its different words take some fifty times as much for a moment.
+SLICE = 1 << 20
 MODULUS, HELD_OUT, PREDICTED_FROM = 4, 2, 0.7
 
 _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -76,7 +78,7 @@ def _documents(split: Words) -> list[tuple[np.ndarray, np.ndarray]]:
         codes = split.codes[split.bounds[i] : split.bounds[i + 1]]
         own = features[expanded(bounds[codes], bounds[codes + 1] - bounds[codes])]
         bucket, count = np.unique(own, return_counts=True)
-        out.append((bucket, (count / max(1, len(own))).astype(np.float32)))
+        out.append((bucket.astype(np.int32), (count / max(1, len(own))).astype(np.float32)))
     return out
 
 
@@ -131,7 +133,7 @@ def train(docs: DataFrame, labels: DataFrame, most: int = MOST) -> tuple[np.ndar
     def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         documents, y, ids = [], [], []
         for whole in batches:
-            for batch in slices(whole):
+            for batch in slices(whole, limit=SLICE):
                 documents += _documents(words(batch.column("text")))
                 y += batch.column("y").to_pylist()
                 ids += batch.column("doc_id").to_pylist()
@@ -172,7 +174,7 @@ def scored(docs: DataFrame, model: tuple[np.ndarray, float]) -> DataFrame:
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in slices(whole):
+            for batch in slices(whole, limit=SLICE):
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(_scores(batch.column("text"), sent.value, bias))], names=["doc_id", "score"])
 
     return map_arrow(docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text")), score, "doc_id bigint, score double")
@@ -185,7 +187,7 @@ def accepted(docs: DataFrame, labels: DataFrame, least: float = PREDICTED_FROM,
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in slices(whole):
+            for batch in slices(whole, limit=SLICE):
                 yield batch.filter(pa.array(_scores(batch.column("text"), sent.value, bias) >= least))
 
     return map_arrow(docs, keep, docs.schema)
