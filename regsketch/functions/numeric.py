@@ -145,4 +145,5 @@ def joint_ml_bfgs(stat: dict[str, np.ndarray], p: int, q: int, tolerance: float
     rates = np.exp(phi)
     if rates[2] < 0.5 and joint_terms(stat, np.array([rates[0], rates[1], 1e-9]), p, q)[0] >= value - 1e-9 * abs(value):
         rates[2] = 0.0
+    rates[rates < 1e-6] = 0.0
     return float(rates[0]), float(rates[1]), float(rates[2]), rounds, bool(known)

@@ -210,13 +210,23 @@ def unpack(r2: DataFrame, keys: list[str] | None = None, bits: int = 8) -> DataF
     return r2.select(*keys, F.explode(opened("regs")).alias("x")).select(*keys, "x.idx", "x.reg")
 
 
-def snapshots(df: DataFrame, item: str, order: str, grid: list[int], spec: SketchSpec) -> DataFrame:
-    """(bucket, idx, reg) of the sketch over all rows with ``order`` below each grid value, in one pass: bucket maxima, then running ones."""
+def running(r1: DataFrame, buckets: int, keys: list[str] | None = None) -> DataFrame:
+    """R1 by (keys, bucket) made cumulative over buckets 0 to ``buckets`` - 1."""
     from pyspark.sql import Window
 
-    bucket = fold(lambda c, k: F.when(F.col(order) < grid[k], F.lit(k)).otherwise(c), range(len(grid) - 1, -1, -1), F.lit(None).cast("int"))
-    own = build(df.withColumn("bucket", bucket).where("bucket is not null"), item, spec, ["bucket"])
-    spread = own.groupBy("idx").agg(F.map_from_entries(F.collect_list(F.struct("bucket", "reg"))).alias("by"))  # at most len(grid) entries each
-    full = spread.select("idx", "by", F.explode(F.sequence(F.lit(0), F.lit(len(grid) - 1))).alias("bucket")).select("idx", "bucket", F.try_element_at("by", F.col("bucket")).alias("reg"))
-    running = F.max("reg").over(Window.partitionBy("idx").orderBy("bucket").rowsBetween(Window.unboundedPreceding, 0))
-    return full.withColumn("reg", running).where("reg is not null").select("bucket", "idx", "reg")
+    keys = keys or []
+    spread = r1.groupBy(*keys, "idx").agg(F.map_from_entries(F.collect_list(F.struct("bucket", "reg"))).alias("by"))  # an entry for each bucket at most
+    full = spread.select(*keys, "idx", "by", F.explode(F.sequence(F.lit(0), F.lit(buckets - 1))).alias("bucket")).select(*keys, "idx", "bucket", F.try_element_at("by", F.col("bucket")).alias("reg"))
+    upto = F.max("reg").over(Window.partitionBy(*keys, "idx").orderBy("bucket").rowsBetween(Window.unboundedPreceding, 0))
+    return full.withColumn("reg", upto).where("reg is not null").select(*keys, "bucket", "idx", "reg")
+
+
+def grid_bucket(order: Column, grid: list[int]) -> Column:
+    """The number of the first grid value above ``order``; null beyond the last."""
+    return fold(lambda c, k: F.when(order < grid[k], F.lit(k)).otherwise(c), range(len(grid) - 1, -1, -1), F.lit(None).cast("int"))
+
+
+def snapshots(df: DataFrame, item: str, order: str, grid: list[int], spec: SketchSpec) -> DataFrame:
+    """(bucket, idx, reg) of the sketch over all rows with ``order`` below each grid value, in one pass: bucket maxima, then running ones."""
+    own = build(df.withColumn("bucket", grid_bucket(F.col(order), grid)).where("bucket is not null"), item, spec, ["bucket"])
+    return running(own, len(grid))
