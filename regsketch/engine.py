@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -31,7 +33,9 @@ class RegSketch:
         found = self.estimate(self.sketch(df, item, by), by, method)
         if not by:
             return found
-        return df.select(*by).distinct().join(found, [df[k].eqNullSafe(found[k]) for k in by], "left").select(*(df[k] for k in by), F.coalesce(found["estimate"], F.lit(0.0)).alias("estimate"))
+        found = found.withColumnsRenamed({k: f"_of_{k}" for k in by})
+        every = df.select(*by).distinct().join(found, reduce(lambda a, b: a & b, (F.col(k).eqNullSafe(F.col(f"_of_{k}")) for k in by)), "left")
+        return every.select(*by, F.coalesce("estimate", F.lit(0.0)).alias("estimate"))
 
     def rollup(self, r1: DataFrame, keep: list[str]) -> DataFrame:
         return S.rollup(r1, keep)

@@ -170,14 +170,14 @@ def infer_spec(spark, d):
     return vectors(lineitem(spark, d), "l_orderkey", SPEC, []).select(p.alias("p"), q.alias("q"))
 
 
-_CUT = F.col("l_shipdate") < F.lit("1999-01-01").cast("timestamp")
+_EARLY, _LATE = "l_shipdate < TIMESTAMP '1999-01-01 00:00:00'", "l_shipdate >= TIMESTAMP '1999-01-01 00:00:00'"
 
 
 @query("sketch_append", O.registers(LINE, [], 8, 20))
 def sketch_append(spark, d):
     """A sketch of the earlier rows with the later ones added is the sketch of all."""
     line, spec = lineitem(spark, d), SketchSpec(8, 20, "md5_64")
-    return S.append(S.build(line.where(_CUT), "l_orderkey", spec), line.where(~_CUT), "l_orderkey", spec, drop_known=True)
+    return S.append(S.build(line.where(_EARLY), "l_orderkey", spec), line.where(_LATE), "l_orderkey", spec, drop_known=True)
 
 
 _OLD = O.registers(f"{LINE} WHERE l_shipdate < TIMESTAMP '1999-01-01'", [], 8, 20)
@@ -187,7 +187,7 @@ _NEW = O.updates(f"{LINE} WHERE l_shipdate >= TIMESTAMP '1999-01-01'", [], 8, 20
 @query("append_pruning", f"WITH k AS (SELECT CASE WHEN count(*) = 256 THEN min(reg) ELSE 0 END AS k_min FROM ({_OLD})) SELECT count(*) AS rows_in, count(*) FILTER (WHERE rank > k_min) AS rows_kept, any_value(k_min)::INT AS k_min FROM ({_NEW}), k")
 def append_pruning(spark, d):
     line, spec = lineitem(spark, d), SketchSpec(8, 20, "md5_64")
-    return S.append_pruning(S.build(line.where(_CUT), "l_orderkey", spec), line.where(~_CUT), "l_orderkey", spec)
+    return S.append_pruning(S.build(line.where(_EARLY), "l_orderkey", spec), line.where(_LATE), "l_orderkey", spec)
 
 
 GRID = [4**k for k in range(2, 10)]

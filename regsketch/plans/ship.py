@@ -31,7 +31,27 @@ def ship(spark: SparkSession) -> None:
     _shipped[context.applicationId] = top
 
 
+def released() -> None:
+    """Give memory that Arrow and the C library keep for later back to the system: a worker serves many tasks beside the JVM."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except OSError:  # another C library
+        pass
+
+
 def map_arrow(df: DataFrame, function, schema: str) -> DataFrame:
-    """``df.mapInArrow`` with this package at hand in the workers."""
+    """``df.mapInArrow`` with this package at hand in the workers, which give memory back after each task."""
     ship(df.sparkSession)
-    return df.mapInArrow(function, schema)
+
+    def run(batches):
+        try:
+            yield from function(batches)
+        finally:
+            released()
+
+    return df.mapInArrow(run, schema)
