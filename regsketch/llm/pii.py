@@ -3,7 +3,8 @@
 A pattern proposes spans; a validator (octet range, Luhn, mod-97, digit count) confirms
 them; words shortly before raise or lower the score. Spans of the base kinds stay
 whatever their score; those of the further kinds stay from ``THRESHOLD`` on, and
-where they do not overlap a base span. Offsets are code points, end exclusive.
+where they overlap neither a base span nor one of a kind listed before. Two of these find
+what a base pattern loses by running on into digits that follow. Offsets are code points, end exclusive.
 
 Defined results: a null or empty text has no spans; a match that fails validation is
 dropped and not retried from within; every row is judged by itself, so repeated rows
@@ -18,6 +19,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .storage import free
+
 THRESHOLD = 0.5
 #: Code points before a span in which context words count.
 CONTEXT = 48
@@ -81,6 +84,8 @@ KINDS = (
     Kind("ip", r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", octets, True, 0.6, ".", r"\bip\b|address|host|server|login"),
     Kind("card", r"[0-9](?:[\x20-]?[0-9]){13,}+", lambda m: F.when(F.length(_digits(m)).between(14, 19), luhn(_digits(m))).otherwise(F.lit(False)), True, 0.8, "", r"card|credit|debit|visa|payment"),
     Kind("phone", r"\+[0-9][\x20().0-9-]+[0-9]", lambda m: F.length(_digits(m)).between(10, 15), True, 0.7, "+", r"phone|tel|call|mobile|fax"),
+    Kind("intl_phone", r"\+(?:[0-9]{10,15}|[0-9]{1,3}\x20?(?:\([0-9]{2,4}\)|[0-9]{2,4})[\x20.-][0-9]{3,4}[\x20.-][0-9]{3,4})(?![0-9])", lambda m: F.length(_digits(m)).between(10, 15), False, 0.7, "+", r"phone|tel|call|mobile|fax"),
+    Kind("plain_card", r"(?<![0-9])(?:[0-9]{14,19}|[0-9]{4}(?:[\x20-][0-9]{4}){3})(?![0-9])", lambda m: luhn(_digits(m)), False, 0.8, "", r"card|credit|debit|visa|payment"),
     Kind("iban", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}+(?![A-Za-z0-9])", mod97, False, 0.9, "", r"iban|account|bank|konto|compte|cuenta"),
     Kind("ssn", r"(?<![0-9A-Za-z-])(?!000|666|9)[0-9]{3}-(?!00)[0-9]{2}-(?!0000)[0-9]{4}(?![0-9A-Za-z-])", lambda m: F.lit(True), False, 0.3, "-", r"ssn|social security|tax id"),
     Kind("local_phone", r"(?<![0-9A-Za-z.+-])(?:\([0-9]{3}\)\x20?|[0-9]{3}[.\x20-])[0-9]{3}[.\x20-][0-9]{4}(?![0-9A-Za-z-])", lambda m: F.lit(True), False, 0.3, "", r"phone|tel|call|mobile|fax|whatsapp"),
@@ -112,18 +117,22 @@ def _found(text: Column, matches: Column, kind: Kind, rank: int) -> Column:
     return F.transform(F.filter(placed, lambda x: kind.valid(x["match"])), scored)
 
 
-def detect(docs: DataFrame, kinds: tuple[Kind, ...] = KINDS, threshold: float = THRESHOLD) -> DataFrame:
-    """The rows with column pii_spans: all spans by start, then kind as listed (SPAN)."""
+def detect(docs: DataFrame, kinds: tuple[Kind, ...] = KINDS, threshold: float = THRESHOLD, into: str = "pii_spans") -> DataFrame:
+    """The rows with a column of all spans by start, then kind as listed (SPAN); a column of that name is replaced."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     none = F.array().cast("array<string>")
-    matched = docs.withColumns({f"_pii_{k.name}": F.when(F.instr(text, k.hint) > 0, F.regexp_extract_all(text, F.lit(k.pattern), F.lit(0))).otherwise(none) if k.hint else F.regexp_extract_all(text, F.lit(k.pattern), F.lit(0)) for k in kinds})
+    own = {k.name: free(f"_pii_{k.name}", docs.columns) for k in kinds}
+    base, more = (free(n, docs.columns) for n in ("_pii_base", "_pii_more"))
+    found = lambda k: F.regexp_extract_all(text, F.lit(k.pattern), F.lit(0))
+    matched = docs.withColumns({own[k.name]: F.when(F.instr(text, k.hint) > 0, found(k)).otherwise(none) if k.hint else found(k) for k in kinds})
     empty = F.array().cast(SPAN)
-    spans = matched.withColumns({f"_pii_{k.name}": F.when(F.size(f"_pii_{k.name}") > 0, _found(text, F.col(f"_pii_{k.name}"), k, rank).cast(SPAN)).otherwise(empty) for rank, k in enumerate(kinds)})
-    base = F.concat(*(F.col(f"_pii_{k.name}") for k in kinds if k.base))
-    more = F.concat(*(F.col(f"_pii_{k.name}") for k in kinds if not k.base), empty)
-    spans = spans.withColumns({"_pii_base": base, "_pii_more": more}).drop(*(f"_pii_{k.name}" for k in kinds))
-    clear = F.filter("_pii_more", lambda x: (x["score"] >= threshold) & ~F.exists("_pii_base", lambda y: (y["start"] < x["end"]) & (x["start"] < y["end"])))
-    return spans.withColumn("pii_spans", F.sort_array(F.concat("_pii_base", F.when(F.size("_pii_more") > 0, clear).otherwise(empty)))).drop("_pii_base", "_pii_more")
+    spans = matched.withColumns({own[k.name]: F.when(F.size(own[k.name]) > 0, _found(text, F.col(own[k.name]), k, rank).cast(SPAN)).otherwise(empty) for rank, k in enumerate(kinds)})
+    parts = {base: F.concat(empty, *(F.col(own[k.name]) for k in kinds if k.base)), more: F.concat(empty, *(F.col(own[k.name]) for k in kinds if not k.base))}
+    spans = spans.withColumns(parts).drop(*own.values())
+    meets = lambda x, y: (y["start"] < x["end"]) & (x["start"] < y["end"])
+    before = lambda x, y: meets(x, y) & (y["rank"] < x["rank"]) & (y["score"] >= threshold)
+    clear = F.filter(more, lambda x: (x["score"] >= threshold) & ~F.exists(base, lambda y: meets(x, y)) & ~F.exists(more, lambda y: before(x, y)))
+    return spans.withColumn(into, F.sort_array(F.concat(base, F.when(F.size(more) > 0, clear).otherwise(empty)))).drop(base, more)
 
 
 def digest(spans: Column) -> Column:
@@ -133,6 +142,7 @@ def digest(spans: Column) -> Column:
 
 def mask(docs: DataFrame, kinds: tuple[Kind, ...] = KINDS, threshold: float = THRESHOLD) -> DataFrame:
     """The rows with every span of ``text`` replaced by its kind in brackets, and n_chars, if there, after it; overlapping spans go under the first one's."""
+    spans = free("pii_spans", docs.columns)
     zero = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
     text = F.col("text").cast("string")
 
@@ -142,9 +152,8 @@ def mask(docs: DataFrame, kinds: tuple[Kind, ...] = KINDS, threshold: float = TH
         out = F.when(apart, F.concat(state["out"], kept, F.lit("["), F.upper(x["kind"]), F.lit("]"))).otherwise(state["out"])
         return F.struct(F.greatest(state["at"], x["end"]).alias("at"), out.alias("out"))
 
-    rebuilt = F.aggregate("pii_spans", zero, step, lambda s: F.concat(s["out"], text.substr(s["at"] + 1, F.char_length(text))))
-    found = detect(docs, kinds, threshold)
-    masked = found.withColumn("text", F.when(F.size("pii_spans") > 0, rebuilt).otherwise(text))
+    rebuilt = F.aggregate(spans, zero, step, lambda s: F.concat(s["out"], text.substr(s["at"] + 1, F.char_length(text))))
+    masked = detect(docs, kinds, threshold, spans).withColumn("text", F.when(F.size(spans) > 0, rebuilt).otherwise(text))
     if "n_chars" in docs.columns:
-        masked = masked.withColumn("n_chars", F.when(F.size("pii_spans") > 0, F.char_length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType))
-    return masked.drop("pii_spans")
+        masked = masked.withColumn("n_chars", F.when(F.size(spans) > 0, F.char_length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType))
+    return masked.drop(spans)

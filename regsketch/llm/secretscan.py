@@ -70,7 +70,7 @@ def known(run: str, before: str, after: str) -> bool:
     if re.fullmatch(r"[0-9a-fA-F]+", run):
         return len(run) in DIGEST_LENGTHS or run.islower() or run.isupper()
     joined = re.search(r"\S*$", before)[0]  # what the run continues without a space
-    return joined.endswith(("@", ".")) or "://" in joined or after == "@"
+    return joined.endswith(("@", ".")) or "://" in joined + run or after == "@"
 
 
 def random_spans(text: str, coder, ratio: float = RATIO) -> list[tuple[int, int, int]]:

@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from ..plans.ship import map_arrow
 from .bitslice import near_pairs, smallest_reachable
 from .components import components
-from .storage import cut
+from .storage import cut, free
 from .textbatch import filled, slices
 
 SEED = 42
@@ -323,6 +323,7 @@ def deduplicated(docs: DataFrame, width: int = SHINGLE, similarity: float = SIMI
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     own = F.coalesce(F.col("doc_id").cast("bigint"), -1 - F.pmod(F.xxhash64(text), F.lit(1 << 62)))
     kept = near_duplicates(docs.select(own.alias("doc_id"), text.alias("text")), width, similarity).where("keep")
-    chosen = kept.groupBy("text_key").agg(F.min("doc_id").alias("_dedup_id")).withColumnRenamed("text_key", "_dedup_key")
-    marked = docs.withColumns({"_dedup_id": own, "_dedup_key": F.md5(text)})
-    return marked.join(chosen, ["_dedup_id", "_dedup_key"], "left_semi").dropDuplicates(["_dedup_id", "_dedup_key"]).select(*docs.columns)
+    name, key = (free(n, docs.columns) for n in ("_dedup_id", "_dedup_key"))
+    chosen = kept.groupBy("text_key").agg(F.min("doc_id").alias(name)).withColumnRenamed("text_key", key)
+    marked = docs.withColumns({name: own, key: F.md5(text)})
+    return marked.join(chosen, [name, key], "left_semi").dropDuplicates([name, key]).select(*docs.columns)

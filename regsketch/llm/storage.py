@@ -19,3 +19,11 @@ def cut(df: DataFrame) -> DataFrame:
     """The same rows, read from a checkpoint that outlives executors."""
     shared_checkpoints(df.sparkSession)
     return df.checkpoint(eager=True)
+
+
+def free(name: str, taken: list[str]) -> str:
+    """A column name like this one that the table does not have, in either case."""
+    low = {c.lower() for c in taken}
+    while name.lower() in low:
+        name = f"_{name}"
+    return name
