@@ -95,29 +95,18 @@ def _ratio(top: float, bottom: Column) -> Column:
     return F.when(bottom == 0, INFINITY).when(bottom == F.lit(INFINITY), 0.0).otherwise(top / F.when(bottom != 0, bottom))
 
 
-def fill_tables(p: int) -> tuple[list[float], list[float]]:
-    """Both fill functions, times m, for every possible count of registers."""
-    m = 1 << p
-    x = np.arange(m + 1) / m
-    low, power, weight = x.copy(), x.copy(), 1.0
-    for _ in range(p + 8):
-        power = power * power
-        low += power * weight
-        weight *= 2
-    low[-1] = INFINITY
-    share = 1 - x
-    root, high, weight = share.copy(), 1 - share, 1.0
-    for _ in range(24):
-        root = np.sqrt(root)
-        weight /= 2
-        high -= (1 - root) ** 2 * weight
-    high = np.where((share <= 0) | (share >= 1), 0.0, high / 3)
-    return (m * low).tolist(), (m * high).tolist()
+def fill_tables(p: int) -> tuple[Column, Column]:
+    """Both fill functions, times m, for every possible count of registers: constant arrays of m + 1 numbers, which the optimizer computes once."""
+    m = float(1 << p)
+    counts = F.sequence(F.lit(0), F.lit(1 << p))
+    low = F.transform(counts, lambda c: m * low_fill_folded(c / m, p + 8))
+    high = F.transform(counts, lambda c: m * high_fill_folded(1 - c / m))
+    return low, high
 
 
 def corrected_raw_table(counts: Column, p: int, q: int) -> Column:
-    """``corrected_raw`` with both functions looked up; the tables have m + 1 numbers."""
-    low, high = (F.array(*(F.lit(x) for x in t)) for t in fill_tables(p))
+    """``corrected_raw`` with both functions looked up."""
+    low, high = fill_tables(p)
     bottom = F.get(low, count(counts, 0).cast("int")) + middle(counts, q) + F.get(high, count(counts, q + 1).cast("int")) * 2.0**-q
     return _ratio(ALPHA * float(1 << (2 * p)), bottom)
 

@@ -122,6 +122,35 @@ def pair_invariants(spark, d):
     return statistics(spark, d).select("pair", *(v.alias(k) for k, v in J.invariants(F.col("stat"), SPEC).items()))
 
 
+_TRIPLE = (("50.0", "80.0", "20.0"), ("5.0", "300.0", "40.0"))
+
+
+def _cdf(u: str, v: str, a: str, b: str, x: str) -> str:
+    part = lambda k, r: f"CASE WHEN {k} > 6 THEN 0.0 ELSE {r} / (16.0 * pow(2.0, {k})) END"
+    return f"(CASE WHEN {u} < 0 OR {v} < 0 THEN 0.0 ELSE exp(-({part(u, a)}) - ({part(v, b)}) - ({part(f'least({u}, {v})', x)})) END)"
+
+
+def _pmf_sql(a: str, b: str, x: str) -> str:
+    f = lambda u, v: _cdf(u, v, a, b, x)
+    return f"{f('k1', 'k2')} - {f('(k1 - 1)', 'k2')} - {f('k1', '(k2 - 1)')} + {f('(k1 - 1)', '(k2 - 1)')}"
+
+
+@query("pair_pmf", " UNION ALL ".join(f"SELECT {n} AS config, k1::INT AS k1, k2::INT AS k2, round({_pmf_sql(*t)}, 9) AS pr FROM range(8) p(k1), range(8) r(k2)" for n, t in enumerate(_TRIPLE)))
+def pair_pmf(spark, d):
+    """Probability of each pair of register values for two settings of the three rates."""
+    grid = spark.range(64).select(F.floor(F.col("id") / 8).cast("int").alias("k1"), (F.col("id") % 8).cast("int").alias("k2"))
+    found = F.array(*(F.struct(F.lit(n).alias("config"), F.round(J.pair_pmf(F.col("k1"), F.col("k2"), *(F.lit(float(r)) for r in t), 16, 6), 9).alias("pr")) for n, t in enumerate(_TRIPLE)))
+    return grid.select("k1", "k2", F.explode(found).alias("f")).select("f.config", "k1", "k2", "f.pr")
+
+
+@query("exact_set_operators", "SELECT (SELECT count(*) FROM (SELECT l_orderkey FROM lineitem WHERE l_returnflag = 'A' INTERSECT SELECT l_orderkey FROM lineitem WHERE l_returnflag = 'R')) AS both, (SELECT count(*) FROM (SELECT l_orderkey FROM lineitem WHERE l_returnflag = 'A' EXCEPT SELECT l_orderkey FROM lineitem WHERE l_returnflag = 'R')) AS only_left, (SELECT count(*) FROM (SELECT DISTINCT l_orderkey FROM lineitem WHERE l_returnflag = 'R') ANTI JOIN (SELECT l_orderkey FROM lineitem WHERE l_returnflag = 'A') USING (l_orderkey)) AS only_right")
+def exact_set_operators(spark, d):
+    """The truth of one pair by intersection, difference and anti join."""
+    a, r = (lineitem(spark, d).where(F.col("l_returnflag") == f).select("l_orderkey") for f in "AR")
+    parts = a.intersect(r).select(F.lit("both").alias("part")).unionByName(a.subtract(r).select(F.lit("only_left").alias("part"))).unionByName(r.distinct().join(a, "l_orderkey", "left_anti").select(F.lit("only_right").alias("part")))
+    return parts.agg(*(F.sum((F.col("part") == n).cast("bigint")).alias(n) for n in ("both", "only_left", "only_right")))
+
+
 _RATES = [(2000.0 + 500 * i, 2000.0 + 500 * j, 7000.0 + 1000 * k) for i in range(4) for j in range(3) for k in range(3)]
 
 
@@ -312,7 +341,7 @@ def doc_classes(spark, d):
     return L.classes(doc_registers(spark, d), "doc_id")
 
 
-_REPS = f"regs AS MATERIALIZED ({_DOC_REGS}), cls AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY s) AS class_id FROM (SELECT doc_id, list(idx || ':' || reg ORDER BY idx) AS s FROM regs GROUP BY doc_id)), reps AS (SELECT r.* FROM regs r JOIN cls c USING (doc_id) WHERE c.class_id = doc_id), bands AS (SELECT doc_id, idx // 4 AS band, list(reg ORDER BY idx) AS bucket FROM reps GROUP BY doc_id, idx // 4 HAVING count(*) = 4), cand AS (SELECT DISTINCT a.doc_id AS left_key, b.doc_id AS right_key FROM bands a JOIN bands b ON a.band = b.band AND a.bucket = b.bucket AND a.doc_id < b.doc_id)"
+_REPS = f"regs AS MATERIALIZED ({_DOC_REGS}), cls AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY s) AS class_id FROM (SELECT doc_id, list(idx || ':' || reg ORDER BY idx) AS s FROM regs GROUP BY doc_id)), reps AS (SELECT r.* FROM regs r JOIN cls c USING (doc_id) WHERE c.class_id = doc_id), bands AS (SELECT doc_id, idx // 12 AS band, list((idx % 12) || ':' || reg ORDER BY idx) AS bucket FROM reps GROUP BY doc_id, idx // 12 HAVING count(*) >= 6), cand AS (SELECT DISTINCT a.doc_id AS left_key, b.doc_id AS right_key FROM bands a JOIN bands b ON a.band = b.band AND a.bucket = b.bucket AND a.doc_id < b.doc_id)"
 
 
 def _class_registers(spark, d) -> DataFrame:
@@ -323,7 +352,7 @@ def _class_registers(spark, d) -> DataFrame:
 
 @query("doc_candidates", f"WITH {_REPS} SELECT left_key, right_key FROM cand")
 def doc_candidates(spark, d):
-    """Pairs of different sketches that share four full registers in a row."""
+    """Pairs of different sketches that share a band of twelve registers."""
     return L.candidates(_class_registers(spark, d), "doc_id")
 
 

@@ -369,6 +369,12 @@ def ml_bounds(spark, d):
     return by_group(spark, d).select(*GRP, *(significant(v).alias(k) for k, v in E.ml_bounds(F.col("counts"), 12, 20).items()))
 
 
+@query("ml_error_bound", f"SELECT l_returnflag, l_linestatus, {O.sig('0.005e0 * (1 + c[22] / (4096.0 - c[22]))')} AS bound FROM ({LINE_COUNTS})")
+def ml_error_bound(spark, d):
+    """Relative error of the likelihood estimate if its helper is wrong by one percent."""
+    return by_group(spark, d).select(*GRP, significant(E.h_error_bound(F.lit(0.01), F.col("counts"), 12, 20)).alias("bound"))
+
+
 _LL = f"-lam / 4096.0 * {_A} + list_sum(list_transform(range(1, 22), lambda k: CASE WHEN c[k + 1] > 0 THEN c[k + 1] * ln(1 - exp(-lam / 4096.0 * pow(2.0, -least(k, 20)))) ELSE 0.0 END))"
 
 
