@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, divergence, packing, pii, quality, secretscan, sharding, simhash, toxicity, urlfilter
+from . import decontaminate, divergence, oracles, packing, pii, quality, secretscan, sharding, simhash, toxicity, urlfilter
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -34,7 +34,8 @@ def op1_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_divergence(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Quality rules over all documents."""
-    return divergence.judged(_table(spark, sf_dir, "documents"))
+    out = divergence.judged(_table(spark, sf_dir, "documents"))
+    return out.drop("class_distance", "word_distance", "nearest_lang")
 
 
 def op3_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -87,4 +88,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_divergence": oracles.quality_rules(), "op5_urlfilter": oracles.url_verdicts()}

@@ -252,3 +252,15 @@ def test_url_query(spark, sf):
     for r in rows:
         host, path, rule = brute_url(urls[r["page_id"]])
         assert (r["host"], r["path"], r["rule"]) == (host, path, rule and rule.text)
+
+
+@pytest.mark.parametrize("name", sorted(queries.oracle_sql()))
+def test_query_is_its_sql(spark, sf, name):
+    import duckdb
+
+    c = duckdb.connect()
+    for t in ("documents", "pages"):
+        c.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    got, want = queries.queries()[name](spark, sf).toPandas(), c.execute(queries.oracle_sql()[name]).fetch_df()
+    rows = lambda f: sorted((tuple(map(str, r)) for r in f[sorted(f.columns)].astype(object).where(f[sorted(f.columns)].notna(), None).itertuples(index=False)))
+    assert sorted(got.columns) == sorted(want.columns) and rows(got) == rows(want)
