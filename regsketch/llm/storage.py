@@ -7,12 +7,19 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder of ``spark.checkpoint.dir``, else the context's checkpoint folder, else one of our own in the warehouse."""
+    if named := spark.conf.get("spark.checkpoint.dir", None):
+        return named
+    given = spark.sparkContext._jsc.sc().getCheckpointDir()
+    return given.get() if given.isDefined() else os.path.join(spark.conf.get("spark.sql.warehouse.dir"), "checkpoints")
+
+
 def shared_checkpoints(spark: SparkSession) -> None:
-    """Use the folder of ``spark.checkpoint.dir``; set one of our own only where none is named."""
+    """See that checkpoints go to the shared folder; set it only where none is set."""
     context = spark.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
-        named = spark.conf.get("spark.checkpoint.dir", None)
-        context.setCheckpointDir(named or os.path.join(spark.conf.get("spark.sql.warehouse.dir"), "checkpoints"))
+        context.setCheckpointDir(shared_folder(spark))
 
 
 def cut(df: DataFrame) -> DataFrame:
