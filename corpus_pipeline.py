@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from regsketch.llm import decontaminate, packing, pii, quality, simhash
 from regsketch.llm.queries import tokenizer_path
+from regsketch.llm.storage import shared_folder
 
 
 def drop_poor(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -48,8 +49,7 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over ``documents``, each result written to shared storage and read again."""
-    shared = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")
-    base = os.path.join(shared, f"pipeline-{uuid.uuid4().hex}")
+    base = os.path.join(shared_folder(spark), f"pipeline-{uuid.uuid4().hex}")
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for k, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
