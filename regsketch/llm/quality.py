@@ -1,7 +1,7 @@
 """Quality classifier with supervised subword embeddings.
 
-Words and the character n-grams in them are hashed into a table of vectors; a document
-is the mean of its vectors, a softmax layer gives the classes. Vectors and layer are
+Words and the character n-grams in them are hashed into a table of vectors, and one more
+stands for a word that repeats the one before it; a document is the mean of its vectors, a softmax layer gives the classes. Vectors and layer are
 learned together by stochastic gradient descent in numpy, on a bounded sample of
 labelled documents (``MOST``), whole texts. As the layer is linear in the mean,
 scoring needs one number for each hashed feature.
@@ -29,6 +29,8 @@ BUCKETS, DIMENSIONS, GRAMS = 1 << 17, 12, (3, 4, 5)
 EPOCHS, RATE, MOST, SEED = 8, 0.6, 5000, 7
 #: Bytes of text at once; the n-grams of its different words take some fifty times as much for a moment.
 SLICE = 1 << 20
+#: The feature of a word that is the one before it, and how many features it counts as.
+REPEAT, REPEAT_WEIGHT = BUCKETS, 4
 MODULUS, HELD_OUT, PREDICTED_FROM = 4, 2, 0.7
 
 _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -70,22 +72,34 @@ def word_features(vocabulary: pa.Array, buckets: int = BUCKETS, grams: tuple[int
     return what[order], np.concatenate([[0], np.cumsum(np.bincount(who, minlength=n))])
 
 
+def _repeats(split: Words) -> np.ndarray:
+    """For each text how many words are the word before them."""
+    if len(split.codes) < 2:
+        return np.zeros(len(split.bounds) - 1, dtype=np.int64)
+    owners = split.owners
+    same = (split.codes[1:] == split.codes[:-1]) & (owners[1:] == owners[:-1])
+    return np.bincount(owners[1:][same], minlength=len(split.bounds) - 1)
+
+
 def _documents(split: Words) -> list[tuple[np.ndarray, np.ndarray]]:
     """For each text its different buckets and their shares of all its features."""
     features, bounds = word_features(split.vocabulary)
+    repeats = _repeats(split)
     out = []
     for i in range(len(split.bounds) - 1):
         codes = split.codes[split.bounds[i] : split.bounds[i + 1]]
         own = features[expanded(bounds[codes], bounds[codes + 1] - bounds[codes])]
         bucket, count = np.unique(own, return_counts=True)
-        out.append((bucket.astype(np.int32), (count / max(1, len(own))).astype(np.float32)))
+        if repeats[i]:
+            bucket, count = np.append(bucket, REPEAT), np.append(count, REPEAT_WEIGHT * repeats[i])
+        out.append((bucket.astype(np.int32), (count / max(1, count.sum())).astype(np.float32)))
     return out
 
 
 def learned(documents: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, seed: int = SEED, epochs: int = EPOCHS, rate: float = RATE) -> tuple[np.ndarray, float]:
     """Weights of the buckets and the bias in the log odds of class 1, from a softmax over two classes."""
     random = np.random.default_rng(seed)
-    vectors = random.uniform(-1, 1, (BUCKETS, DIMENSIONS)).astype(np.float32) / DIMENSIONS
+    vectors = random.uniform(-1, 1, (BUCKETS + 1, DIMENSIONS)).astype(np.float32) / DIMENSIONS
     layer = np.zeros((2, DIMENSIONS), dtype=np.float32)
     bias = np.zeros(2, dtype=np.float32)
     weight = len(y) / (2 * np.maximum(1, np.bincount(y, minlength=2)))
@@ -139,7 +153,7 @@ def train(docs: DataFrame, labels: DataFrame, most: int = MOST) -> tuple[np.ndar
                 ids += batch.column("doc_id").to_pylist()
         order = np.argsort(np.array(ids, dtype=np.int64), kind="stable")
         documents, y = [documents[i] for i in order], np.array(y, dtype=np.int64)[order]
-        weights, bias = np.zeros(BUCKETS, dtype=np.float32), float(np.log(share / (1 - share)))
+        weights, bias = np.zeros(BUCKETS + 1, dtype=np.float32), float(np.log(share / (1 - share)))
         if len(np.unique(y)) == 2:
             aside = np.arange(len(y)) % 5 == 0
             if len(np.unique(y[aside])) == 2 and len(np.unique(y[~aside])) == 2:
@@ -153,7 +167,7 @@ def train(docs: DataFrame, labels: DataFrame, most: int = MOST) -> tuple[np.ndar
         yield pa.RecordBatch.from_arrays([pa.array([weights.astype("<f4").tobytes()]), pa.array([bias])], names=["weights", "bias"])
 
     model = map_arrow(rows.select("doc_id", "text", F.col("y").cast("int").alias("y")).repartition(1), fit, "weights binary, bias double").collect()
-    return (np.frombuffer(model[0]["weights"], dtype="<f4"), model[0]["bias"]) if model else (np.zeros(BUCKETS, dtype=np.float32), float(np.log(share / (1 - share))))
+    return (np.frombuffer(model[0]["weights"], dtype="<f4"), model[0]["bias"]) if model else (np.zeros(BUCKETS + 1, dtype=np.float32), float(np.log(share / (1 - share))))
 
 
 def _scores(column: pa.Array, weights: np.ndarray, bias: float) -> np.ndarray:
@@ -164,6 +178,8 @@ def _scores(column: pa.Array, weights: np.ndarray, bias: float) -> np.ndarray:
     by_word, sizes = running[bounds[1:]] - running[bounds[:-1]], np.diff(bounds)
     rows = len(split.bounds) - 1
     sums, counts = (np.bincount(split.owners, x[split.codes], rows) for x in (by_word, sizes.astype(np.float64)))
+    repeats = REPEAT_WEIGHT * _repeats(split)
+    sums, counts = sums + weights[REPEAT] * repeats, counts + repeats
     return 1 / (1 + np.exp(-np.clip(bias + sums / np.maximum(1, counts), -30, 30)))
 
 
