@@ -8,6 +8,8 @@ counters, so that one word operation serves 64 pairs.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 
 #: Planes that are added up before blocks of which every pair is too far apart are left.
@@ -29,8 +31,8 @@ def _lanes(flags: np.ndarray) -> np.ndarray:
     return np.packbits(padded, bitorder="little").view("<u8")
 
 
-def near_pairs(fingerprints: np.ndarray, last: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """All (i, j), i < j <= last[i], whose fingerprints differ in ``radius`` bits at most.
+def pairs_by_shift(fingerprints: np.ndarray, last: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All (i, j), i < j <= last[i], whose fingerprints differ in ``radius`` bits at most, those of one distance j - i at a time.
 
     ``last[i]`` is the place of the last row of i's group.
     """
@@ -40,7 +42,6 @@ def near_pairs(fingerprints: np.ndarray, last: np.ndarray, radius: int) -> tuple
     reach = int((last - own).max()) if n else 0
     width = int(radius + 1).bit_length()
     start = (1 << width) - 1 - radius  # one more difference than the radius overflows the counter
-    found_i, found_j = [], []
     for d in range(1, reach + 1):
         valid = _lanes(own + d <= last)
         at = np.flatnonzero(valid)
@@ -65,10 +66,35 @@ def near_pairs(fingerprints: np.ndarray, last: np.ndarray, radius: int) -> tuple
             hits = np.unpackbits(np.ascontiguousarray(~over).view(np.uint8).reshape(len(at), 8), axis=1, bitorder="little")
             block, lane = np.nonzero(hits)
             i = at[block] * 64 + lane
-            found_i.append(i)
-            found_j.append(i + d)
-    none = np.empty(0, dtype=np.int64)
-    return (np.concatenate(found_i), np.concatenate(found_j)) if found_i else (none, none)
+            yield i, i + d
+
+
+def near_pairs(fingerprints: np.ndarray, last: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """All pairs of ``pairs_by_shift`` at once."""
+    found = [(np.empty(0, dtype=np.int64),) * 2, *pairs_by_shift(fingerprints, last, radius)]
+    return tuple(np.concatenate(x) for x in zip(*found, strict=True))
+
+
+def nearest_apart(fingerprints: np.ndarray, last: np.ndarray, radius: int, roots: np.ndarray, signatures: np.ndarray, most: int, k: int, seeks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For each row that ``seeks`` the ``k`` rows of its group that are nearest by signature, among those within the radius that have another root.
+
+    Signatures are rows of 64-bit words; pairs that differ in more than ``most`` of their bits are left. Memory follows the rows, not the pairs.
+    """
+    n = len(fingerprints)
+    best, partner = np.full((n, k), most + 1), np.full((n, k), -1)
+    for i, j in pairs_by_shift(fingerprints, last, radius):
+        apart = roots[i] != roots[j]
+        i, j = i[apart], j[apart]
+        far = np.bitwise_count(signatures[i] ^ signatures[j]).sum(1, dtype=np.int64)
+        for x, y in ((i, j), (j, i)):  # on either side a row is in one pair of a distance at most
+            asks = seeks[x]
+            x, y, own = x[asks], y[asks], far[asks]
+            slot = best[x].argmax(1)
+            nearer = own < best[x, slot]
+            best[x[nearer], slot[nearer]] = own[nearer]
+            partner[x[nearer], slot[nearer]] = y[nearer]
+    row, slot = np.nonzero(partner >= 0)
+    return row, partner[row, slot]
 
 
 def smallest_reachable(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:

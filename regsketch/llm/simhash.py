@@ -12,8 +12,9 @@ Two ways to use it:
 * ``near_duplicates``: documents whose sets of word shingles have a Jaccard
   similarity of at least 0.8. Such pairs are too far apart for exact tables
   on fingerprints (about ten bits of 64), so buckets are bands of a one-permutation
-  MinHash signature; the bit-sliced kernel discards pairs beyond a wide radius, and
-  the exact similarity of the shingle sets decides.
+  MinHash signature; the bit-sliced kernel discards pairs beyond a wide radius, one bit of
+  each of 256 further bins says which of the others are nearest, and the exact
+  similarity of the shingle sets decides.
 
 Defined results: a null or white-space text has no words and fingerprint zero, and
 is linked like any other; fewer words than a shingle form one shingle; repeated rows
@@ -32,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.ship import map_arrow
-from .bitslice import near_pairs, smallest_reachable
+from .bitslice import near_pairs, nearest_apart, smallest_reachable
 from .components import components
 from .storage import cut, free
 from .textbatch import filled, slices
@@ -47,6 +48,10 @@ KERNEL_ROWS = 1 << 17
 #: Documents: words of a shingle, least similarity, bins of the signature, bins of a band, and the radius
 #: beyond which fingerprints of so similar sets do not lie (ten bits on average, three as deviation).
 SHINGLE, SIMILARITY, BINS, BAND, WIDE_RADIUS = 5, 0.8, 100, 5, 24
+#: Bins of which a signature has one bit each, and the differing ones beyond which so similar sets do not lie (26 on average, five as deviation).
+SIGNATURE_BITS, SIGNATURE_RADIUS = 256, 46
+#: Nearest rows of each band bucket that a row of another component is tried against, rounds of that, and rows of a bucket that are compared at once.
+NEAREST, ROUNDS, BAND_ROWS = 4, 2, 1 << 14
 
 
 def shingle_hashes(text: bytes, width: int, seed: int = SEED) -> np.ndarray:
@@ -208,18 +213,23 @@ def band_keys(signature: np.ndarray, band: int = BAND) -> np.ndarray:
 
 
 def features(docs: DataFrame, width: int = SHINGLE) -> DataFrame:
-    """(doc_id, text_key, fp, bands) of every document; equal texts have equal keys."""
+    """(doc_id, text_key, fp, bands, bits) of every document; equal texts have equal keys."""
+
+    def lists(rows: np.ndarray) -> pa.Array:
+        return pa.ListArray.from_arrays(pa.array(np.arange(len(rows) + 1, dtype=np.int32) * rows.shape[1]), pa.array(rows.ravel()))
 
     def hasher(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in slices(whole, limit=1 << 20):
                 hashes, bounds = _hashed(batch.column("text"), width, SEED)
                 keys = band_keys(signatures(hashes, bounds)).view("<i8")
-                lists = pa.ListArray.from_arrays(pa.array(np.arange(len(keys) + 1, dtype=np.int32) * keys.shape[1]), pa.array(keys.ravel()))
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), pa.array(majority_bits(hashes, bounds).view("<i8")), lists], names=["doc_id", "text_key", "fp", "bands"])
+                bits = np.packbits((signatures(hashes, bounds, SIGNATURE_BITS) & np.uint64(1)).astype(np.uint8), axis=1, bitorder="little").view("<i8")
+                fps = pa.array(majority_bits(hashes, bounds).view("<i8"))
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), fps, lists(keys), lists(bits)], names=["doc_id", "text_key", "fp", "bands", "bits"])
 
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    return map_arrow(docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), text.alias("text"), F.md5(text).alias("text_key")), hasher, "doc_id bigint, text_key string, fp bigint, bands array<bigint>")
+    source = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), text.alias("text"), F.md5(text).alias("text_key"))
+    return map_arrow(source, hasher, "doc_id bigint, text_key string, fp bigint, bands array<bigint>, bits array<bigint>")
 
 
 def _central(fps: np.ndarray) -> int:
@@ -228,46 +238,66 @@ def _central(fps: np.ndarray) -> int:
     return int((bits != (2 * bits.sum(0, dtype=np.int64) > len(fps))).sum(1).argmin())
 
 
-def _band_rows(of: DataFrame) -> DataFrame:
-    return of.select("node", "fp", *(["root"] if "root" in of.columns else []), F.posexplode("bands").alias("band", "key")).repartition("band", "key").sortWithinPartitions("band", "key", "node")
-
-
-def star_candidates(of: DataFrame, radius: int = WIDE_RADIUS) -> DataFrame:
-    """(a, b): each row of a bucket with the bucket's most central row, where their fingerprints lie within the radius."""
+def _buckets(of: DataFrame, choose) -> DataFrame:
+    """(a, b) of what ``choose`` picks in every band bucket; it gets fingerprints, signatures, roots and the buckets' starts and ends."""
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in _whole_groups(batches, ["band", "key"], KERNEL_ROWS):
-            fps, nodes = table.column("fp").to_numpy().view("<u8"), table.column("node").to_numpy()
+            fps, nodes, roots = (table.column(c).to_numpy() for c in ("fp", "node", "root"))
+            bits = table.column("bits").combine_chunks().flatten().to_numpy().view("<u8").reshape(len(fps), -1)
             ends = _group_ends([table.column(k).to_numpy() for k in ("band", "key")])
-            starts = np.concatenate([[0], ends[:-1] + 1])
-            centre = starts.copy()
-            for g in np.flatnonzero(ends - starts > 1):
-                centre[g] += _central(np.ascontiguousarray(fps[starts[g] : ends[g] + 1]))
-            hub = np.repeat(centre, ends - starts + 1)
-            near = np.flatnonzero((hub != np.arange(len(fps))) & (np.bitwise_count(fps ^ fps[hub]) <= radius))
-            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(nodes[near], nodes[hub[near]])), pa.array(np.maximum(nodes[near], nodes[hub[near]]))], names=["a", "b"])
+            x, y = choose(np.ascontiguousarray(fps).view("<u8"), bits, roots, np.concatenate([[0], ends[:-1] + 1]), ends)
+            found = np.unique(np.stack([np.minimum(nodes[x], nodes[y]), np.maximum(nodes[x], nodes[y])], axis=1), axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], names=["a", "b"])
 
-    return map_arrow(_band_rows(of), compare, "a bigint, b bigint").distinct()
+    rows = of.select("node", "fp", "bits", "root", F.posexplode("bands").alias("band", "key")).repartition("band", "key").sortWithinPartitions("band", "key", "node")
+    return map_arrow(rows, compare, "a bigint, b bigint").distinct()
 
 
-def cross_candidates(of: DataFrame, radius: int = WIDE_RADIUS) -> DataFrame:
-    """(a, b): all pairs of a bucket within the radius that are not yet of one component (column root), by the bit-sliced kernel."""
+def _outside_the_largest(groups: np.ndarray, roots: np.ndarray) -> np.ndarray:
+    """Which rows are not of the root that most rows of their group have (the least of such roots)."""
+    order = np.lexsort((roots, groups))
+    g, r = groups[order], roots[order]
+    ends = _group_ends([g, r])
+    sizes = np.diff(np.concatenate([[-1], ends]))
+    best = np.lexsort((r[ends], -sizes, g[ends]))
+    largest = r[ends][best][np.concatenate([[0], np.flatnonzero(np.diff(g[ends][best])) + 1])] if len(ends) else r
+    of = np.unique(groups, return_inverse=True)[1]
+    return roots != largest[of] if len(roots) else np.empty(0, dtype=bool)
 
-    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table in _whole_groups(batches, ["band", "key"], KERNEL_ROWS):
-            fps, nodes, roots = table.column("fp").to_numpy().view("<u8"), table.column("node").to_numpy(), table.column("root").to_numpy()
-            ends = _group_ends([table.column(k).to_numpy() for k in ("band", "key")])
-            starts = np.concatenate([[0], ends[:-1] + 1])
-            sizes = ends - starts + 1
-            mixed = (np.minimum.reduceat(roots, starts) != np.maximum.reduceat(roots, starts)) if len(roots) else np.empty(0, dtype=bool)
-            rows = np.flatnonzero(np.repeat(mixed, sizes))
-            last = np.repeat(np.cumsum(sizes[mixed]) - 1, sizes[mixed])
-            i, j = near_pairs(fps[rows], last, radius)
-            apart = roots[rows[i]] != roots[rows[j]]
-            a, b = nodes[rows[i[apart]]], nodes[rows[j[apart]]]
-            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], names=["a", "b"])
 
-    return map_arrow(_band_rows(of), compare, "a bigint, b bigint").distinct()
+def star_candidates(of: DataFrame, radius: int = WIDE_RADIUS) -> DataFrame:
+    """(a, b): each row of a bucket with the bucket's most central row, where they may be similar."""
+
+    def choose(fps, bits, roots, starts, ends):
+        centre = starts.copy()
+        for g in np.flatnonzero(ends - starts > 1):
+            centre[g] += _central(fps[starts[g] : ends[g] + 1])
+        hub = np.repeat(centre, ends - starts + 1)
+        near = (np.bitwise_count(fps ^ fps[hub]) <= radius) & (np.bitwise_count(bits ^ bits[hub]).sum(1, dtype=np.int64) <= SIGNATURE_RADIUS)
+        x = np.flatnonzero(near & (hub != np.arange(len(fps))))
+        return x, hub[x]
+
+    return _buckets(of, choose)
+
+
+def cross_candidates(of: DataFrame, radius: int = WIDE_RADIUS, nearest: int = NEAREST, band_rows: int = BAND_ROWS) -> DataFrame:
+    """(a, b): each row with the nearest rows of its buckets that are not yet of its component (column root), by the bit-sliced kernel.
+
+    Rows of the component that most rows of a bucket have are sought but do not seek, and buckets of one component are done. Larger buckets than ``band_rows`` are compared in parts of that size.
+    """
+
+    def choose(fps, bits, roots, starts, ends):
+        mixed = np.minimum.reduceat(roots, starts) != np.maximum.reduceat(roots, starts)
+        sizes = (ends - starts + 1)[mixed]
+        rows = np.flatnonzero(np.repeat(mixed, ends - starts + 1))
+        place = np.arange(len(rows)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+        bucket_end = np.repeat(np.cumsum(sizes) - 1, sizes)
+        part_end = np.arange(len(rows)) - place % band_rows + band_rows - 1
+        i, j = nearest_apart(fps[rows], np.minimum(bucket_end, part_end), radius, roots[rows], bits[rows], SIGNATURE_RADIUS, nearest, _outside_the_largest(bucket_end, roots[rows]))
+        return rows[i], rows[j]
+
+    return _buckets(of, choose)
 
 
 def similar(pairs: DataFrame, texts: DataFrame, width: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
@@ -291,26 +321,33 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = S
     """(doc_id, text_key, component_id, keep): groups of equal or similar texts; keep marks the text of each group that stays.
 
     First every row of a bucket is tried against the bucket's most central one, which
-    joins groups of copies without forming their pairs; then all pairs of
-    a bucket that are still apart are tried. Documents without a doc_id group by text alone.
+    joins groups of copies without forming their pairs; then each row is tried against the
+    nearest rows of its buckets that are still apart from it, in ``ROUNDS`` rounds. The number of pairs follows the number of rows.
+    Documents without a doc_id group by text alone.
     """
     found = cut(features(docs, width))
-    of = cut(found.where(F.col("doc_id").isNotNull()).groupBy("text_key").agg(F.min("doc_id").alias("node"), F.first("fp").alias("fp"), F.first("bands").alias("bands")))
+    of = cut(found.where(F.col("doc_id").isNotNull()).groupBy("text_key").agg(F.min("doc_id").alias("node"), F.first("fp").alias("fp"), F.first("bands").alias("bands"), F.first("bits").alias("bits")))
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     # A doc_id may have more than one text; the one whose node it is has this key.
     texts = docs.select(F.col("doc_id").cast("bigint").alias("node"), text.alias("text"), F.md5(text).alias("text_key"))
 
     def verified(pairs: DataFrame) -> DataFrame:
-        pairs = cut(pairs)
         needed = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
         own = texts.join(needed, "node", "left_semi").join(of.select("node", "text_key"), ["node", "text_key"], "left_semi").dropDuplicates(["node"])
         return cut(similar(pairs, own, width, similarity))
 
-    stars = verified(star_candidates(of))
-    first = components(stars)
-    rooted = of.join(first, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    links = stars.union(verified(cross_candidates(rooted)))
-    final = of.select("node", "text_key").join(components(links), "node", "left").select("text_key", "node", F.coalesce("root", "node").alias("component_id"))
+    tried = cut(star_candidates(of.withColumn("root", F.col("node"))))
+    links = verified(tried)
+    roots = components(links)
+    for _ in range(ROUNDS):
+        rooted = of.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+        pairs = cut(cross_candidates(rooted).join(tried, ["a", "b"], "left_anti"))
+        more = verified(pairs)
+        if more.isEmpty():
+            break
+        tried, links = tried.union(pairs), links.union(more)
+        roots = components(links)
+    final = of.select("node", "text_key").join(roots, "node", "left").select("text_key", "node", F.coalesce("root", "node").alias("component_id"))
     out = found.select("doc_id", "text_key").join(final, "text_key", "left")
     return out.select("doc_id", "text_key", "component_id", F.coalesce(F.col("node") == F.col("component_id"), F.lit(False)).alias("keep"))
 

@@ -455,3 +455,10 @@ def test_pipeline_on_odd_documents(spark, tmp_path):
         documents = stage(spark, documents, str(base))
         documents.count()
     assert corpus_pipeline.run(spark, str(base)).count() >= 0
+
+
+def test_rows_outside_the_largest_component():
+    groups = np.array([0, 0, 0, 1, 1, 2, 2, 2, 2])
+    roots = np.array([5, 5, 3, 9, 8, 1, 2, 2, 1])
+    assert simhash._outside_the_largest(groups, roots).tolist() == [False, False, True, True, False, False, True, True, False]
+    assert not len(simhash._outside_the_largest(groups[:0], roots[:0]))
