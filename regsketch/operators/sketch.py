@@ -23,6 +23,10 @@ from ..plans.ship import map_arrow, ship
 from ..plans.spec import SketchSpec
 
 
+#: The largest p of which all registers may be broadcast.
+BROADCAST_P = 16
+
+
 def build(df: DataFrame, item: str | list[str], spec: SketchSpec, keys: list[str] | None = None) -> DataFrame:
     """R1 of the elements of ``item`` for each key; rows with a null element are none."""
     keys = keys or []
@@ -145,11 +149,12 @@ def append(r1: DataFrame, new: DataFrame, item: str, spec: SketchSpec, *, drop_k
     """R1 with the elements of ``new`` too; updates that cannot change a register are left before the shuffle.
 
     No rank up to the least register can: one number for the driver. With ``drop_known`` the registers, 2**p rows, are broadcast
-    and every update that is not above its register goes.
+    and every update that is not above its register goes; sketches of more than 2**BROADCAST_P registers are joined without a broadcast.
     """
     rows = updates(new, item, [], spec).where(F.col("rank") > F.lit(least_register(r1, spec)))
     if drop_known:
-        rows = rows.join(F.broadcast(r1.withColumnRenamed("reg", "_reg")), "idx", "left").where(F.col("_reg").isNull() | (F.col("rank") > F.col("_reg"))).select("idx", "rank")
+        known = r1.withColumnRenamed("reg", "_reg")
+        rows = rows.join(F.broadcast(known) if spec.p <= BROADCAST_P else known, "idx", "left").where(F.col("_reg").isNull() | (F.col("rank") > F.col("_reg"))).select("idx", "rank")
     return merge(r1, rows.groupBy("idx").agg(F.max("rank").alias("reg")))
 
 
