@@ -24,6 +24,7 @@ import re
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -31,6 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.ship import map_arrow
+from .storage import cut
 from .textbatch import Words, slices, words
 
 THRESHOLD, K1, B = 0.6, 1.2, 0.75
@@ -229,13 +231,24 @@ def hits(split: Words, index: Index, threshold: float = THRESHOLD) -> list[tuple
     return [best[k] for k in sorted(best)]
 
 
-def indexes(benchmark: DataFrame, most: int = INDEX_BYTES) -> list[Index]:
-    """The benchmark in as few indexes as its size allows; items are dealt by a hash of their number."""
+def indexes(benchmark: DataFrame, most: int = INDEX_BYTES) -> Iterator[tuple[Index, bool]]:
+    """The benchmark in as few indexes as its size allows, one after another, and whether there are more than one; items are dealt by a hash of their number."""
     rows = benchmark.select(F.col("item_id").cast("bigint").alias("item_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     passes = 1 + size // most
     part = F.pmod(F.xxhash64("item_id", "text"), F.lit(passes))
-    return [Index([(r["item_id"], r["text"]) for r in rows.where(part == k).orderBy("item_id", "text").collect()]) for k in range(passes)]
+    for k in range(passes):
+        yield Index([(r["item_id"], r["text"]) for r in rows.where(part == k).orderBy("item_id", "text").collect()]), passes > 1
+
+
+def _passes(docs: DataFrame, benchmark: DataFrame, of_pass) -> Iterator[DataFrame]:
+    """What ``of_pass`` makes of each index's broadcast; with several indexes each result is written before the next index is built."""
+    for index, several in indexes(benchmark):
+        sent = docs.sparkSession.sparkContext.broadcast(index)  # bounded by INDEX_BYTES of text
+        own = of_pass(sent)
+        yield cut(own) if several else own
+        if several:
+            sent.unpersist()
 
 
 HITS = "doc_id bigint, item_id bigint, first_word bigint, score double, question_overlap double, answer_overlap double"
@@ -244,34 +257,35 @@ HITS = "doc_id bigint, item_id bigint, first_word bigint, score double, question
 def scan(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """HITS: a row for each benchmark item in each document."""
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    out = None
-    for index in indexes(benchmark):
-        sent = docs.sparkSession.sparkContext.broadcast(index)  # bounded by INDEX_BYTES of text
 
-        def find(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+    def of_pass(sent) -> DataFrame:
+        def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for whole in batches:
                 for batch in slices(whole):
                     found = hits(words(batch.column("text")), sent.value, threshold)
-                    doc_ids = batch.column("doc_id")
                     columns = list(zip(*found, strict=True)) or [()] * 6
-                    yield pa.RecordBatch.from_arrays([doc_ids.take(pa.array(columns[0], pa.int64())), pa.array([sent.value.ids[k] for k in columns[1]], pa.int64()), pa.array(columns[2], pa.int64()), *(pa.array(c, pa.float64()) for c in columns[3:])], names=[x.split()[0] for x in HITS.split(", ")])
+                    ids = batch.column("doc_id").take(pa.array(columns[0], pa.int64()))
+                    items = pa.array([sent.value.ids[k] for k in columns[1]], pa.int64())
+                    yield pa.RecordBatch.from_arrays([ids, items, pa.array(columns[2], pa.int64()), *(pa.array(c, pa.float64()) for c in columns[3:])], names=[x.split()[0] for x in HITS.split(", ")])
+
+        return map_arrow(rows, find, HITS)
 
-        own = map_arrow(rows, find, HITS)
-        out = own if out is None else out.unionByName(own)
-    return out
+    return reduce(DataFrame.unionByName, _passes(docs, benchmark, of_pass))
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """The documents without any benchmark item, all columns as they are."""
-    out = docs
-    for index in indexes(benchmark):
-        sent = docs.sparkSession.sparkContext.broadcast(index)
+    left = [docs]
 
-        def keep(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+    def of_pass(sent) -> DataFrame:
+        def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for whole in batches:
                 for batch in slices(whole):
                     bad = {h[0] for h in hits(words(batch.column("text")), sent.value, threshold)}
                     yield batch.filter(pa.array([k not in bad for k in range(batch.num_rows)]))
 
-        out = map_arrow(out, keep, docs.schema)
-    return out
+        return map_arrow(left[-1], keep, docs.schema)
+
+    for out in _passes(docs, benchmark, of_pass):
+        left.append(out)
+    return left[-1]

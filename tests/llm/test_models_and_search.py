@@ -177,12 +177,21 @@ def test_planted_leaks(spark, sf):
 
 def test_many_indexes_find_the_same(spark, sf):
     items, table = spark.read.parquet(f"{sf}/benchmark.parquet"), spark.read.parquet(f"{sf}/documents.parquet")
-    whole = {(h[0], h[1]) for h in _hits(table, decontaminate.indexes(items))}
-    parts = decontaminate.indexes(items, 2000)
+    whole = {(h[0], h[1]) for h in _hits(table, [i for i, _ in decontaminate.indexes(items)])}
+    parts = [i for i, several in decontaminate.indexes(items, 2000) if several]
     assert len(parts) > 2
     assert len({(h[0], h[1]) for h in _hits(table, parts)} ^ whole) <= 0.1 * len(whole)  # idf differs a little
 
 
+def test_several_passes(spark, sf, monkeypatch):
+    items, table = spark.read.parquet(f"{sf}/benchmark.parquet"), spark.read.parquet(f"{sf}/documents.parquet")
+    one = {r["doc_id"] for r in decontaminate.scan(table, items).collect()}
+    monkeypatch.setattr(decontaminate.indexes, "__defaults__", (4000,))
+    many = {r["doc_id"] for r in decontaminate.scan(table, items).collect()}
+    assert one and len(one ^ many) <= 0.1 * len(one)
+    assert {r["doc_id"] for r in decontaminate.clean(table, items).collect()} == {r["doc_id"] for r in table.collect()} - many
+
+
 def _hits(table, found):
     rows = table.select("doc_id", "text").collect()
     split = words(pa.array([r["text"] for r in rows]))
