@@ -171,14 +171,14 @@ def ml_trace(counts: Column, p: int, q: int, epsilon: float = 1e-2, cap: int = 6
         first = state(start, start, F.lit(0.0), F.lit(0), F.lit(False))
 
         def secant(s: Column, _: Column) -> Column:
-            now = score_at(s["x"], e["c"], q, a, h)
+            now = score_at(s["x"], e["c"], q, a, h)  # evaluated only while the search goes on
 
             def moved(v: Column) -> Column:
                 rising = v["now"] > s["g"]
                 move = F.when(rising & (full > v["now"]), s["d"] * (full - v["now"]) / F.when(rising, v["now"] - s["g"])).otherwise(0.0)
-                return F.when(s["done"], s).otherwise(state(s["x"] + move, move, v["now"], s["n"] + 1, move <= s["x"] * (epsilon / math.sqrt(m))))
+                return state(s["x"] + move, move, v["now"], s["n"] + 1, move <= s["x"] * (epsilon / math.sqrt(m)))
 
-            return _let(F.struct(now.alias("now")), moved)
+            return F.when(s["done"], s).otherwise(_let(F.struct(now.alias("now")), moved))
 
         def newton(s: Column, _: Column) -> Column:
             now = score_at(s["x"], e["c"], q, a, h)
@@ -186,9 +186,9 @@ def ml_trace(counts: Column, p: int, q: int, epsilon: float = 1e-2, cap: int = 6
 
             def moved(v: Column) -> Column:
                 move = F.when(full > v["now"], (full - v["now"]) / v["slope"]).otherwise(0.0)
-                return F.when(s["done"], s).otherwise(state(s["x"] + move, move, v["now"], s["n"] + 1, move <= s["x"] * (epsilon / math.sqrt(m))))
+                return state(s["x"] + move, move, v["now"], s["n"] + 1, move <= s["x"] * (epsilon / math.sqrt(m)))
 
-            return _let(F.struct(now.alias("now"), slope.alias("slope")), moved)
+            return F.when(s["done"], s).otherwise(_let(F.struct(now.alias("now"), slope.alias("slope")), moved))
 
         step = {"secant": secant, "newton": newton}[solver]
         return F.aggregate(F.sequence(F.lit(1), F.lit(cap)), first, step, lambda s: F.struct((m * s["x"]).alias("estimate"), s["n"].alias("rounds")))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from functools import lru_cache
 
 import numpy as np
 
@@ -75,6 +76,67 @@ def ml(counts: np.ndarray, epsilon: float = 1e-2) -> tuple[float, int]:
     return m * x, rounds
 
 
+def corrected_raw_many(counts: np.ndarray) -> np.ndarray:
+    """``corrected_raw`` of each row, with both fill functions looked up by the counts of empty and of saturated registers."""
+    m, q = int(counts[0].sum()), counts.shape[1] - 2
+    low, high = _fill_tables(m)
+    bottom = low[counts[:, 0]] + counts[:, 1 : q + 1] @ 2.0 ** -np.arange(1, q + 1) + high[counts[:, q + 1]] * 2.0**-q
+    with np.errstate(divide="ignore"):
+        return ALPHA * m * m / bottom
+
+
+@lru_cache(maxsize=16)
+def _fill_tables(m: int) -> tuple[np.ndarray, np.ndarray]:
+    x = np.arange(m + 1) / m
+    low, power, weight = x.copy(), x.copy(), 1.0
+    for _ in range(max(1, m.bit_length() - 1) + 8):
+        power = power * power
+        low += power * weight
+        weight *= 2
+    low[-1] = math.inf
+    root, high, weight = 1 - x, x.copy(), 1.0
+    for _ in range(30):
+        root = np.sqrt(root)
+        weight /= 2
+        high -= (1 - root) ** 2 * weight
+    high = high / 3
+    high[[0, -1]] = 0.0
+    return m * low, m * high
+
+
+def ml_many(counts: np.ndarray, epsilon: float = 1e-2, cap: int = 64) -> tuple[np.ndarray, np.ndarray]:
+    """The maximum-likelihood estimate of each row and its rounds, all rows' secant searches side by side."""
+    n, m, q = len(counts), float(counts[0].sum()), counts.shape[1] - 2
+    k = np.minimum(np.arange(1, q + 2), q)
+    weight = 2.0 ** -k.astype(float)
+    out, rounds = np.zeros(n), np.zeros(n, dtype=np.int64)
+    out[counts[:, q + 1] == m] = math.inf
+    live = np.flatnonzero((counts[:, 0] < m) & (counts[:, q + 1] < m))
+    used = np.flatnonzero(counts[live][:, 1:].any(0)) if len(live) else np.empty(0, dtype=np.int64)  # values that no row has add nothing
+    own, weight = counts[live][:, 1:][:, used].astype(float), weight[used]
+    s = (own * weight)[:, used < q].sum(1)
+    c0 = counts[live, 0].astype(float)
+    a, full = c0 + s, m - c0
+    b = s + counts[live, q + 1] * 2.0**-q
+    with np.errstate(divide="ignore", invalid="ignore"):
+        x = np.where((b > 1.5 * a) & (a > 0), full / b * np.log1p(b / a), full / (a + b / 2))
+    step, before, open_ = x.copy(), np.zeros(len(live)), np.arange(len(live))
+    for _ in range(cap):
+        if not len(open_):
+            break
+        y = x[open_, None] * weight
+        with np.errstate(over="ignore", invalid="ignore"):
+            now = x[open_] * a[open_] + (own[open_] * np.where(y < 1e-5, y / 2 - y * y / 12, 1 - y / np.expm1(np.maximum(y, 1e-6)))).sum(1)
+        rounds[live[open_]] += 1
+        rising = (now > before[open_]) & (now < full[open_])
+        move = np.where(rising, step[open_] * (full[open_] - now) / np.where(rising, now - before[open_], 1), 0.0)
+        x[open_] += move
+        step[open_], before[open_] = move, now
+        open_ = open_[move > x[open_] * epsilon / math.sqrt(m)]
+    out[live] = m * x
+    return out, rounds
+
+
 def joint_terms(stat: dict[str, np.ndarray], rates: np.ndarray, p: int, q: int) -> tuple[float, np.ndarray]:
     """Log-likelihood and its gradient in the logs of the three rates."""
     m = float(1 << p)

@@ -351,6 +351,14 @@ def est_ml_newton(spark, d):
     return _estimates(spark, d, E.ml(F.col("counts"), 12, 20, 1e-12, "newton"))
 
 
+@query("est_batches", f"WITH RECURSIVE {_ML} SELECT l_returnflag, l_linestatus, {O.sig('c.estimate')} AS corrected_raw, {O.sig('ml.estimate')} AS ml FROM (SELECT l_returnflag, l_linestatus, {O.corrected(12, 20)} AS estimate FROM ({LINE_COUNTS})) c JOIN ml USING (l_returnflag, l_linestatus)")
+def est_batches(spark, d):
+    """Both estimates in Arrow batches, as for millions of sketches."""
+    from ..operators.batches import estimates
+
+    return estimates(by_group(spark, d), epsilon=1e-12).select(*GRP, *(significant(F.col(m)).alias(m) for m in ("corrected_raw", "ml")))
+
+
 @query("est_ml_iterations")
 def est_ml_iterations(spark, d):
     """Rounds of the secant search at the usual tolerance: three at most."""

@@ -136,3 +136,14 @@ def test_special_pairs():
     assert N.joint_ml_bfgs(apart, 16, 20)[2] == 0
     above = {"lt1": np.zeros(6), "gt1": np.array([0, 0, 0, 4, 0, 0.0]), "lt2": np.array([0, 4, 0, 0, 0, 0.0]), "gt2": np.zeros(6), "eq": np.zeros(6)}
     assert not N.joint_ml_bfgs(above, 2, 4)[4]
+
+
+def test_batches_are_the_single_estimates():
+    r = np.random.default_rng(11)
+    for p, q in ((12, 20), (8, 6), (12, 52), (6, 0)):
+        rows = [np.bincount(simulate.registers_of(n, p, q, r), minlength=q + 2) for n in (0, 1, 50, 5000, 10**6, 10**8)]
+        rows += [np.array([0] * (q + 1) + [1 << p]), np.array([1 << p] + [0] * (q + 1))]
+        counts = np.array(rows)
+        assert N.corrected_raw_many(counts) == pytest.approx([N.corrected_raw(c) for c in rows], rel=1e-9)
+        estimates, rounds = N.ml_many(counts)
+        assert estimates == pytest.approx([N.ml(c)[0] for c in rows], rel=1e-9) and rounds.tolist() == [N.ml(c)[1] for c in rows]
