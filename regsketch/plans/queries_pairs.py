@@ -17,6 +17,7 @@ from ..operators import similarity as L
 from ..operators import sketch as S
 from ..sources.tables import SIDES, pair_elements, pair_elements_sql, table
 from . import oracle as O
+from .lineage import cut
 from .queries_single import GRP, LINE, LINE_REGS, SPEC, lineitem, vectors
 from .registry import query
 from .spec import SketchSpec
@@ -345,9 +346,9 @@ _REPS = f"regs AS MATERIALIZED ({_DOC_REGS}), cls AS (SELECT doc_id, min(doc_id)
 
 
 def _class_registers(spark, d) -> DataFrame:
-    own = doc_registers(spark, d)
+    own = cut(doc_registers(spark, d))
     first = L.classes(own, "doc_id").where("doc_id = class_id").select("doc_id")
-    return own.join(first, "doc_id", "left_semi")
+    return cut(own.join(first, "doc_id", "left_semi"))
 
 
 @query("doc_candidates", f"WITH {_REPS} SELECT left_key, right_key FROM cand")
@@ -363,7 +364,7 @@ _PAIR_EQUAL = "SELECT left_key, right_key, 1 - sum(CASE WHEN k1 <> k2 THEN 1.0 E
 def doc_near_duplicates(spark, d):
     """Candidates of which at least 64 % of the registers are equal (a similarity of about one half), with the similarity."""
     r1 = _class_registers(spark, d)
-    sides = L.pair_sides(L.candidates(r1, "doc_id"), r1, "doc_id")
+    sides = L.pair_sides(cut(L.candidates(r1, "doc_id")), r1, "doc_id")
     own = L.equal_registers(sides, DOC, ["left_key", "right_key"]).where("equal >= 0.64")
     return own.select("left_key", "right_key", significant(L.jaccard_from_equal(F.col("equal"))).alias("jaccard"))
 
