@@ -1,31 +1,10 @@
-"""Cutting lineage in storage that executors share."""
+"""Cutting lineage, and names that a table does not have."""
 
 from __future__ import annotations
 
-import os
+from ..plans.lineage import cut, shared_folder
 
-from pyspark.sql import DataFrame, SparkSession
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``, else the context's checkpoint folder, else one of our own in the warehouse."""
-    if named := spark.conf.get("spark.checkpoint.dir", None):
-        return named
-    given = spark.sparkContext._jsc.sc().getCheckpointDir()
-    return given.get() if given.isDefined() else os.path.join(spark.conf.get("spark.sql.warehouse.dir"), "checkpoints")
-
-
-def shared_checkpoints(spark: SparkSession) -> None:
-    """See that checkpoints go to the shared folder; set it only where none is set."""
-    context = spark.sparkContext
-    if context._jsc.sc().getCheckpointDir().isEmpty():
-        context.setCheckpointDir(shared_folder(spark))
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """The same rows, read from a checkpoint that outlives executors."""
-    shared_checkpoints(df.sparkSession)
-    return df.checkpoint(eager=True)
+__all__ = ["cut", "free", "shared_folder"]
 
 
 def free(name: str, taken: list[str]) -> str:
