@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from ..plans.ship import map_arrow
 from .bitslice import near_pairs, nearest_apart, smallest_reachable
 from .components import components
-from .storage import cut, free
+from .storage import collect_garbage, cut, free
 from .textbatch import filled, slices
 
 SEED = 42
@@ -50,6 +50,8 @@ KERNEL_ROWS = 1 << 17
 SHINGLE, SIMILARITY, BINS, BAND, WIDE_RADIUS = 5, 0.8, 100, 5, 24
 #: Bins of which a signature has one bit each, and the differing ones beyond which so similar sets do not lie (26 on average, five as deviation).
 SIGNATURE_BITS, SIGNATURE_RADIUS = 256, 46
+#: Bits of the map that says which texts are needed to verify pairs; 8 MB.
+MARKS = 1 << 26
 #: Nearest rows of each band bucket that a row of another component is tried against, rounds of that, and rows of a bucket that are compared at once.
 NEAREST, ROUNDS, BAND_ROWS = 4, 2, 1 << 14
 
@@ -203,9 +205,9 @@ def signatures(hashes: np.ndarray, bounds: np.ndarray, bins: int = BINS) -> np.n
 
 
 def band_keys(signature: np.ndarray, band: int = BAND) -> np.ndarray:
-    """A 64-bit hash of each run of ``band`` values of each signature."""
+    """A 64-bit hash of each run of ``band`` values of each signature and of the run's number."""
     values = signature.reshape(len(signature), -1, band)
-    key = np.zeros(values.shape[:2], dtype=np.uint64)
+    key = np.zeros(values.shape[:2], dtype=np.uint64) + np.arange(values.shape[1], dtype=np.uint64)
     for k in range(band):
         key = (key ^ values[:, :, k]) * np.uint64(0x9E3779B97F4A7C15)
         key ^= key >> np.uint64(31)
@@ -239,19 +241,22 @@ def _central(fps: np.ndarray) -> int:
 
 
 def _buckets(of: DataFrame, choose) -> DataFrame:
-    """(a, b) of what ``choose`` picks in every band bucket; it gets fingerprints, signatures, roots and the buckets' starts and ends."""
+    """(a, b) of what ``choose`` picks in every band bucket; it gets fingerprints, signatures, roots (nodes if there are none) and the buckets' starts and ends."""
+    words = [f"bits{k}" for k in range(SIGNATURE_BITS // 64)]
+    root = "root" if "root" in of.columns else "node"
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table in _whole_groups(batches, ["band", "key"], KERNEL_ROWS):
-            fps, nodes, roots = (table.column(c).to_numpy() for c in ("fp", "node", "root"))
-            bits = table.column("bits").combine_chunks().flatten().to_numpy().view("<u8").reshape(len(fps), -1)
-            ends = _group_ends([table.column(k).to_numpy() for k in ("band", "key")])
+        for table in _whole_groups(batches, ["key"], KERNEL_ROWS):
+            fps, nodes, roots = (table.column(c).to_numpy() for c in ("fp", "node", root))
+            bits = np.stack([table.column(c).to_numpy().view("<u8") for c in words], axis=1)
+            ends = _group_ends([table.column("key").to_numpy()])
             x, y = choose(np.ascontiguousarray(fps).view("<u8"), bits, roots, np.concatenate([[0], ends[:-1] + 1]), ends)
             found = np.unique(np.stack([np.minimum(nodes[x], nodes[y]), np.maximum(nodes[x], nodes[y])], axis=1), axis=0)
             yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], names=["a", "b"])
 
-    rows = of.select("node", "fp", "bits", "root", F.posexplode("bands").alias("band", "key")).repartition("band", "key").sortWithinPartitions("band", "key", "node")
-    return map_arrow(rows, compare, "a bigint, b bigint").distinct()
+    # Plain numbers alone, as this is what is shuffled most: a row for each text and band.
+    rows = of.select(*dict.fromkeys(["node", "fp", root]), *(F.get("bits", F.lit(k)).alias(w) for k, w in enumerate(words)), F.explode("bands").alias("key"))
+    return map_arrow(rows.repartition("key").sortWithinPartitions("key", "node"), compare, "a bigint, b bigint").distinct()
 
 
 def _outside_the_largest(groups: np.ndarray, roots: np.ndarray) -> np.ndarray:
@@ -301,7 +306,7 @@ def cross_candidates(of: DataFrame, radius: int = WIDE_RADIUS, nearest: int = NE
 
 
 def similar(pairs: DataFrame, texts: DataFrame, width: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
-    """The pairs (src, dst) whose sets of shingles have at least this Jaccard similarity; texts: (node, text), one row a node."""
+    """The pairs (src, dst) of ``pairs`` (a, b, key_a, key_b) whose sets of shingles have at least this Jaccard similarity; texts: (text_key, text), one row a key."""
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -313,8 +318,22 @@ def similar(pairs: DataFrame, texts: DataFrame, width: int = SHINGLE, similarity
                     kept.append(both >= similarity * (len(one) + len(two) - both))
                 yield batch.select(["a", "b"]).filter(pa.array(kept, pa.bool_())).rename_columns(["src", "dst"])
 
-    one, two = (texts.select(F.col("node").alias(k), F.col("text").alias(f"text_{k}")) for k in "ab")
-    return map_arrow(pairs.join(one, "a").join(two, "b").select("a", "b", "text_a", "text_b"), judge, "src bigint, dst bigint")
+    one, two = (texts.select(F.col("text_key").alias(f"key_{k}"), F.col("text").alias(f"text_{k}")) for k in "ab")
+    return map_arrow(pairs.join(one, "key_a").join(two, "key_b").select("a", "b", "text_a", "text_b"), judge, "src bigint, dst bigint")
+
+
+def _marked(rows: DataFrame, needed: DataFrame, key: str = "text_key") -> DataFrame:
+    """The rows whose key may be one of ``needed``, by a bitmap of hashed keys: what passes still has to be joined.
+
+    The bitmap has MARKS bits at any size of the input, so it is broadcast; it spares most rows without a partner the shuffle of
+    their text, and where it is full it only lets all rows pass.
+    """
+    slot = F.pmod(F.xxhash64(key), F.lit(MARKS))
+    bits = needed.select(slot.alias("slot")).groupBy(F.bitmap_bucket_number("slot").alias("_part")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("slot")).alias("_bits"))
+    place = F.bitmap_bit_position(slot).cast("int")
+    byte = F.conv(F.hex(F.col("_bits").substr(F.shiftright(place, 3) + 1, F.lit(1))), 16, 10).cast("int")
+    joined = rows.withColumn("_part", F.bitmap_bucket_number(slot)).join(F.broadcast(bits), "_part")
+    return joined.where(F.pmod(F.floor(byte / F.pow(F.lit(2.0), place % 8)), F.lit(2)) == 1).select(*rows.columns)
 
 
 def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
@@ -328,15 +347,19 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = S
     found = cut(features(docs, width))
     of = cut(found.where(F.col("doc_id").isNotNull()).groupBy("text_key").agg(F.min("doc_id").alias("node"), F.first("fp").alias("fp"), F.first("bands").alias("bands"), F.first("bits").alias("bits")))
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    # A doc_id may have more than one text; the one whose node it is has this key.
-    texts = docs.select(F.col("doc_id").cast("bigint").alias("node"), text.alias("text"), F.md5(text).alias("text_key"))
+    texts = docs.select(text.alias("text"), F.md5(text).alias("text_key"))
 
     def verified(pairs: DataFrame) -> DataFrame:
-        needed = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
-        own = texts.join(needed, "node", "left_semi").join(of.select("node", "text_key"), ["node", "text_key"], "left_semi").dropDuplicates(["node"])
-        return cut(similar(pairs, own, width, similarity))
-
-    tried = cut(star_candidates(of.withColumn("root", F.col("node"))))
+        key = {k: of.select(F.col("node").alias(k), F.col("text_key").alias(f"key_{k}")) for k in "ab"}
+        keyed = cut(pairs.join(key["a"], "a").join(key["b"], "b"))
+        needed = keyed.select(F.col("key_a").alias("text_key")).union(keyed.select("key_b")).distinct()
+        # All by text_key, so that a text is shuffled once, and once more with the other text of its pair.
+        own = _marked(texts, needed).join(needed, "text_key", "left_semi").dropDuplicates(["text_key"])
+        out = cut(similar(keyed, own, width, similarity))
+        collect_garbage(docs.sparkSession)
+        return out
+
+    tried = cut(star_candidates(of))
     links = verified(tried)
     roots = components(links)
     for _ in range(ROUNDS):

@@ -2,9 +2,19 @@
 
 from __future__ import annotations
 
+import gc
+
+from pyspark.sql import SparkSession
+
 from ..plans.lineage import cut, shared_folder
 
-__all__ = ["cut", "free", "shared_folder"]
+__all__ = ["collect_garbage", "cut", "free", "shared_folder"]
+
+
+def collect_garbage(spark: SparkSession) -> None:
+    """Have the driver drop what it no longer refers to, as Spark removes shuffle files of finished steps only then."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
 
 
 def free(name: str, taken: list[str]) -> str:

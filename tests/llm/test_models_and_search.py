@@ -471,3 +471,12 @@ def test_rows_outside_the_largest_component():
     roots = np.array([5, 5, 3, 9, 8, 1, 2, 2, 1])
     assert simhash._outside_the_largest(groups, roots).tolist() == [False, False, True, True, False, False, True, True, False]
     assert not len(simhash._outside_the_largest(groups[:0], roots[:0]))
+
+
+def test_marked_rows_hold_all_needed(spark):
+    rows = spark.range(5000).select((F.col("id") - 2500).alias("node"), F.lit("t").alias("text"))
+    needed = rows.where("node % 7 = 0").select("node")
+    got = {r["node"] for r in simhash._marked(rows, needed, "node").collect()}
+    want = {r["node"] for r in needed.collect()}
+    assert want <= got and len(got) < len(want) + 20
+    assert simhash._marked(rows, needed.limit(0), "node").count() == 0
