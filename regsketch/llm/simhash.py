@@ -48,8 +48,9 @@ KERNEL_ROWS = 1 << 17
 #: Documents: words of a shingle, least similarity, bins of the signature, bins of a band, and the radius
 #: beyond which fingerprints of so similar sets do not lie (ten bits on average, three as deviation).
 SHINGLE, SIMILARITY, BINS, BAND, WIDE_RADIUS = 5, 0.8, 100, 5, 24
-#: Bins of which a signature has one bit each, and the differing ones beyond which so similar sets do not lie (26 on average, five as deviation).
-SIGNATURE_BITS, SIGNATURE_RADIUS = 256, 46
+#: Bins of which a signature has one bit each, zero if empty, and the differing ones beyond which so similar sets do not lie. At 0.8 the least hash of
+#: a bin is of one set alone with 0.2 and then differs in its bit with one half, so that sets of any size differ in 26 at most on average, five as deviation; beyond 56 about 1e-7.
+SIGNATURE_BITS, SIGNATURE_RADIUS = 256, 56
 #: Bits of the map that says which texts are needed to verify pairs; 8 MB.
 MARKS = 1 << 26
 #: Nearest rows of each band bucket that a row of another component is tried against, rounds of that, and rows of a bucket that are compared at once.
@@ -180,8 +181,8 @@ def simhash_components(docs: DataFrame, width: int = 3, seed: int = SEED) -> Dat
     return link_fingerprints(cut(fingerprints(docs, width, seed)))
 
 
-def signatures(hashes: np.ndarray, bounds: np.ndarray, bins: int = BINS) -> np.ndarray:
-    """One-permutation MinHash: the least hash in each of ``bins`` bins of each run; an empty bin borrows from the next full one."""
+def signatures(hashes: np.ndarray, bounds: np.ndarray, bins: int = BINS, borrow: bool = True) -> np.ndarray:
+    """One-permutation MinHash: the least hash in each of ``bins`` bins of each run; an empty bin borrows from the next full one, or is zero."""
     counts = np.diff(bounds)
     least = np.zeros((len(counts), bins), dtype=np.uint64)
     full = np.zeros((len(counts), bins), dtype=bool)
@@ -192,6 +193,8 @@ def signatures(hashes: np.ndarray, bounds: np.ndarray, bins: int = BINS) -> np.n
         firsts = np.concatenate([[0], np.flatnonzero(np.diff(cell[order])) + 1])
         least.ravel()[cell[order][firsts]] = np.minimum.reduceat(mixed[order], firsts)
         full.ravel()[cell[order][firsts]] = True
+    if not borrow:
+        return least
     out, done = least.copy(), full.copy()
     for step in range(1, bins):
         lend = np.roll(full, -step, axis=1) & ~done
@@ -225,7 +228,7 @@ def features(docs: DataFrame, width: int = SHINGLE) -> DataFrame:
             for batch in slices(whole, limit=1 << 20):
                 hashes, bounds = _hashed(batch.column("text"), width, SEED)
                 keys = band_keys(signatures(hashes, bounds)).view("<i8")
-                bits = np.packbits((signatures(hashes, bounds, SIGNATURE_BITS) & np.uint64(1)).astype(np.uint8), axis=1, bitorder="little").view("<i8")
+                bits = np.packbits((signatures(hashes, bounds, SIGNATURE_BITS, borrow=False) & np.uint64(1)).astype(np.uint8), axis=1, bitorder="little").view("<i8")
                 fps = pa.array(majority_bits(hashes, bounds).view("<i8"))
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), fps, lists(keys), lists(bits)], names=["doc_id", "text_key", "fp", "bands", "bits"])
 

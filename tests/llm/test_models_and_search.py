@@ -480,3 +480,24 @@ def test_marked_rows_hold_all_needed(spark):
     want = {r["node"] for r in needed.collect()}
     assert want <= got and len(got) < len(want) + 20
     assert simhash._marked(rows, needed.limit(0), "node").count() == 0
+
+
+def test_short_near_duplicates_are_all_found(spark):
+    """Pairs of 5 to 100 shingles at a similarity of 0.80 to 0.85, each with words of its own."""
+    r = random.Random(17)
+    texts, pairs = [], []
+    while len(pairs) < 400:
+        n = r.randrange(5, 101)
+        own = [f"w{len(texts)}x{i}" for i in range(n + 4)]
+        other = list(own)
+        if r.random() < 0.5:
+            other = other[: len(other) - r.randrange(1, max(2, n // 5 + 1))]
+        else:
+            for i in r.sample(range(len(own)), min(len(own), 1 + n // 50)):
+                other[i] = f"z{len(texts)}x{i}"
+        a, b = " ".join(own), " ".join(other)
+        if 0.8 <= jaccard(a, b) <= 0.85:
+            pairs.append((len(texts), len(texts) + 1))
+            texts += [a, b]
+    got = {x["doc_id"]: x["component_id"] for x in simhash.near_duplicates(docs(spark, texts)).collect()}
+    assert [p for p in pairs if got[p[1]] != p[0]] == []
