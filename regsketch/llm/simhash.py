@@ -46,8 +46,8 @@ BUCKET_ROWS = 4096
 KERNEL_ROWS = 1 << 17
 
 #: Documents: words of a shingle, least similarity, bins of the signature, bins of a band, and the radius
-#: beyond which fingerprints of so similar sets do not lie (ten bits on average, three as deviation).
-SHINGLE, SIMILARITY, BINS, BAND, WIDE_RADIUS = 5, 0.8, 100, 5, 24
+#: beyond which fingerprints of so similar sets do not lie (ten bits on average, three as deviation; four shingles of five: twelve bits, beyond 28 some 1e-6).
+SHINGLE, SIMILARITY, BINS, BAND, WIDE_RADIUS = 5, 0.8, 100, 5, 28
 #: Bins of which a signature has one bit each, zero if empty, and the differing ones beyond which so similar sets do not lie. At 0.8 the least hash of
 #: a bin is of one set alone with 0.2 and then differs in its bit with one half, so that sets of any size differ in 26 at most on average, five as deviation; beyond 56 about 1e-7.
 SIGNATURE_BITS, SIGNATURE_RADIUS = 256, 56
@@ -78,8 +78,10 @@ def majority_bits(hashes: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     return out
 
 
-def _hashed(column: pa.Array, width: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
+def _hashed(column: pa.Array, width: int, seed: int, once: bool = False) -> tuple[np.ndarray, np.ndarray]:
     each = [shingle_hashes(x, width, seed) for x in pc.cast(filled(column), pa.large_binary()).to_pylist()]
+    if once:
+        each = [np.unique(x) for x in each]
     bounds = np.concatenate([[0], np.cumsum([len(x) for x in each], dtype=np.int64)])
     return (np.concatenate(each) if each else np.empty(0, dtype="<u8")), bounds
 
@@ -218,7 +220,7 @@ def band_keys(signature: np.ndarray, band: int = BAND) -> np.ndarray:
 
 
 def features(docs: DataFrame, width: int = SHINGLE) -> DataFrame:
-    """(doc_id, text_key, fp, bands, bits) of every document; equal texts have equal keys."""
+    """(doc_id, text_key, fp, bands, bits) of every document, of its set of shingles; equal texts have equal keys."""
 
     def lists(rows: np.ndarray) -> pa.Array:
         return pa.ListArray.from_arrays(pa.array(np.arange(len(rows) + 1, dtype=np.int32) * rows.shape[1]), pa.array(rows.ravel()))
@@ -226,7 +228,7 @@ def features(docs: DataFrame, width: int = SHINGLE) -> DataFrame:
     def hasher(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in slices(whole, limit=1 << 20):
-                hashes, bounds = _hashed(batch.column("text"), width, SEED)
+                hashes, bounds = _hashed(batch.column("text"), width, SEED, once=True)
                 keys = band_keys(signatures(hashes, bounds)).view("<i8")
                 bits = np.packbits((signatures(hashes, bounds, SIGNATURE_BITS, borrow=False) & np.uint64(1)).astype(np.uint8), axis=1, bitorder="little").view("<i8")
                 fps = pa.array(majority_bits(hashes, bounds).view("<i8"))

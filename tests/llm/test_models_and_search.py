@@ -501,3 +501,14 @@ def test_short_near_duplicates_are_all_found(spark):
             texts += [a, b]
     got = {x["doc_id"]: x["component_id"] for x in simhash.near_duplicates(docs(spark, texts)).collect()}
     assert [p for p in pairs if got[p[1]] != p[0]] == []
+
+
+def test_near_duplicates_that_differ_in_how_often_a_line_repeats(spark):
+    r = random.Random(18)
+    texts = []
+    for k in range(60):
+        own = [f"w{k}x{r.randrange(10**6)}" for _ in range(1000)]
+        texts += [" ".join(own), " ".join(own + own[-30:] * 60)]
+    assert all(jaccard(a, b) > 0.95 for a, b in zip(texts[::2], texts[1::2]))
+    got = {x["doc_id"]: x["component_id"] for x in simhash.near_duplicates(docs(spark, texts)).collect()}
+    assert [k for k in range(0, len(texts), 2) if got[k + 1] != k] == []
