@@ -97,6 +97,22 @@ def nearest_apart(fingerprints: np.ndarray, last: np.ndarray, radius: int, roots
     return row, partner[row, slot]
 
 
+def all_apart(fingerprints: np.ndarray, last: np.ndarray, radius: int, roots: np.ndarray, signatures: np.ndarray, most: int, seeks: np.ndarray, chunk: int = 1 << 18) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All pairs among which ``nearest_apart`` chooses, some ``chunk`` of them at a time."""
+    held, size = [], 0
+    for i, j in pairs_by_shift(fingerprints, last, radius):
+        asks = (roots[i] != roots[j]) & (seeks[i] | seeks[j])
+        i, j = i[asks], j[asks]
+        near = np.bitwise_count(signatures[i] ^ signatures[j]).sum(1, dtype=np.int64) <= most
+        held.append((i[near], j[near]))
+        size += len(held[-1][0])
+        if size >= chunk:
+            yield tuple(np.concatenate(x) for x in zip(*held, strict=True))
+            held, size = [], 0
+    if size:
+        yield tuple(np.concatenate(x) for x in zip(*held, strict=True))
+
+
 def smallest_reachable(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
     """For each of n rows the first row that it is linked to, directly or through others."""
     label = np.arange(n)

@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.ship import map_arrow
-from .bitslice import near_pairs, nearest_apart, smallest_reachable
+from .bitslice import all_apart, near_pairs, nearest_apart, smallest_reachable
 from .components import components
 from .storage import collect_garbage, cut, free
 from .textbatch import filled, slices
@@ -53,8 +53,10 @@ SHINGLE, SIMILARITY, BINS, BAND, WIDE_RADIUS = 5, 0.8, 100, 5, 28
 SIGNATURE_BITS, SIGNATURE_RADIUS = 256, 56
 #: Bits of the map that says which texts are needed to verify pairs; 8 MB.
 MARKS = 1 << 26
-#: Nearest rows of each band bucket that a row of another component is tried against, rounds of that, and rows of a bucket that are compared at once.
-NEAREST, ROUNDS, BAND_ROWS = 4, 2, 1 << 14
+#: Nearest rows of each band bucket that a row of another component is tried against, round by round; at last all that are in reach.
+NEAREST = (4, 32, None)
+#: Rows of a bucket that one task compares with each other; larger buckets are dealt by pairs of parts.
+BAND_ROWS = 1 << 14
 
 
 def shingle_hashes(text: bytes, width: int, seed: int = SEED) -> np.ndarray:
@@ -245,23 +247,50 @@ def _central(fps: np.ndarray) -> int:
     return int((bits != (2 * bits.sum(0, dtype=np.int64) > len(fps))).sum(1).argmin())
 
 
-def _buckets(of: DataFrame, choose) -> DataFrame:
-    """(a, b) of what ``choose`` picks in every band bucket; it gets fingerprints, signatures, roots (nodes if there are none) and the buckets' starts and ends."""
+def _buckets(of: DataFrame, choose, bucket_rows: int | None = None) -> DataFrame:
+    """(a, b) of what ``choose`` picks in every band bucket, in chunks; it gets fingerprints, signatures, roots (nodes if there are none) and the buckets' starts and ends.
+
+    With ``bucket_rows`` larger buckets are not given to ``choose`` but come as (bucket, null, rows). A b that is null with null rows says that a row of ``choose`` has more partners than were picked.
+    """
     words = [f"bits{k}" for k in range(SIGNATURE_BITS // 64)]
     root = "root" if "root" in of.columns else "node"
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        before = None
         for table in _whole_groups(batches, ["key"], KERNEL_ROWS):
+            keys = table.column("key").to_numpy()
+            ends = _group_ends([keys])
+            sizes = np.diff(np.concatenate([[-1], ends]))
+            if bucket_rows is not None:
+                large = sizes > bucket_rows
+                large[0] |= before == keys[0]  # the rest of a bucket that filled the rows before
+                before = keys[-1]
+                if large.any():
+                    yield _picked(keys[ends[large]], None, sizes[large])
+                    table = table.filter(pa.array(~np.repeat(large, sizes)))
+                    sizes = sizes[~large]
+                    ends = np.cumsum(sizes) - 1
+                if not len(ends):
+                    continue
             fps, nodes, roots = (table.column(c).to_numpy() for c in ("fp", "node", root))
             bits = np.stack([table.column(c).to_numpy().view("<u8") for c in words], axis=1)
-            ends = _group_ends([table.column("key").to_numpy()])
-            x, y = choose(np.ascontiguousarray(fps).view("<u8"), bits, roots, np.concatenate([[0], ends[:-1] + 1]), ends)
-            found = np.unique(np.stack([np.minimum(nodes[x], nodes[y]), np.maximum(nodes[x], nodes[y])], axis=1), axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], names=["a", "b"])
+            for x, y in choose(np.ascontiguousarray(fps).view("<u8"), bits, roots, ends - sizes + 1, ends):
+                if y is None:
+                    yield _picked(np.zeros(1, dtype=np.int64), None, None)
+                    continue
+                found = np.unique(np.stack([np.minimum(nodes[x], nodes[y]), np.maximum(nodes[x], nodes[y])], axis=1), axis=0)
+                yield _picked(found[:, 0], found[:, 1], None)
 
     # Plain numbers alone, as this is what is shuffled most: a row for each text and band.
-    rows = of.select(*dict.fromkeys(["node", "fp", root]), *(F.get("bits", F.lit(k)).alias(w) for k, w in enumerate(words)), F.explode("bands").alias("key"))
-    return map_arrow(rows.repartition("key").sortWithinPartitions("key", "node"), compare, "a bigint, b bigint").distinct()
+    bands = of if "key" in of.columns else of.withColumn("key", F.explode("bands"))
+    rows = bands.select(*dict.fromkeys(["node", "fp", root]), *(F.get("bits", F.lit(k)).alias(w) for k, w in enumerate(words)), "key")
+    return map_arrow(rows.repartition("key").sortWithinPartitions("key", "node"), compare, "a bigint, b bigint, rows bigint").distinct()
+
+
+def _picked(a: np.ndarray, b: np.ndarray | None, rows: np.ndarray | None) -> pa.RecordBatch:
+    none = pa.nulls(len(a), pa.int64())
+    columns = [none if x is None else pa.array(np.ascontiguousarray(x, dtype=np.int64)) for x in (a, b, rows)]
+    return pa.RecordBatch.from_arrays(columns, names=["a", "b", "rows"])
 
 
 def _outside_the_largest(groups: np.ndarray, roots: np.ndarray) -> np.ndarray:
@@ -286,28 +315,40 @@ def star_candidates(of: DataFrame, radius: int = WIDE_RADIUS) -> DataFrame:
         hub = np.repeat(centre, ends - starts + 1)
         near = (np.bitwise_count(fps ^ fps[hub]) <= radius) & (np.bitwise_count(bits ^ bits[hub]).sum(1, dtype=np.int64) <= SIGNATURE_RADIUS)
         x = np.flatnonzero(near & (hub != np.arange(len(fps))))
-        return x, hub[x]
+        yield x, hub[x]
 
-    return _buckets(of, choose)
+    return _buckets(of, choose).select("a", "b")
 
 
-def cross_candidates(of: DataFrame, radius: int = WIDE_RADIUS, nearest: int = NEAREST, band_rows: int = BAND_ROWS) -> DataFrame:
-    """(a, b): each row with the nearest rows of its buckets that are not yet of its component (column root), by the bit-sliced kernel.
+def cross_candidates(of: DataFrame, radius: int = WIDE_RADIUS, nearest: int | None = NEAREST[0], band_rows: int = BAND_ROWS) -> DataFrame:
+    """(a, b, rows): each row with the ``nearest`` rows (all, if None) of its buckets that are not yet of its component (column root), by the bit-sliced kernel.
 
-    Rows of the component that most rows of a bucket have are sought but do not seek, and buckets of one component are done. Larger buckets than ``band_rows`` are compared in parts of that size.
+    Rows of the component that most rows of a bucket have are sought but do not seek, and buckets of one component are done. A row with b and rows null
+    says that more than ``nearest`` may be in reach. Buckets of more than ``band_rows`` are dealt to tasks by pairs of parts, so that any two rows of them meet.
     """
 
     def choose(fps, bits, roots, starts, ends):
         mixed = np.minimum.reduceat(roots, starts) != np.maximum.reduceat(roots, starts)
         sizes = (ends - starts + 1)[mixed]
         rows = np.flatnonzero(np.repeat(mixed, ends - starts + 1))
-        place = np.arange(len(rows)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-        bucket_end = np.repeat(np.cumsum(sizes) - 1, sizes)
-        part_end = np.arange(len(rows)) - place % band_rows + band_rows - 1
-        i, j = nearest_apart(fps[rows], np.minimum(bucket_end, part_end), radius, roots[rows], bits[rows], SIGNATURE_RADIUS, nearest, _outside_the_largest(bucket_end, roots[rows]))
-        return rows[i], rows[j]
-
-    return _buckets(of, choose)
+        last = np.repeat(np.cumsum(sizes) - 1, sizes)
+        seeks = _outside_the_largest(last, roots[rows])
+        if nearest is None:
+            for i, j in all_apart(fps[rows], last, radius, roots[rows], bits[rows], SIGNATURE_RADIUS, seeks):
+                yield rows[i], rows[j]
+            return
+        i, j = nearest_apart(fps[rows], last, radius, roots[rows], bits[rows], SIGNATURE_RADIUS, nearest, seeks)
+        yield rows[i], rows[j]
+        if len(i) and np.bincount(i).max() >= nearest:
+            yield i, None
+
+    found = cut(_buckets(of, choose, band_rows))
+    large = found.where("rows IS NOT NULL").groupBy(F.col("a").alias("key")).agg(F.ceil(2 * F.sum("rows") / F.lit(band_rows)).cast("int").alias("parts"))
+    own = F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")
+    dealt = of.withColumn("key", F.explode("bands")).join(F.broadcast(large), "key").withColumn("_own", own)
+    dealt = dealt.withColumn("_other", F.explode(F.expr("filter(sequence(0, parts - 1), x -> x <> _own)")))
+    dealt = dealt.withColumn("key", F.xxhash64("key", F.least("_own", "_other"), F.greatest("_own", "_other"))).drop("_own", "_other", "parts")
+    return found.where("rows IS NULL").union(_buckets(dealt, choose)).distinct()
 
 
 def similar(pairs: DataFrame, texts: DataFrame, width: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
@@ -346,7 +387,7 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = S
 
     First every row of a bucket is tried against the bucket's most central one, which
     joins groups of copies without forming their pairs; then each row is tried against the
-    nearest rows of its buckets that are still apart from it, in ``ROUNDS`` rounds. The number of pairs follows the number of rows.
+    nearest rows of its buckets that are still apart from it, more of them in each round of ``NEAREST``, until none in reach is untried.
     Documents without a doc_id group by text alone.
     """
     found = cut(features(docs, width))
@@ -367,14 +408,17 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = S
     tried = cut(star_candidates(of))
     links = verified(tried)
     roots = components(links)
-    for _ in range(ROUNDS):
+    for nearest in NEAREST:
         rooted = of.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        pairs = cut(cross_candidates(rooted).join(tried, ["a", "b"], "left_anti"))
+        found_pairs = cut(cross_candidates(rooted, nearest=nearest, band_rows=BAND_ROWS))
+        pairs = cut(found_pairs.where(F.col("b").isNotNull()).select("a", "b").join(tried, ["a", "b"], "left_anti"))
         more = verified(pairs)
-        if more.isEmpty():
+        if not more.isEmpty():
+            links = links.union(more)
+            roots = components(links)
+        if found_pairs.where("b IS NULL AND rows IS NULL").isEmpty():  # every row has been tried against all in its reach
             break
-        tried, links = tried.union(pairs), links.union(more)
-        roots = components(links)
+        tried = tried.union(pairs)
     final = of.select("node", "text_key").join(roots, "node", "left").select("text_key", "node", F.coalesce("root", "node").alias("component_id"))
     out = found.select("doc_id", "text_key").join(final, "text_key", "left")
     return out.select("doc_id", "text_key", "component_id", F.coalesce(F.col("node") == F.col("component_id"), F.lit(False)).alias("keep"))

@@ -1,5 +1,6 @@
 """Classifiers, decontamination, sharding, SimHash, packing, and the pipeline."""
 
+import hashlib
 import random
 import re
 import zlib
@@ -512,3 +513,17 @@ def test_near_duplicates_that_differ_in_how_often_a_line_repeats(spark):
     assert all(jaccard(a, b) > 0.95 for a, b in zip(texts[::2], texts[1::2]))
     got = {x["doc_id"]: x["component_id"] for x in simhash.near_duplicates(docs(spark, texts)).collect()}
     assert [k for k in range(0, len(texts), 2) if got[k + 1] != k] == []
+
+
+@pytest.mark.parametrize("band_rows", [1 << 14, 16])
+def test_near_duplicates_behind_many_nearer_rows_that_fail(spark, monkeypatch, band_rows):
+    """Two similar texts in one bucket with 40 others that are nearer by signature, and with too many rows for one part."""
+    texts = [" ".join(f"w{k}x{i}" for i in range(60)) for k in range(41)]
+    texts += [texts[40] + " more"]
+    bits = {40: [1023, 0, 0, 0], 41: [0, 1023, 0, 0]}
+    schema = "doc_id bigint, text_key string, fp bigint, bands array<bigint>, bits array<bigint>"
+    rows = [(k, hashlib.md5(t.encode()).hexdigest(), 0, [7], bits.get(k, [0] * 4)) for k, t in enumerate(texts)]
+    monkeypatch.setattr(simhash, "features", lambda docs, width: spark.createDataFrame(rows, schema))
+    monkeypatch.setattr(simhash, "BAND_ROWS", band_rows)
+    got = {x["doc_id"]: x["component_id"] for x in simhash.near_duplicates(docs(spark, texts)).collect()}
+    assert got == {k: min(k, 40) for k in range(42)}
