@@ -3,7 +3,7 @@
 Ordinary words and identifiers take few tokens for their characters; random strings
 take nearly one for every two. A run of token-like characters with fewer
 characters a token than ``RATIO`` is reported unless it is a known digest or identifier:
-hexadecimal of a digest's length, a UUID, digits alone, or a part of an e-mail or web address.
+hexadecimal of a digest's length, a UUID, digits alone, or a part of an e-mail or web address other than a query.
 
 Defined results: a null or empty text has no spans; matches of a base form that are
 too short are dropped and not retried from within; base spans always stay, others where they do
@@ -26,6 +26,8 @@ from .textbatch import slices
 
 #: Characters a token, below which a run is random; shortest run that is judged.
 RATIO, SHORTEST = 2.2, 16
+#: Letters of one case, shorter than which a run is taken for a word: rare words have as few characters a token.
+WORD = 24
 
 #: Forms of secrets and of known strings.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII | re.IGNORECASE)
@@ -65,12 +67,18 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
 
 def known(run: str, before: str, after: str) -> bool:
     """Whether a run is a digest, an identifier, plain words or a part of an address."""
-    if UUID.search(run) or run.isdigit() or not (re.search("[0-9]", run) and re.search("[A-Za-z]", run)):
+    if UUID.search(run) or not re.search("[A-Za-z]", run):
+        return True
+    if len(run) in DIGEST_LENGTHS and re.search("[0-9]", run) and re.fullmatch(r"[0-9a-f]+|[0-9A-F]+", run):
+        return True
+    if len(run) < WORD and run.isalpha() and (run[1:].islower() or run.isupper()):
         return True
-    if re.fullmatch(r"[0-9a-fA-F]+", run):
-        return len(run) in DIGEST_LENGTHS or run.islower() or run.isupper()
     joined = re.search(r"\S*$", before)[0]  # what the run continues without a space
-    return joined.endswith(("@", ".")) or "://" in joined + run or after == "@"
+    if "://" in joined + run:
+        return "?" not in joined  # values of a query are judged
+    if joined.endswith("."):
+        return not re.search(r"[A-Za-z0-9+/_=-]{16}\.$", joined)  # parts of a dotted token are judged
+    return joined.endswith("@") or after == "@"
 
 
 def random_spans(text: str, coder, ratio: float = RATIO) -> list[tuple[int, int, int]]:

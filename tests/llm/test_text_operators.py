@@ -177,6 +177,13 @@ def test_secrets_by_token_efficiency():
         assert not kinds(harmless), harmless
 
 
+def test_random_runs_of_letters_upper_hex_tokens_and_queries():
+    coder = secretscan.encoding(queries.tokenizer_path("byte_bpe_50k.tiktoken"))
+    letters, upper, part = "qXbTvKpLwZmRsNdHjGfYcQxWzVtBnMkP", "9F3A7C01E5B2D8464A90BC7E13F5D2688C0E97A1B35D42F6", "qX7bT2vK9pLw4ZmR8sNd"
+    for text, want in ((letters, [letters]), (upper, [upper]), (f"{part}.{part}", [part, part]), (f"https://host/a?k={part}", [f"k={part}"]), (upper[:32], []), ("internationalization", [])):
+        assert [text[s:e] for s, _, e in secretscan.random_spans(text, coder)] == want, text
+
+
 def test_secrets_query_digest(spark, sf):
     texts = dict(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect())
     for r in queries.op3_secrets(spark, sf).collect():
