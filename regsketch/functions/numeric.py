@@ -147,75 +147,89 @@ def _ml_side_by_side(counts: np.ndarray, epsilon: float, cap: int) -> tuple[np.n
     return out, rounds
 
 
-def joint_terms(stat: dict[str, np.ndarray], rates: np.ndarray, p: int, q: int) -> tuple[float, np.ndarray]:
-    """Log-likelihood and its gradient in the logs of the three rates."""
+def joint_terms_many(stats: np.ndarray, rates: np.ndarray, p: int, q: int) -> tuple[np.ndarray, np.ndarray]:
+    """Log-likelihood of each pair and its gradient in the logs of the three rates; stats is (pairs, 5, q + 2): lt1, gt1, lt2, gt2, eq."""
     m = float(1 << p)
-    k = np.arange(1, q + 2)
-    w = 2.0 ** -np.minimum(k, q).astype(float) / m
-    xa, xb, xx = (r * w for r in rates)
+    w = 2.0 ** -np.minimum(np.arange(1, q + 2), q).astype(float) / m
+    xa, xb, xx = (rates[:, k, None] * w for k in range(3))
     za, zb, zx = (-np.expm1(-v) for v in (xa, xb, xx))
     ya, yb, yx = 1 - za, 1 - zb, 1 - zx
-    lt1, gt1, lt2, gt2, eq = (stat[c][1:] for c in ("lt1", "gt1", "lt2", "gt2", "eq"))
+    lt1, gt1, lt2, gt2, eq = (stats[:, c, 1:] for c in range(5))
     tiny = 1e-300
     d1, d2, de = np.maximum(zx + yx * za, tiny), np.maximum(zx + yx * zb, tiny), np.maximum(zx + yx * za * zb, tiny)
     ga, gb = np.maximum(za, tiny), np.maximum(zb, tiny)
-    value = float((lt1 * np.log(d1) + lt2 * np.log(d2) + gt1 * np.log(ga) + gt2 * np.log(gb) + eq * np.log(de)).sum())
+    value = (lt1 * np.log(d1) + lt2 * np.log(d2) + gt1 * np.log(ga) + gt2 * np.log(gb) + eq * np.log(de)).sum(1)
     w0 = 2.0 ** -np.arange(q + 1).astype(float) / m
-    a0, b0, c0, d0, e0 = (stat[c][: q + 1] for c in ("lt1", "gt1", "lt2", "gt2", "eq"))
-    linear = np.array([((a0 + e0 + b0) * w0).sum(), ((c0 + e0 + d0) * w0).sum(), ((a0 + e0 + c0) * w0).sum()]) * rates
-    grad = np.array([
-        (lt1 * yx * xa * ya / d1 + eq * yx * xa * ya * zb / de + gt1 * xa * ya / ga).sum(),
-        (lt2 * yx * xb * yb / d2 + eq * yx * xb * yb * za / de + gt2 * xb * yb / gb).sum(),
-        (lt1 * xx * yx * ya / d1 + lt2 * xx * yx * yb / d2 + eq * xx * yx * (ya + za * yb) / de).sum(),
-    ])
-    return value - float(linear.sum()), grad - linear
+    a0, b0, c0, d0, e0 = (stats[:, c, : q + 1] for c in range(5))
+    linear = np.stack([((a0 + e0 + b0) * w0).sum(1), ((c0 + e0 + d0) * w0).sum(1), ((a0 + e0 + c0) * w0).sum(1)], axis=1) * rates
+    grad = np.stack([
+        (lt1 * yx * xa * ya / d1 + eq * yx * xa * ya * zb / de + gt1 * xa * ya / ga).sum(1),
+        (lt2 * yx * xb * yb / d2 + eq * yx * xb * yb * za / de + gt2 * xb * yb / gb).sum(1),
+        (lt1 * xx * yx * ya / d1 + lt2 * xx * yx * yb / d2 + eq * xx * yx * (ya + za * yb) / de).sum(1),
+    ], axis=1)
+    return value - linear.sum(1), grad - linear
 
 
-def joint_ml_bfgs(stat: dict[str, np.ndarray], p: int, q: int, tolerance: float | None = None, cap: int = 300) -> tuple[float, float, float, int, bool]:
-    """(only first, only second, both, iterations, identifiable) by BFGS in log rates.
+def joint_ml_many(stats: np.ndarray, p: int, q: int, tolerance: float | None = None, cap: int = 300) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """For each pair the sizes (only first, only second, both), the iterations, and whether the sizes are determined, by BFGS in log rates, all pairs side by side.
 
-    The search stops when no log rate moves by more than ``tolerance`` (1e-2 / sqrt(m) by default). Sketches of
+    A pair's search stops when no log rate moves by more than ``tolerance`` (1e-2 / sqrt(m) by default). Sketches of
     which every register is empty on one side share nothing; where one sketch lies above the other throughout, what
     they share is not determined.
     """
-    m = float(1 << p)
-    one, two = stat["lt1"] + stat["gt1"] + stat["eq"], stat["lt2"] + stat["gt2"] + stat["eq"]
-    union = stat["gt1"] + stat["gt2"] + stat["eq"]
-    n1, n2 = ml(one, 1e-6)[0], ml(two, 1e-6)[0]
-    known = (stat["lt1"].sum() + stat["eq"].sum() > 0) and (stat["lt2"].sum() + stat["eq"].sum() > 0)
-    if (stat["lt1"] + stat["lt2"] + stat["eq"])[1:].sum() == 0:
-        return n1, n2, 0.0, 0, bool(known)
-    if not (math.isfinite(n1) and math.isfinite(n2)):
-        return n1, n2, math.nan, 0, False
-    nu = ml(union, 1e-6)[0]
-    if np.array_equal(one, stat["eq"]) and np.array_equal(two, stat["eq"]):
-        return 0.0, 0.0, nu, 0, bool(known)
-    stop = 1e-2 / math.sqrt(m) if tolerance is None else tolerance
-    phi = np.log(np.maximum(1.0, [nu - n2, nu - n1, n1 + n2 - nu]))
-    floor = math.log(1e-9)
-    value, grad = joint_terms(stat, np.exp(phi), p, q)
-    inverse = np.eye(3) / max(1.0, float(np.abs(grad).max()))
-    rounds = 0
-    for rounds in range(1, cap + 1):
-        move = inverse @ grad
-        move *= min(1.0, 2.0 / max(1e-12, float(np.abs(move).max())))
-        scale = 1.0
-        while True:  # back to a step that does not lower the likelihood
-            new = np.maximum(phi + scale * move, floor)
-            value2, grad2 = joint_terms(stat, np.exp(new), p, q)
-            if value2 >= value + 1e-4 * scale * float(grad @ move) - 1e-9 * abs(value) * (scale < 1e-3) or scale < 1e-9:
-                break
-            scale /= 2
-        s, y = new - phi, grad - grad2
-        phi, value, grad = new, value2, grad2
-        sy = float(s @ y)
-        if sy > 1e-14:
-            t = np.eye(3) - np.outer(s, y) / sy
-            inverse = t @ inverse @ t.T + np.outer(s, s) / sy
-        if np.abs(s).max() <= stop:
+    n, m = len(stats), float(1 << p)
+    sizes, rounds = np.zeros((n, 3)), np.zeros(n, dtype=np.int64)
+    if not n:
+        return sizes, rounds, np.zeros(0, dtype=bool)
+    lt1, gt1, lt2, gt2, eq = (stats[:, c] for c in range(5))
+    one, two, union = lt1 + gt1 + eq, lt2 + gt2 + eq, gt1 + gt2 + eq
+    n1, n2, nu = (ml_many(v.astype(np.int64), 1e-6)[0] for v in (one, two, union))
+    known = (lt1.sum(1) + eq.sum(1) > 0) & (lt2.sum(1) + eq.sum(1) > 0)
+    apart = (lt1 + lt2 + eq)[:, 1:].sum(1) == 0
+    endless = ~apart & ~(np.isfinite(n1) & np.isfinite(n2))
+    known &= ~endless
+    equal = ~apart & ~endless & (lt1.sum(1) + gt1.sum(1) == 0)
+    sizes[apart | endless, :2] = np.stack([n1, n2], axis=1)[apart | endless]
+    sizes[endless, 2] = math.nan
+    sizes[equal, 2] = nu[equal]
+    live = np.flatnonzero(~(apart | endless | equal))
+    if not len(live):
+        return sizes, rounds, known
+    own = stats[live].astype(float)
+    stop, floor = 1e-2 / math.sqrt(m) if tolerance is None else tolerance, math.log(1e-9)
+    phi = np.log(np.maximum(1.0, np.stack([nu - n2, nu - n1, n1 + n2 - nu], axis=1)[live]))
+    value, grad = joint_terms_many(own, np.exp(phi), p, q)
+    inverse = np.eye(3)[None] / np.maximum(1.0, np.abs(grad).max(1))[:, None, None]
+    turn, open_ = np.zeros(len(live), dtype=np.int64), np.arange(len(live))
+    for _ in range(cap):
+        if not len(open_):
             break
+        turn[open_] += 1
+        was, now_value, now_grad = phi[open_], value[open_], grad[open_]
+        move = np.einsum("nij,nj->ni", inverse[open_], now_grad)
+        move *= np.minimum(1.0, 2.0 / np.maximum(1e-12, np.abs(move).max(1)))[:, None]
+        gain = (now_grad * move).sum(1)
+        scale = np.ones(len(open_))
+        new, new_value, new_grad = was.copy(), now_value.copy(), now_grad.copy()
+        seek = np.arange(len(open_))
+        while len(seek):  # back to steps that do not lower the likelihood
+            new[seek] = np.maximum(was[seek] + scale[seek, None] * move[seek], floor)
+            new_value[seek], new_grad[seek] = joint_terms_many(own[open_[seek]], np.exp(new[seek]), p, q)
+            enough = new_value[seek] >= now_value[seek] + 1e-4 * scale[seek] * gain[seek] - 1e-9 * np.abs(now_value[seek]) * (scale[seek] < 1e-3)
+            seek = seek[~enough & (scale[seek] >= 1e-9)]
+            scale[seek] /= 2
+        s, y = new - was, now_grad - new_grad
+        sy = (s * y).sum(1)
+        rises = np.flatnonzero(sy > 1e-14)
+        t = np.eye(3)[None] - s[rises, :, None] * y[rises, None, :] / sy[rises, None, None]
+        inverse[open_[rises]] = t @ inverse[open_[rises]] @ t.transpose(0, 2, 1) + s[rises, :, None] * s[rises, None, :] / sy[rises, None, None]
+        phi[open_], value[open_], grad[open_] = new, new_value, new_grad
+        open_ = open_[np.abs(s).max(1) > stop]
     rates = np.exp(phi)
-    if rates[2] < 0.5 and joint_terms(stat, np.array([rates[0], rates[1], 1e-9]), p, q)[0] >= value - 1e-9 * abs(value):
-        rates[2] = 0.0
+    without = rates.copy()
+    without[:, 2] = 1e-9
+    none = (rates[:, 2] < 0.5) & (joint_terms_many(own, without, p, q)[0] >= value - 1e-9 * np.abs(value))
+    rates[none, 2] = 0.0
     rates[rates < 1e-6] = 0.0
-    return float(rates[0]), float(rates[1]), float(rates[2]), rounds, bool(known)
+    sizes[live], rounds[live] = rates, turn
+    return sizes, rounds, known

@@ -68,16 +68,22 @@ def simhash(df: DataFrame, key: str, item: str, spec: SketchSpec) -> DataFrame:
     return own.select(key, F.concat(*(F.when(F.col(f"_b{b}") > 0, "1").otherwise("0") for b in range(63, -1, -1))).alias("simhash"))
 
 
+#: Steps of the bias table over the raw estimate.
+BIAS_STEPS = 256
+
+
 def bias_corrected(counts: Column, p: int, q: int) -> Column:
-    """Raw estimate less an interpolated bias up to 5 m; linear counting while it is below 0.7 m."""
+    """Raw estimate less an interpolated bias up to 5 m; linear counting while it is below 0.7 m. The bias comes from an even grid, so its place is found by division."""
     from .simulate import bias_curve
 
     m = 1 << p
     raw = E.raw(counts, p, q)
-    curve = bias_curve(p, q)
-    bias = F.lit(curve[0][1])
-    for (x0, y0), (x1, y1) in zip(curve[:-1], curve[1:], strict=True):
-        bias = F.when(raw >= x0, y0 + (raw - x0) * ((y1 - y0) / max(1e-9, x1 - x0))).otherwise(bias)
+    raws, biases = np.array(bias_curve(p, q)).T
+    first, step = float(raws[0]), float(raws[-1] - raws[0]) / BIAS_STEPS
+    grid = F.lit([float(x) for x in np.interp(first + step * np.arange(BIAS_STEPS + 1), raws, biases)])
+    place = F.greatest(F.lit(0.0), F.least(F.lit(BIAS_STEPS - 1e-9), (raw - first) / step))
+    at = F.floor(place).cast("int")
+    bias = F.get(grid, at) + (place - at) * (F.get(grid, at + 1) - F.get(grid, at))
     fixed = F.when(raw <= 5.0 * m, raw - bias).otherwise(raw)
     low = E.linear(counts, p)
     return F.when(low < 0.7 * m, low).otherwise(fixed)
@@ -114,11 +120,14 @@ def hip(df: DataFrame, item: str, order: str, keys: list[str], spec: SketchSpec)
 def self_learning_bitmap(df: DataFrame, item: str, order: str, keys: list[str], bits: int = 4096, most: int = 1_000_000) -> DataFrame:
     """(keys, estimate) by a bitmap with a sampling rate that falls as it fills, so that the relative error is alike up to ``most``.
 
-    It needs elements in order and cannot be merged; each key is one task's work, over the first sight of each element.
+    It needs elements in order and cannot be merged, so a key is one task's work; but as the rate only falls, an element can set its bit only if
+    it has a lower number than all before it at that bit. Only those go into the group: some bits * ln(elements / bits) rows for each key. The loop over them is Python's.
     """
     ship(df.sparkSession)
     word = F.xxhash64(item)
     firsts = df.where(F.col(item).isNotNull()).select(*keys, F.col(order).alias("at"), F.pmod(word, F.lit(bits)).cast("int").alias("bit"), (F.shiftrightunsigned(word, 20).bitwiseAND(F.lit((1 << 30) - 1)) / float(1 << 30)).alias("u")).groupBy(*keys, "bit", "u").agg(F.min("at").alias("at"))
+    earlier = Window.partitionBy(*keys, "bit").orderBy("at", "u").rowsBetween(Window.unboundedPreceding, -1)
+    firsts = firsts.withColumn("least", F.min("u").over(earlier)).where("least IS NULL OR u < least").drop("least")
     # The error e solves bits = ln(1 + 2 most e**2) / ln(1 + 2 e**2 / (1 - e**2)); rates follow from it.
     low, high = 1e-4, 0.5
     for _ in range(80):

@@ -11,13 +11,12 @@ from collections.abc import Callable, Iterator
 from functools import reduce as fold
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import estimators as E
-from ..functions.numeric import joint_ml_bfgs
+from ..functions.numeric import joint_ml_many
 from ..plans.ship import map_arrow
 from ..plans.spec import SketchSpec
 
@@ -162,18 +161,20 @@ def solve_fixed_point(df: DataFrame, spec: SketchSpec, rounds: int = 200) -> Dat
 
 
 def solve_bfgs(r5: DataFrame, spec: SketchSpec, tolerance: float | None = None) -> DataFrame:
-    """R5's keys with only_left, only_right, both, iterations, identifiable: joint maximum likelihood by a quasi-Newton search in log rates, in Arrow batches of pairs."""
+    """R5's keys with only_left, only_right, both, iterations, identifiable: joint maximum likelihood by a quasi-Newton search in log rates, all pairs of an Arrow batch side by side."""
     keys = [c for c in r5.columns if c != "stat"]
     p, q = spec.p, spec.q
 
     def solve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            stats = batch.column("stat").to_pylist()
-            found = [joint_ml_bfgs({k: np.array(s[k], dtype=float) for k in CASES}, p, q, tolerance) for s in stats]
-            frame = pd.DataFrame(found, columns=["only_left", "only_right", "both", "iterations", "identifiable"])
+            if not batch.num_rows:
+                continue
+            stat = batch.column("stat")
+            stats = np.stack([stat.field(k).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, q + 2) for k in CASES], axis=1)
+            sizes, rounds, known = joint_ml_many(stats, p, q, tolerance)
             own = [batch.column(k) for k in keys]
-            new = [pa.array(frame[c], t) for c, t in (("only_left", pa.float64()), ("only_right", pa.float64()), ("both", pa.float64()), ("iterations", pa.int32()), ("identifiable", pa.bool_()))]
-            yield pa.RecordBatch.from_arrays([*own, *new], names=[*keys, *frame.columns])
+            new = [*(pa.array(np.ascontiguousarray(sizes[:, k])) for k in range(3)), pa.array(rounds.astype(np.int32)), pa.array(known)]
+            yield pa.RecordBatch.from_arrays([*own, *new], names=[*keys, "only_left", "only_right", "both", "iterations", "identifiable"])
 
     schema = ", ".join([*(f"`{k}` {r5.schema[k].dataType.simpleString()}" for k in keys), "only_left double, only_right double, both double, iterations int, identifiable boolean"])
     return map_arrow(r5, solve, schema)

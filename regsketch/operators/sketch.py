@@ -89,25 +89,27 @@ def rollup(r1: DataFrame, keep: list[str]) -> DataFrame:
     return r1.groupBy(*keep, "idx").agg(F.max("reg").alias("reg"))
 
 
-def reduce(r1: DataFrame, spec: SketchSpec, p: int, q: int, keys: list[str] | None = None) -> DataFrame:
-    """The sketch that would have been built with p and q.
-
-    The address bits given up become the first bits of the rank; among registers that fall together the largest
-    rank wins, as in a merge.
-    """
+def reduced_register(idx: Column, reg: Column, spec: SketchSpec, p: int, q: int) -> tuple[Column, Column]:
+    """Where a register of ``spec`` goes in the sketch with p and q, and its value there: the address bits given up become the first bits of the rank."""
     spec.reduced(p, q)
-    keys, d = keys or [], spec.p - p
+    d = spec.p - p
     if d:
-        low = F.col("idx").bitwiseAND(F.lit((1 << d) - 1))
+        low = idx.bitwiseAND(F.lit((1 << d) - 1))
         bits = low
         for step in (1, 2, 4, 8, 16):
             if step < d:
                 bits = bits.bitwiseOR(F.shiftright(bits, step))
-        rank = F.when(low == 0, F.col("reg") + d).otherwise(F.lit(d + 1) - F.bit_count(bits))
+        rank = F.when(low == 0, reg + d).otherwise(F.lit(d + 1) - F.bit_count(bits))
     else:
-        rank = F.col("reg").cast("int")
-    limited = F.least(rank.cast("int"), F.lit(q + 1)).cast("tinyint")
-    return r1.select(*keys, F.shiftright("idx", d).alias("idx"), limited.alias("reg")).groupBy(*keys, "idx").agg(F.max("reg").alias("reg"))
+        rank = reg.cast("int")
+    return F.shiftright(idx, d), F.least(rank.cast("int"), F.lit(q + 1)).cast("tinyint")
+
+
+def reduce(r1: DataFrame, spec: SketchSpec, p: int, q: int, keys: list[str] | None = None) -> DataFrame:
+    """The sketch that would have been built with p and q; among registers that fall together the largest rank wins, as in a merge."""
+    keys = keys or []
+    idx, reg = reduced_register(F.col("idx"), F.col("reg"), spec, p, q)
+    return r1.select(*keys, idx.alias("idx"), reg.alias("reg")).groupBy(*keys, "idx").agg(F.max("reg").alias("reg"))
 
 
 def to_bitmap(r1: DataFrame, keys: list[str] | None = None) -> DataFrame:
@@ -130,14 +132,20 @@ def multiplicity_tall(r1: DataFrame, spec: SketchSpec, keys: list[str] | None =
 
 
 def multiplicity(r1: DataFrame, spec: SketchSpec, keys: list[str] | None = None) -> DataFrame:
-    """R3. Values are counted first, so that q + 2 rows for each key and task are shuffled; a global sketch without rows gives one empty vector."""
+    """R3. Each task counts the values of its own registers, so that one row for each key and task is shuffled, once; a global sketch without rows gives one empty vector."""
     keys = keys or []
-    seen = r1.groupBy(*keys, F.col("reg").cast("int").alias("k")).agg(F.count(F.lit(1)).alias("c"))
-    sums = [F.sum(F.when(F.col("k") == k, F.col("c"))).alias(f"_c{k}") for k in range(1, spec.q + 2)]
-    wide = seen.groupBy(*keys).agg(*sums)
-    own = [F.coalesce(F.col(f"_c{k}"), F.lit(0).cast("bigint")) for k in range(1, spec.q + 2)]
-    zero = F.lit(spec.m).cast("bigint") - fold(lambda a, b: a + b, own)
-    return wide.select(*keys, F.array(zero, *own).alias("counts"))
+    wide = r1.groupBy(*keys).agg(*(F.count(F.when(F.col("reg") == k, 1)).alias(f"_c{k}") for k in range(1, spec.q + 2)))
+    return wide.select(*keys, _vector([F.col(f"_c{k}") for k in range(1, spec.q + 2)], spec.m).alias("counts"))
+
+
+def multiplicity_of_tall(tall: DataFrame, spec: SketchSpec, keys: list[str]) -> DataFrame:
+    """R3 from (keys, k, c) of the values above 0."""
+    wide = tall.groupBy(*keys).agg(*(F.coalesce(F.sum(F.when(F.col("k") == k, F.col("c"))), F.lit(0).cast("bigint")).alias(f"_c{k}") for k in range(1, spec.q + 2)))
+    return wide.select(*keys, _vector([F.col(f"_c{k}") for k in range(1, spec.q + 2)], spec.m).alias("counts"))
+
+
+def _vector(own: list[Column], m: int) -> Column:
+    return F.array(F.lit(m).cast("bigint") - fold(lambda a, b: a + b, own), *own)
 
 
 def infer_spec(counts: Column) -> tuple[Column, Column]:
@@ -226,8 +234,12 @@ def running(r1: DataFrame, buckets: int, keys: list[str] | None = None) -> DataF
     return full.withColumn("reg", upto).where("reg is not null").select(*keys, "bucket", "idx", "reg")
 
 
+#: A last grid value that every number is below, so that the last snapshot is the whole table.
+WHOLE = 1 << 62
+
+
 def grid_bucket(order: Column, grid: list[int]) -> Column:
-    """The number of the first grid value above ``order``; null beyond the last."""
+    """The number of the first grid value above ``order``; null beyond the last (WHOLE is above all)."""
     return fold(lambda c, k: F.when(order < grid[k], F.lit(k)).otherwise(c), range(len(grid) - 1, -1, -1), F.lit(None).cast("int"))
 
 

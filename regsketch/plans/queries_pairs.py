@@ -23,8 +23,6 @@ from .registry import query
 from .spec import SketchSpec
 
 PAIRS = ("S1", "S2", "S3", "S4", "S5", "S6", "S7", "S8")
-#: Pairs on which the fixed point of the oracle settles within its rounds.
-SETTLED = ("S1", "S2", "S3", "S5", "S7")
 SIZES = ("only_left", "only_right", "both")
 
 
@@ -155,12 +153,12 @@ def exact_set_operators(spark, d):
 _RATES = [(2000.0 + 500 * i, 2000.0 + 500 * j, 7000.0 + 1000 * k) for i in range(4) for j in range(3) for k in range(3)]
 
 
-@query("joint_loglik", f"SELECT a, b, x, {O.sig('ll')} AS ll FROM (SELECT a, b, x, {O.loglik('a', 'b', 'x', 12, 20)} AS ll FROM ({lists_sql(('S1',))}), (VALUES {', '.join(f'({a}e0, {b}e0, {x}e0)' for a, b, x in _RATES)}) t(a, b, x))")
+@query("joint_loglik", f"SELECT pair, a, b, x, {O.sig('ll')} AS ll FROM (SELECT pair, a, b, x, {O.loglik('a', 'b', 'x', 12, 20)} AS ll FROM ({lists_sql()}), (VALUES {', '.join(f'({a}e0, {b}e0, {x}e0)' for a, b, x in _RATES)}) t(a, b, x))")
 def joint_loglik(spark, d):
-    """The joint log-likelihood of one pair over a grid of rates."""
+    """The joint log-likelihood of every pair over a grid of rates."""
     grid = F.explode(F.array(*(F.struct(F.lit(a).alias("a"), F.lit(b).alias("b"), F.lit(x).alias("x")) for a, b, x in _RATES)))
-    rows = statistics(spark, d, ("S1",)).select("stat", grid.alias("r")).select("stat", "r.*")
-    return rows.select("a", "b", "x", significant(J.loglik(F.col("stat"), F.col("a"), F.col("b"), F.col("x"), 12, 20)).alias("ll"))
+    rows = statistics(spark, d).select("pair", "stat", grid.alias("r")).select("pair", "stat", "r.*")
+    return rows.select("pair", "a", "b", "x", significant(J.loglik(F.col("stat"), F.col("a"), F.col("b"), F.col("x"), 12, 20)).alias("ll"))
 
 
 def _joint_sql(pairs: tuple[str, ...], rounds: int = 2000) -> str:
@@ -168,21 +166,21 @@ def _joint_sql(pairs: tuple[str, ...], rounds: int = 2000) -> str:
     return f"WITH RECURSIVE {singles_sql('s', lists_sql(pairs))}, {O.fixed_point('j', start, ['pair'], 12, 20, rounds)}"
 
 
-_JOINT = _joint_sql(SETTLED)
+_JOINT = _joint_sql(PAIRS)
 _DIGITS = 3
 
 
 @query("set_ops_joint_ml", f"{_JOINT} SELECT pair, round(a, {_DIGITS}) AS only_left, round(b, {_DIGITS}) AS only_right, round(x, {_DIGITS}) AS both FROM j")
 def set_ops_joint_ml(spark, d):
     """Joint maximum likelihood by the quasi-Newton search, run to its limit."""
-    found = J.solve_bfgs(statistics(spark, d, SETTLED), SPEC, 1e-11)
+    found = J.solve_bfgs(statistics(spark, d), SPEC, 1e-11)
     return found.select("pair", *(F.round(c, _DIGITS).alias(c) for c in SIZES))
 
 
-@query("set_ops_joint_fixed_point", f"{_joint_sql(('S1', 'S2', 'S5'), 200)} SELECT pair, round(a, {_DIGITS}) AS only_left, round(b, {_DIGITS}) AS only_right, round(x, {_DIGITS}) AS both FROM j")
+@query("set_ops_joint_fixed_point", f"{_joint_sql(PAIRS, 200)} SELECT pair, round(a, {_DIGITS}) AS only_left, round(b, {_DIGITS}) AS only_right, round(x, {_DIGITS}) AS both FROM j")
 def set_ops_joint_fixed_point(spark, d):
     """The same by the multiplicative fixed point, without Python."""
-    found = J.solve_fixed_point(statistics(spark, d, ("S1", "S2", "S5")), SPEC, 200)
+    found = J.solve_fixed_point(statistics(spark, d), SPEC, 200)
     return found.select("pair", *(F.round(F.col(f"rates.{r}"), _DIGITS).alias(c) for r, c in zip("abx", SIZES, strict=True)))
 
 
@@ -194,16 +192,17 @@ def set_ops_all_pairs(spark, d):
     return found.join(exact, "pair")
 
 
-_SMALL_SIDES = "SELECT 1 AS side, CAST(user_id AS BIGINT) AS x FROM events WHERE user_id < 5 UNION ALL SELECT 2, CAST(s_suppkey AS BIGINT) + 1000000 FROM supplier WHERE s_suppkey < 8"
-_SMALL_LISTS = O.pair_lists(O.registers(f"SELECT 'd' AS pair, side, x FROM ({_SMALL_SIDES})", ["pair", "side"], 16, 20), ["pair"], 16, 20)
+_APART = "SELECT 1 AS side, CAST(s_suppkey AS BIGINT) AS x FROM supplier UNION ALL SELECT 2, CAST(n_nationkey AS BIGINT) + 1000000000000 FROM nation"
+_APART_LISTS = O.pair_lists(O.registers(f"SELECT 'd' AS pair, side, x FROM ({_APART})", ["pair", "side"], 22, 20), ["pair"], 22, 20)
+_APART_EMPTY = "list_sum(lt1[2:]) + list_sum(lt2[2:]) + list_sum(eq[2:]) = 0"
 
 
-@query("joint_disjoint_shortcut", f"WITH RECURSIVE {singles_sql('s', _SMALL_LISTS, 16, 20)} SELECT {O.sig('n1')} AS only_left, {O.sig('n2')} AS only_right, 0.0::DOUBLE AS both FROM s")
+@query("joint_disjoint_shortcut", f"WITH RECURSIVE {singles_sql('s', f'SELECT * FROM ({_APART_LISTS}) WHERE {_APART_EMPTY}', 22, 20)} SELECT {O.sig('n1')} AS only_left, {O.sig('n2')} AS only_right, 0.0::DOUBLE AS both FROM s")
 def joint_disjoint_shortcut(spark, d):
-    """Two small sets without a common register: nothing is shared, and each has its own estimate; the solver is not called."""
-    spec = SketchSpec(16, 20, "md5_64")
-    a = table(spark, d, "events").where("user_id < 5").select(F.lit(1).alias("side"), F.col("user_id").cast("bigint").alias("x"))
-    b = table(spark, d, "supplier").where("s_suppkey < 8").select(F.lit(2).alias("side"), (F.col("s_suppkey").cast("bigint") + 1000000).alias("x"))
+    """Two whole tables' keys, few for so many registers: where no register is hit by both, nothing is shared, and each set has its own estimate; the solver is not called."""
+    spec = SketchSpec(22, 20, "md5_64")
+    a = table(spark, d, "supplier").select(F.lit(1).alias("side"), F.col("s_suppkey").cast("bigint").alias("x"))
+    b = table(spark, d, "nation").select(F.lit(2).alias("side"), (F.col("n_nationkey").cast("bigint") + 1_000_000_000_000).alias("x"))
     stat = J.pair_statistic(S.build(a.unionByName(b), "x", spec, ["side"]).withColumn("pair", F.lit("d")), spec, ["pair"])
     one = J.single_estimates(F.col("stat"), spec, 1e-12)
     return stat.where(J.disjoint(F.col("stat"))).select(significant(one["s1"]).alias("only_left"), significant(one["s2"]).alias("only_right"), F.lit(0.0).alias("both"))
@@ -223,14 +222,14 @@ def joint_identical(spark, d):
 
 @query("union_joint_vs_merge", f"{_JOINT} SELECT pair, {O.sig('a + b + x')} AS joint, {O.sig('nu')} AS merged FROM j JOIN s USING (pair)")
 def union_joint_vs_merge(spark, d):
-    stat = statistics(spark, d, SETTLED)
+    stat = statistics(spark, d)
     merged = stat.select("pair", significant(J.single_estimates(F.col("stat"), SPEC, 1e-12)["union"]).alias("merged"))
     return J.report(J.solve_bfgs(stat, SPEC, 1e-11)).select("pair", significant(F.col("union")).alias("joint")).join(merged, "pair")
 
 
 @query("jaccard_joint", f"{_JOINT} SELECT pair, round(x / (a + b + x), 6) AS jaccard FROM j")
 def jaccard_joint(spark, d):
-    return J.report(J.solve_bfgs(statistics(spark, d, SETTLED), SPEC, 1e-11)).select("pair", F.round("jaccard", 6).alias("jaccard"))
+    return J.report(J.solve_bfgs(statistics(spark, d), SPEC, 1e-11)).select("pair", F.round("jaccard", 6).alias("jaccard"))
 
 
 _FLAGS = f"SELECT DISTINCT l_returnflag AS f FROM lineitem"

@@ -190,7 +190,7 @@ def append_pruning(spark, d):
     return S.append_pruning(S.build(line.where(_EARLY), "l_orderkey", spec), line.where(_LATE), "l_orderkey", spec)
 
 
-GRID = [4**k for k in range(2, 10)]
+GRID = [*(4**k for k in range(2, 10)), S.WHOLE]
 _SNAP = " UNION ALL ".join(f"SELECT {k} AS bucket, l_orderkey AS x FROM lineitem WHERE l_orderkey < {t}" for k, t in enumerate(GRID))
 _SNAP_REGS = O.registers(_SNAP, ["bucket"])
 
@@ -439,7 +439,7 @@ def monotonicity_check(spark, d):
     """How often an estimate falls while elements are added: never."""
     from pyspark.sql import Window
 
-    grid = [200 * k for k in range(1, 81)]
+    grid = [*(200 * k for k in range(1, 81)), *(32_000 * 2**k for k in range(20)), S.WHOLE]
     snaps = S.multiplicity(S.snapshots(lineitem(spark, d), "l_orderkey", "l_orderkey", grid, SPEC), SPEC, ["bucket"])
     col = F.col("counts")
     found = F.array(*(F.struct(F.lit(n).alias("method"), e.alias("estimate")) for n, e in (("corrected_raw", E.corrected_raw(col, 12, 20)), ("ml", E.ml(col, 12, 20, 1e-12)))))

@@ -13,6 +13,7 @@ from ..operators import metrics, simulate
 from ..operators import sketch as S
 from ..sources.tables import table
 from . import oracle as O
+from .lineage import cut
 from .queries_single import GRID, GRP, LINE, SPEC, lineitem, vectors
 from .registry import query
 from .spec import SketchSpec
@@ -22,13 +23,24 @@ CONFIGS = ((12, 20), (8, 24), (16, 16), (22, 10), (12, 52), (12, 14))
 BASE = SketchSpec(22, 42, "md5_64")
 
 
-def seeded_snapshots(spark, d, spec: SketchSpec = BASE) -> DataFrame:
-    """R1 by (seed, bucket) of growing key prefixes under independent hash functions."""
-    keys = lineitem(spark, d).select("l_orderkey").distinct().withColumn("bucket", S.grid_bucket(F.col("l_orderkey"), GRID)).where("bucket is not null")
+def seeded_counts(spark, d, shapes: tuple[tuple[int, int], ...]) -> DataFrame:
+    """(p, q, seed, bucket, k, c): value counts above 0 of growing key prefixes under independent hash functions, for all shapes at once.
+
+    Every update is reduced to each shape; one aggregation then keeps for each register its value in every prefix, as
+    the maximum over the buckets up to it, so that no sketch is built twice and none is cut again by window.
+    """
+    keys = lineitem(spark, d).select("l_orderkey").distinct().withColumn("bucket", S.grid_bucket(F.col("l_orderkey"), GRID))
     each = keys.withColumn("seed", F.explode(F.sequence(F.lit(1), F.lit(SEEDS))))
     word = F.conv(F.substring(F.md5(F.concat(F.col("seed").cast("string"), F.lit(":"), F.col("l_orderkey").cast("string"))), 1, 16), 16, -10).cast("bigint")
-    rows = each.select("seed", "bucket", word.alias("h")).select("seed", "bucket", address(F.col("h"), spec).alias("idx"), rank(F.col("h"), spec).alias("rank"))
-    return S.running(rows.groupBy("seed", "bucket", "idx").agg(F.max("rank").alias("reg")), len(GRID), ["seed"])
+    base = each.select("seed", "bucket", word.alias("h")).select("seed", "bucket", address(F.col("h"), BASE).alias("idx"), rank(F.col("h"), BASE).alias("reg"))
+    own = []
+    for p, q in shapes:
+        idx, reg = S.reduced_register(F.col("idx"), F.col("reg"), BASE, p, q)
+        own.append(F.struct(F.lit(p).alias("p"), F.lit(q).alias("q"), idx.alias("idx"), reg.alias("reg")))
+    rows = base.select("seed", "bucket", F.explode(F.array(*own)).alias("x")).select("seed", "bucket", "x.*")
+    upto = rows.groupBy("p", "q", "seed", "idx").agg(*(F.max(F.when(F.col("bucket") <= k, F.col("reg"))).alias(f"r{k}") for k in range(len(GRID))))
+    tall = upto.select("p", "q", "seed", F.posexplode(F.array(*(F.col(f"r{k}") for k in range(len(GRID))))).alias("bucket", "k")).where("k IS NOT NULL")
+    return tall.groupBy("p", "q", "seed", "bucket", F.col("k").cast("int").alias("k")).agg(F.count(F.lit(1)).alias("c"))
 
 
 def truths(spark, d) -> DataFrame:
@@ -38,13 +50,16 @@ def truths(spark, d) -> DataFrame:
     return full.select("bucket", F.sum(F.coalesce("c", F.lit(0))).over(Window.orderBy("bucket")).cast("double").alias("n"))  # len(GRID) rows
 
 
-def _curve(spark, d, specs, estimate, base: DataFrame | None = None) -> DataFrame:
-    base = seeded_snapshots(spark, d) if base is None else base
+def _vectors(counts: DataFrame, p: int, q: int) -> DataFrame:
+    """R3 by seed and bucket of one shape of ``seeded_counts``."""
+    return S.multiplicity_of_tall(counts.where((F.col("p") == p) & (F.col("q") == q)), SketchSpec(p, q, "md5_64"), ["seed", "bucket"])
+
+
+def _curve(spark, d, specs, estimate) -> DataFrame:
+    counts = cut(seeded_counts(spark, d, specs))  # SEEDS * buckets * (q + 1) rows for each shape
     out = None
     for p, q in specs:
-        spec = SketchSpec(p, q, "md5_64")
-        own = S.multiplicity(S.reduce(base, BASE, p, q, ["seed", "bucket"]), spec, ["seed", "bucket"])
-        errors = own.join(F.broadcast(truths(spark, d)), "bucket").select(F.lit(p).alias("p"), F.lit(q).alias("q"), "bucket", metrics.relative_error(estimate(F.col("counts"), p, q), F.col("n")).alias("rel_err"))
+        errors = _vectors(counts, p, q).join(F.broadcast(truths(spark, d)), "bucket").select(F.lit(p).alias("p"), F.lit(q).alias("q"), "bucket", metrics.relative_error(estimate(F.col("counts"), p, q), F.col("n")).alias("rel_err"))
         out = errors if out is None else out.unionByName(errors)
     return _rounded(metrics.summary(out, ["p", "q", "bucket"]), ["p", "q", "bucket"])
 
@@ -106,7 +121,7 @@ _CMP_COUNTS = O.counts(O.registers(_SEEDED, ["seed", "bucket"], seed="seed"), ["
 
 
 def _compared(spark, d, methods: dict) -> DataFrame:
-    own = S.multiplicity(S.reduce(seeded_snapshots(spark, d), BASE, 12, 20, ["seed", "bucket"]), SPEC, ["seed", "bucket"])
+    own = _vectors(seeded_counts(spark, d, ((12, 20),)), 12, 20)
     found = F.array(*(F.struct(F.lit(n).alias("method"), f(F.col("counts")).alias("estimate")) for n, f in methods.items()))
     rows = own.select("bucket", F.explode(found).alias("r")).select("bucket", "r.*").join(F.broadcast(truths(spark, d)), "bucket")
     stats = metrics.summary(rows.withColumn("rel_err", metrics.relative_error(F.col("estimate"), F.col("n"))), ["method", "bucket"])
@@ -127,27 +142,42 @@ def stdev_comparison_trained(spark, d):
     return _compared(spark, d, _CMP | {"bias_corrected": lambda c: bias_corrected(c, 12, 20), "ml": lambda c: E.ml(c, 12, 20)})
 
 
+#: Shape and pairs of each setting of sizes: many small sketches, and the large ones of the published tables.
+JOINT_RUNS = (((12, 52), 400), ((20, 44), 60))
+
+
 @query("joint_error_grid")
 def joint_error_grid(spark, d):
-    """Error of joint and conventional estimates over simulated pairs of known sizes."""
-    return simulate.joint_error_grid(simulate.joint_samples(spark, SketchSpec(12, 52), 60))
+    """Mean, standard deviation and root mean square error of joint and conventional estimates of the three sizes and of the union, and iterations, over simulated pairs of known sizes."""
+    parts = [simulate.joint_error_grid(simulate.joint_samples(spark, SketchSpec(p, q), runs)).select(F.lit(p).alias("p"), F.lit(q).alias("q"), "*") for (p, q), runs in JOINT_RUNS]
+    return parts[0].unionByName(parts[1])
+
+
+#: Simulated sketches for each size and shape.
+ERROR_RUNS = 1000
+
+
+def _simulated(spark, shapes, sizes, runs: int) -> DataFrame:
+    parts = [simulate.error_samples(spark, SketchSpec(p, q), list(sizes), runs).select(F.lit(p).alias("p"), F.lit(q).alias("q"), "*") for p, q in shapes]
+    out = parts[0]
+    for x in parts[1:]:
+        out = out.unionByName(x)
+    return out
 
 
 @query("simulated_errors")
 def simulated_errors(spark, d):
-    """Bias and spread of both estimators up to 5e10 elements, from simulated registers."""
-    return metrics.summary(simulate.error_samples(spark, SketchSpec(12, 52), [10**k for k in range(1, 11)] + [5 * 10**10], 40), ["method", "n"])
+    """Bias, median, spread and bands of both estimators for six shapes from 10 to 5e10 elements, two sizes a decade, from simulated registers."""
+    errors, by = cut(_simulated(spark, CONFIGS, simulate.SIZES, ERROR_RUNS)), ["p", "q", "method", "n"]
+    return metrics.summary(errors, by).join(metrics.bands(errors, by), by)
 
 
 @query("operating_range")
 def operating_range(spark, d):
-    """How far each of three shapes goes before its mean error passes 3 %."""
-    out = None
-    for p, q in ((12, 20), (12, 14), (12, 52)):
-        table_ = metrics.summary(simulate.error_samples(spark, SketchSpec(p, q), [10**k for k in range(3, 12)], 30), ["method", "n"])
-        own = metrics.operating_range(table_, ["method"], 0.03).select(F.lit(p).alias("p"), F.lit(q).alias("q"), "method", "up_to")
-        out = own if out is None else out.unionByName(own)
-    return out
+    """How far each of three shapes goes before its mean error passes 3 %; eight sizes a decade."""
+    errors = _simulated(spark, ((12, 20), (12, 14), (12, 52)), [int(10 ** (k / 8)) for k in range(24, 89)], 250)
+    by = ["p", "q", "method"]
+    return metrics.operating_range(cut(metrics.summary(errors, [*by, "n"])), by, 0.03)
 
 
 # Groupings ------------------------------------------------------------------

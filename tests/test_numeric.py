@@ -91,51 +91,75 @@ def test_four_bit_registers_saturate_late():
     assert abs(np.mean(errors)) < 0.03
 
 
+CELLS = ("lt1", "gt1", "lt2", "gt2", "eq")
+
+
+def joint(pairs, p, q, tolerance=None):
+    return N.joint_ml_many(np.array([[s[k] for k in CELLS] for s in pairs]), p, q, tolerance)
+
+
 @pytest.mark.parametrize("size", [(1000, 1000, 1000), (100_000, 100_000, 1000), (100, 100_000, 100_000)])
 def test_gradient_and_solver(size):
     stat = simulate.pair_of(*size, 12, 52, np.random.default_rng(sum(size)))
+    stats = np.array([[stat[k] for k in CELLS]])
+    terms = lambda rates: (lambda v, g: (v[0], g[0]))(*N.joint_terms_many(stats, np.array([rates]), 12, 52))
     phi = np.log(np.array(size, dtype=float) * [1.1, 0.9, 1.05])
-    _, grad = N.joint_terms(stat, np.exp(phi), 12, 52)
+    _, grad = terms(np.exp(phi))
     for k in range(3):
         d = np.zeros(3)
         d[k] = 1e-5
-        central = (N.joint_terms(stat, np.exp(phi + d), 12, 52)[0] - N.joint_terms(stat, np.exp(phi - d), 12, 52)[0]) / 2e-5
+        central = (terms(np.exp(phi + d))[0] - terms(np.exp(phi - d))[0]) / 2e-5
         assert grad[k] == pytest.approx(central, rel=1e-4, abs=1e-3)
-    found = N.joint_ml_bfgs(stat, 12, 52, 1e-10)
-    best, grad = N.joint_terms(stat, np.array(found[:3]), 12, 52)
+    found = joint([stat], 12, 52, 1e-10)[0][0]
+    best, grad = terms(found)
     assert np.abs(grad).max() < 1e-2
     for k in range(3):
         for f in (0.98, 1.02):
-            moved = np.array(found[:3])
+            moved = found.copy()
             moved[k] *= f
-            assert N.joint_terms(stat, moved, 12, 52)[0] <= best + 1e-9
+            assert terms(moved)[0] <= best + 1e-9
 
 
-@pytest.mark.parametrize("config", [(1000, 1000, 1000), (1_000_000, 1_000_000, 100_000), (100_000, 100_000, 1000)])
-def test_joint_beats_inclusion_exclusion(config):
-    r = np.random.default_rng(7)
-    joint, conventional = [], []
-    for _ in range(60):
-        s = simulate.pair_of(*config, 12, 52, r)
-        found = N.joint_ml_bfgs(s, 12, 52)
-        n1, n2, nu = (N.ml(v)[0] for v in (s["lt1"] + s["gt1"] + s["eq"], s["lt2"] + s["gt2"] + s["eq"], s["gt1"] + s["gt2"] + s["eq"]))
-        joint.append([f - c for f, c in zip(found[:3], config)])
-        conventional.append([nu - n2 - config[0], nu - n1 - config[1], n1 + n2 - nu - config[2]])
-    factor = np.sqrt((np.array(conventional) ** 2).mean(0) / (np.array(joint) ** 2).mean(0))
-    assert (factor > 0.97).all()
-    if config[2] * 20 <= config[0]:
-        assert factor[2] > 2
+def test_pairs_side_by_side_are_pairs_alone():
+    r = np.random.default_rng(8)
+    pairs = [simulate.pair_of(*c, 10, 30, r) for c in simulate.JOINT_GRID for _ in range(5)]
+    sizes, rounds, known = joint(pairs, 10, 30)
+    for k, s in enumerate(pairs):
+        one = joint([s], 10, 30)
+        assert sizes[k] == pytest.approx(one[0][0], rel=1e-9) and rounds[k] == one[1][0] and known[k] == one[2][0]
 
 
 def test_special_pairs():
     r = np.random.default_rng(3)
-    same = simulate.pair_of(0, 0, 5000, 12, 20, r)
-    a, b, x, _, known = N.joint_ml_bfgs(same, 12, 20)
-    assert a == b == 0 and known and x == pytest.approx(5000, rel=0.1)
-    apart = simulate.pair_of(5, 6, 0, 16, 20, r)
-    assert N.joint_ml_bfgs(apart, 16, 20)[2] == 0
+    sizes, _, known = joint([simulate.pair_of(0, 0, 5000, 12, 20, r)], 12, 20)
+    assert sizes[0, 0] == sizes[0, 1] == 0 and known[0] and sizes[0, 2] == pytest.approx(5000, rel=0.1)
+    assert joint([simulate.pair_of(5, 6, 0, 16, 20, r)], 16, 20)[0][0, 2] == 0
     above = {"lt1": np.zeros(6), "gt1": np.array([0, 0, 0, 4, 0, 0.0]), "lt2": np.array([0, 4, 0, 0, 0, 0.0]), "gt2": np.zeros(6), "eq": np.zeros(6)}
-    assert not N.joint_ml_bfgs(above, 2, 4)[4]
+    assert not joint([above], 2, 4)[2][0]
+    full = {"lt1": np.zeros(6), "gt1": np.zeros(6), "lt2": np.zeros(6), "gt2": np.zeros(6), "eq": np.array([0, 0, 0, 0, 0, 4.0])}
+    sizes, _, known = joint([full], 2, 4)
+    assert not known[0] and np.isnan(sizes[0, 2])
+    assert len(N.joint_ml_many(np.zeros((0, 5, 6)), 2, 4)[0]) == 0
+
+
+def test_drawn_counts_are_those_of_inserted_elements():
+    """Counts drawn by numbers of hits have the distribution of registers that are hit one by one, at either way of drawing."""
+    r = np.random.default_rng(12)
+    for n, p, q in ((3000, 12, 20), (60_000, 14, 30), (50_000, 6, 20)):
+        ones = np.array([np.bincount(simulate.registers_of(n, p, q, r), minlength=q + 2) for _ in range(400)])
+        drawn = [simulate.counts_of(n, p, q, r) for _ in range(400)]
+        many, sizes = np.array([c for _, c in drawn]), np.array([s for s, _ in drawn])
+        assert (many.sum(1) == 1 << p).all() and abs(sizes.mean() / n - 1) < 5 / (400 * n) ** 0.5
+        spread = np.sqrt(ones.var(0) + many.var(0)) / 20 + 0.05
+        assert (np.abs(ones.mean(0) - many.mean(0)) < 6 * spread).all()
+
+
+@pytest.mark.parametrize("n, mean", [(1000, 2.0), (3000, 2.0), (8000, 3.0), (10**6, 3.0)])
+def test_mean_rounds_of_the_secant_over_n(n, mean):
+    """Two rounds below some 5000 elements and three above, never more."""
+    r = np.random.default_rng(n)
+    rounds = N.ml_many(np.array([simulate.counts_of(n, 12, 20, r)[1] for _ in range(300)]))[1]
+    assert rounds.max() <= 3 and abs(rounds.mean() - mean) < 0.35
 
 
 def test_batches_are_the_single_estimates():

@@ -111,7 +111,8 @@ def test_simulated_vectors(spark):
     drawn = simulate.draw_registers(spark, 10_000, SketchSpec(10, 22), 20)
     assert all(sum(r["counts"]) == 1024 for r in drawn.collect())
     one = drawn.limit(1)
-    dealt = simulate.shuffle_registers(one)
+    dealt = simulate.shuffle_registers(one, 10)
+    assert dealt.select("idx").distinct().count() == dealt.count()
     assert S.multiplicity(dealt, SketchSpec(10, 22)).first()["counts"] == one.first()["counts"]
 
 
