@@ -75,44 +75,6 @@ def near_pairs(fingerprints: np.ndarray, last: np.ndarray, radius: int) -> tuple
     return tuple(np.concatenate(x) for x in zip(*found, strict=True))
 
 
-def nearest_apart(fingerprints: np.ndarray, last: np.ndarray, radius: int, roots: np.ndarray, signatures: np.ndarray, most: int, k: int, seeks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """For each row that ``seeks`` the ``k`` rows of its group that are nearest by signature, among those within the radius that have another root.
-
-    Signatures are rows of 64-bit words; pairs that differ in more than ``most`` of their bits are left. Memory follows the rows, not the pairs.
-    """
-    n = len(fingerprints)
-    best, partner = np.full((n, k), most + 1), np.full((n, k), -1)
-    for i, j in pairs_by_shift(fingerprints, last, radius):
-        apart = roots[i] != roots[j]
-        i, j = i[apart], j[apart]
-        far = np.bitwise_count(signatures[i] ^ signatures[j]).sum(1, dtype=np.int64)
-        for x, y in ((i, j), (j, i)):  # on either side a row is in one pair of a distance at most
-            asks = seeks[x]
-            x, y, own = x[asks], y[asks], far[asks]
-            slot = best[x].argmax(1)
-            nearer = own < best[x, slot]
-            best[x[nearer], slot[nearer]] = own[nearer]
-            partner[x[nearer], slot[nearer]] = y[nearer]
-    row, slot = np.nonzero(partner >= 0)
-    return row, partner[row, slot]
-
-
-def all_apart(fingerprints: np.ndarray, last: np.ndarray, radius: int, roots: np.ndarray, signatures: np.ndarray, most: int, seeks: np.ndarray, chunk: int = 1 << 18) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """All pairs among which ``nearest_apart`` chooses, some ``chunk`` of them at a time."""
-    held, size = [], 0
-    for i, j in pairs_by_shift(fingerprints, last, radius):
-        asks = (roots[i] != roots[j]) & (seeks[i] | seeks[j])
-        i, j = i[asks], j[asks]
-        near = np.bitwise_count(signatures[i] ^ signatures[j]).sum(1, dtype=np.int64) <= most
-        held.append((i[near], j[near]))
-        size += len(held[-1][0])
-        if size >= chunk:
-            yield tuple(np.concatenate(x) for x in zip(*held, strict=True))
-            held, size = [], 0
-    if size:
-        yield tuple(np.concatenate(x) for x in zip(*held, strict=True))
-
-
 def smallest_reachable(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
     """For each of n rows the first row that it is linked to, directly or through others."""
     label = np.arange(n)

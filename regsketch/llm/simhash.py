@@ -11,10 +11,10 @@ Two ways to use it:
   fingerprints at most however dense the bucket is.
 * ``near_duplicates``: documents whose sets of word shingles have a Jaccard
   similarity of at least 0.8. Such pairs are too far apart for exact tables
-  on fingerprints (about ten bits of 64), so buckets are bands of a one-permutation
-  MinHash signature; the bit-sliced kernel discards pairs beyond a wide radius, one bit of
-  each of 256 further bins says which of the others are nearest, and the exact
-  similarity of the shingle sets decides.
+  on fingerprints (about ten bits of 64), so buckets are the shingles that similar sets
+  must share if the rare ones come first (``shingles.prefixes``): no similar pair is in no bucket. Of each bucket's
+  rows the bit-sliced kernel discards pairs beyond a wide radius, and the exact
+  similarity of the shingle sets decides. Nothing is capped.
 
 Defined results: a null or white-space text has no words and fingerprint zero, and
 is linked like any other; fewer words than a shingle form one shingle; repeated rows
@@ -29,14 +29,15 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.ship import map_arrow
-from .bitslice import all_apart, near_pairs, nearest_apart, smallest_reachable
+from .bitslice import near_pairs, pairs_by_shift, smallest_reachable
 from .components import components
+from .shingles import SHINGLE, SIMILARITY, SLICE, ordered_sets, prefixes, rarity, spread
 from .storage import collect_garbage, cut, free
-from .textbatch import filled, slices
+from .textbatch import expanded, filled, slices
 
 SEED = 42
 RADIUS = 2
@@ -45,18 +46,14 @@ BUCKET_ROWS = 4096
 #: Rows that the kernel takes at once, whole buckets.
 KERNEL_ROWS = 1 << 17
 
-#: Documents: words of a shingle, least similarity, bins of the signature, bins of a band, and the radius
-#: beyond which fingerprints of so similar sets do not lie (ten bits on average, three as deviation; four shingles of five: twelve bits, beyond 28 some 1e-6).
-SHINGLE, SIMILARITY, BINS, BAND, WIDE_RADIUS = 5, 0.8, 100, 5, 28
-#: Bins of which a signature has one bit each, zero if empty, and the differing ones beyond which so similar sets do not lie. At 0.8 the least hash of
-#: a bin is of one set alone with 0.2 and then differs in its bit with one half, so that sets of any size differ in 26 at most on average, five as deviation; beyond 56 about 1e-7.
-SIGNATURE_BITS, SIGNATURE_RADIUS = 256, 56
-#: Bits of the map that says which texts are needed to verify pairs; 8 MB.
+#: The radius beyond which fingerprints of sets with a similarity of 0.8 do not lie: ten bits on average, three as deviation; four shingles of five: twelve bits, beyond 28 some 1e-6.
+WIDE_RADIUS = 28
+#: Bits of the map that says which rows are needed for a join; 8 MB.
 MARKS = 1 << 26
-#: Nearest rows of each band bucket that a row of another component is tried against, round by round; at last all that are in reach.
-NEAREST = (4, 32, None)
-#: Rows of a bucket that one task compares with each other; larger buckets are dealt by pairs of parts.
-BAND_ROWS = 1 << 14
+#: Rounds in which rows are tried against the hubs of their buckets, before all that are still apart are compared.
+STARS = 2
+#: Pairs of one text that are verified in one place.
+FAN = 2000
 
 
 def shingle_hashes(text: bytes, width: int, seed: int = SEED) -> np.ndarray:
@@ -68,22 +65,27 @@ def shingle_hashes(text: bytes, width: int, seed: int = SEED) -> np.ndarray:
     return np.array([digest(join(words[i : i + width]), seed) for i in range(max(1, len(words) - width + 1))], dtype="<u8")
 
 
+#: For each byte a word with bit k of it in byte k: eight counters side by side, good for 255 additions.
+_LANES = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").astype(np.uint8).view("<u8").ravel()
+
+
 def majority_bits(hashes: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     """For each run of hashes the number whose bits are set in over half of them; zero for an empty run."""
     counts = np.diff(bounds)
     out = np.zeros(len(counts), dtype="<u8")
     full = np.flatnonzero(counts)
     if len(full):
-        bits = np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-        sums = np.add.reduceat(bits, bounds[:-1][full], axis=0, dtype=np.int64)
+        parts = -(-counts[full] // 255)
+        starts = np.repeat(bounds[:-1][full], parts) + 255 * expanded(np.zeros(len(full), dtype=np.int64), parts)
+        eight = hashes.view(np.uint8).reshape(-1, 8)
+        lanes = np.stack([np.add.reduceat(_LANES[eight[:, k]], starts) for k in range(8)], axis=1)
+        sums = np.add.reduceat(np.ascontiguousarray(lanes).view(np.uint8).reshape(-1, 64), np.cumsum(parts) - parts, axis=0, dtype=np.int64)
         out[full] = np.packbits(2 * sums > counts[full, None], axis=1, bitorder="little").view("<u8").ravel()
     return out
 
 
-def _hashed(column: pa.Array, width: int, seed: int, once: bool = False) -> tuple[np.ndarray, np.ndarray]:
+def _hashed(column: pa.Array, width: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
     each = [shingle_hashes(x, width, seed) for x in pc.cast(filled(column), pa.large_binary()).to_pylist()]
-    if once:
-        each = [np.unique(x) for x in each]
     bounds = np.concatenate([[0], np.cumsum([len(x) for x in each], dtype=np.int64)])
     return (np.concatenate(each) if each else np.empty(0, dtype="<u8")), bounds
 
@@ -185,187 +187,109 @@ def simhash_components(docs: DataFrame, width: int = 3, seed: int = SEED) -> Dat
     return link_fingerprints(cut(fingerprints(docs, width, seed)))
 
 
-def signatures(hashes: np.ndarray, bounds: np.ndarray, bins: int = BINS, borrow: bool = True) -> np.ndarray:
-    """One-permutation MinHash: the least hash in each of ``bins`` bins of each run; an empty bin borrows from the next full one, or is zero."""
-    counts = np.diff(bounds)
-    least = np.zeros((len(counts), bins), dtype=np.uint64)
-    full = np.zeros((len(counts), bins), dtype=bool)
-    if len(hashes):
-        mixed = (hashes ^ (hashes >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
-        cell = np.repeat(np.arange(len(counts)), counts) * bins + (mixed >> np.uint64(32)).astype(np.int64) % bins
-        order = np.argsort(cell, kind="stable")
-        firsts = np.concatenate([[0], np.flatnonzero(np.diff(cell[order])) + 1])
-        least.ravel()[cell[order][firsts]] = np.minimum.reduceat(mixed[order], firsts)
-        full.ravel()[cell[order][firsts]] = True
-    if not borrow:
-        return least
-    out, done = least.copy(), full.copy()
-    for step in range(1, bins):
-        lend = np.roll(full, -step, axis=1) & ~done
-        if not lend.any():
-            continue
-        out[lend] = np.roll(least, -step, axis=1)[lend] + np.uint64(step)
-        done |= lend
-        if done[counts > 0].all():
-            break
-    return out
-
-
-def band_keys(signature: np.ndarray, band: int = BAND) -> np.ndarray:
-    """A 64-bit hash of each run of ``band`` values of each signature and of the run's number."""
-    values = signature.reshape(len(signature), -1, band)
-    key = np.zeros(values.shape[:2], dtype=np.uint64) + np.arange(values.shape[1], dtype=np.uint64)
-    for k in range(band):
-        key = (key ^ values[:, :, k]) * np.uint64(0x9E3779B97F4A7C15)
-        key ^= key >> np.uint64(31)
-    return key
+def features(docs: DataFrame, counts: np.ndarray, width: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
+    """(doc_id, text_key, size, fp, level, keys, sure) of every document: its shingles' number and SimHash, and the prefix that similar sets share with it.
 
-
-def features(docs: DataFrame, width: int = SHINGLE) -> DataFrame:
-    """(doc_id, text_key, fp, bands, bits) of every document, of its set of shingles; equal texts have equal keys."""
-
-    def lists(rows: np.ndarray) -> pa.Array:
-        return pa.ListArray.from_arrays(pa.array(np.arange(len(rows) + 1, dtype=np.int32) * rows.shape[1]), pa.array(rows.ravel()))
+    Equal texts have equal text_key. The first ``sure`` keys are those that a partner no smaller must share; ``level`` says how frequent the keys are.
+    """
 
     def hasher(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in slices(whole, limit=1 << 20):
-                hashes, bounds = _hashed(batch.column("text"), width, SEED, once=True)
-                keys = band_keys(signatures(hashes, bounds)).view("<i8")
-                bits = np.packbits((signatures(hashes, bounds, SIGNATURE_BITS, borrow=False) & np.uint64(1)).astype(np.uint8), axis=1, bitorder="little").view("<i8")
-                fps = pa.array(majority_bits(hashes, bounds).view("<i8"))
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), fps, lists(keys), lists(bits)], names=["doc_id", "text_key", "fp", "bands", "bits"])
+            for batch in slices(whole, limit=SLICE):
+                whole_sets, bounds = ordered_sets(batch.column("text"), counts, width)
+                keys, of, sure, level = prefixes(whole_sets, bounds, similarity)
+                lists = pa.ListArray.from_arrays(pa.array(of.astype(np.int32)), pa.array(keys.view("<i8")))
+                fps = pa.array(majority_bits(spread(whole_sets), bounds).view("<i8"))
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), pa.array(np.diff(bounds)), fps, pa.array(level), lists, pa.array(sure.astype(np.int32))], names=FEATURE_NAMES)
 
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     source = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), text.alias("text"), F.md5(text).alias("text_key"))
-    return map_arrow(source, hasher, "doc_id bigint, text_key string, fp bigint, bands array<bigint>, bits array<bigint>")
+    return map_arrow(source, hasher, "doc_id bigint, text_key string, size bigint, fp bigint, level double, keys array<bigint>, sure int")
+
+
+FEATURE_NAMES = ["doc_id", "text_key", "size", "fp", "level", "keys", "sure"]
 
 
-def _central(fps: np.ndarray) -> int:
-    """The row that is nearest to the fingerprint whose bits most rows have."""
-    bits = np.unpackbits(fps.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-    return int((bits != (2 * bits.sum(0, dtype=np.int64) > len(fps))).sum(1).argmin())
+def _fits(a: str, b: str, similarity: float, radius: int) -> Column:
+    """Whether rows a and b (node, size, fp, sure, root) of one bucket may be a similar pair that is still apart."""
+    one, two = F.col(f"{a}.size"), F.col(f"{b}.size")
+    near = F.bit_count(F.col(f"{a}.fp").bitwiseXOR(F.col(f"{b}.fp"))) <= radius
+    sure = (F.col(f"{a}.sure") | (one > two)) & (F.col(f"{b}.sure") | (two > one))
+    return (F.col(f"{a}.node") != F.col(f"{b}.node")) & (F.col(f"{a}.root") != F.col(f"{b}.root")) & (F.least(one, two) >= F.lit(similarity) * F.greatest(one, two) - 1e-9) & sure & near
 
 
-def _buckets(of: DataFrame, choose, bucket_rows: int | None = None) -> DataFrame:
-    """(a, b) of what ``choose`` picks in every band bucket, in chunks; it gets fingerprints, signatures, roots (nodes if there are none) and the buckets' starts and ends.
+def shared_keys(of: DataFrame) -> DataFrame:
+    """(key, node, size, fp, level, sure) for every prefix key that two texts or more have."""
+    keyed = of.select("node", "size", "fp", "level", F.posexplode("keys").alias("place", "key"), F.col("sure").alias("upto")).withColumn("sure", F.col("place") < F.col("upto")).drop("place", "upto")
+    twice = cut(keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key"))
+    return cut(_marked(keyed, twice, "key").join(twice, "key", "left_semi"))
 
-    With ``bucket_rows`` larger buckets are not given to ``choose`` but come as (bucket, null, rows). A b that is null with null rows says that a row of ``choose`` has more partners than were picked.
+
+def star_candidates(rooted: DataFrame, hubs: DataFrame, similarity: float = SIMILARITY, radius: int = WIDE_RADIUS) -> tuple[DataFrame, DataFrame]:
+    """(a, b): each row of ``rooted`` (key, node, size, fp, level, sure, root) with its bucket's hub, where they may be similar; and the hubs (node).
+
+    The hub is the row whose own keys are the most frequent, which is the plainest of a group of near copies, and none of ``hubs``.
     """
-    words = [f"bits{k}" for k in range(SIGNATURE_BITS // 64)]
-    root = "root" if "root" in of.columns else "node"
+    rank = F.struct(F.col("level"), F.col("node"))
+    row = F.struct("node", "size", "fp", "sure", "root")
+    best = cut(rooted.join(hubs, "node", "left_anti").groupBy("key").agg(F.max_by(row, rank).alias("hub")))
+    pairs = rooted.select("key", row.alias("own")).join(best, "key").where(_fits("own", "hub", similarity, radius))
+    return cut(pairs.select(F.col("own.node").alias("a"), F.col("hub.node").alias("b")).distinct()), cut(best.select(F.col("hub.node").alias("node")).union(hubs).distinct())
 
-    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        before = None
-        for table in _whole_groups(batches, ["key"], KERNEL_ROWS):
-            keys = table.column("key").to_numpy()
-            ends = _group_ends([keys])
-            sizes = np.diff(np.concatenate([[-1], ends]))
-            if bucket_rows is not None:
-                large = sizes > bucket_rows
-                large[0] |= before == keys[0]  # the rest of a bucket that filled the rows before
-                before = keys[-1]
-                if large.any():
-                    yield _picked(keys[ends[large]], None, sizes[large])
-                    table = table.filter(pa.array(~np.repeat(large, sizes)))
-                    sizes = sizes[~large]
-                    ends = np.cumsum(sizes) - 1
-                if not len(ends):
-                    continue
-            fps, nodes, roots = (table.column(c).to_numpy() for c in ("fp", "node", root))
-            bits = np.stack([table.column(c).to_numpy().view("<u8") for c in words], axis=1)
-            for x, y in choose(np.ascontiguousarray(fps).view("<u8"), bits, roots, ends - sizes + 1, ends):
-                if y is None:
-                    yield _picked(np.zeros(1, dtype=np.int64), None, None)
-                    continue
-                found = np.unique(np.stack([np.minimum(nodes[x], nodes[y]), np.maximum(nodes[x], nodes[y])], axis=1), axis=0)
-                yield _picked(found[:, 0], found[:, 1], None)
-
-    # Plain numbers alone, as this is what is shuffled most: a row for each text and band.
-    bands = of if "key" in of.columns else of.withColumn("key", F.explode("bands"))
-    rows = bands.select(*dict.fromkeys(["node", "fp", root]), *(F.get("bits", F.lit(k)).alias(w) for k, w in enumerate(words)), "key")
-    return map_arrow(rows.repartition("key").sortWithinPartitions("key", "node"), compare, "a bigint, b bigint, rows bigint").distinct()
-
-
-def _picked(a: np.ndarray, b: np.ndarray | None, rows: np.ndarray | None) -> pa.RecordBatch:
-    none = pa.nulls(len(a), pa.int64())
-    columns = [none if x is None else pa.array(np.ascontiguousarray(x, dtype=np.int64)) for x in (a, b, rows)]
-    return pa.RecordBatch.from_arrays(columns, names=["a", "b", "rows"])
-
-
-def _outside_the_largest(groups: np.ndarray, roots: np.ndarray) -> np.ndarray:
-    """Which rows are not of the root that most rows of their group have (the least of such roots)."""
-    order = np.lexsort((roots, groups))
-    g, r = groups[order], roots[order]
-    ends = _group_ends([g, r])
-    sizes = np.diff(np.concatenate([[-1], ends]))
-    best = np.lexsort((r[ends], -sizes, g[ends]))
-    largest = r[ends][best][np.concatenate([[0], np.flatnonzero(np.diff(g[ends][best])) + 1])] if len(ends) else r
-    of = np.unique(groups, return_inverse=True)[1]
-    return roots != largest[of] if len(roots) else np.empty(0, dtype=bool)
-
-
-def star_candidates(of: DataFrame, radius: int = WIDE_RADIUS) -> DataFrame:
-    """(a, b): each row of a bucket with the bucket's most central row, where they may be similar."""
-
-    def choose(fps, bits, roots, starts, ends):
-        centre = starts.copy()
-        for g in np.flatnonzero(ends - starts > 1):
-            centre[g] += _central(fps[starts[g] : ends[g] + 1])
-        hub = np.repeat(centre, ends - starts + 1)
-        near = (np.bitwise_count(fps ^ fps[hub]) <= radius) & (np.bitwise_count(bits ^ bits[hub]).sum(1, dtype=np.int64) <= SIGNATURE_RADIUS)
-        x = np.flatnonzero(near & (hub != np.arange(len(fps))))
-        yield x, hub[x]
-
-    return _buckets(of, choose).select("a", "b")
-
-
-def cross_candidates(of: DataFrame, radius: int = WIDE_RADIUS, nearest: int | None = NEAREST[0], band_rows: int = BAND_ROWS) -> DataFrame:
-    """(a, b, rows): each row with the ``nearest`` rows (all, if None) of its buckets that are not yet of its component (column root), by the bit-sliced kernel.
-
-    Rows of the component that most rows of a bucket have are sought but do not seek, and buckets of one component are done. A row with b and rows null
-    says that more than ``nearest`` may be in reach. Buckets of more than ``band_rows`` are dealt to tasks by pairs of parts, so that any two rows of them meet.
+
+def cross_candidates(rooted: DataFrame, similarity: float = SIMILARITY, radius: int = WIDE_RADIUS, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
+    """(a, b): all pairs of ``rooted`` (key, node, size, fp, sure, root) that share a key, are of different roots and may be similar, by the bit-sliced kernel.
+
+    Buckets of one root are done. Those of more than ``bucket_rows`` are dealt to tasks by pairs of parts, so that any two rows of them meet.
     """
 
-    def choose(fps, bits, roots, starts, ends):
-        mixed = np.minimum.reduceat(roots, starts) != np.maximum.reduceat(roots, starts)
-        sizes = (ends - starts + 1)[mixed]
-        rows = np.flatnonzero(np.repeat(mixed, ends - starts + 1))
-        last = np.repeat(np.cumsum(sizes) - 1, sizes)
-        seeks = _outside_the_largest(last, roots[rows])
-        if nearest is None:
-            for i, j in all_apart(fps[rows], last, radius, roots[rows], bits[rows], SIGNATURE_RADIUS, seeks):
-                yield rows[i], rows[j]
-            return
-        i, j = nearest_apart(fps[rows], last, radius, roots[rows], bits[rows], SIGNATURE_RADIUS, nearest, seeks)
-        yield rows[i], rows[j]
-        if len(i) and np.bincount(i).max() >= nearest:
-            yield i, None
-
-    found = cut(_buckets(of, choose, band_rows))
-    large = found.where("rows IS NOT NULL").groupBy(F.col("a").alias("key")).agg(F.ceil(2 * F.sum("rows") / F.lit(band_rows)).cast("int").alias("parts"))
-    own = F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")
-    dealt = of.withColumn("key", F.explode("bands")).join(F.broadcast(large), "key").withColumn("_own", own)
-    dealt = dealt.withColumn("_other", F.explode(F.expr("filter(sequence(0, parts - 1), x -> x <> _own)")))
-    dealt = dealt.withColumn("key", F.xxhash64("key", F.least("_own", "_other"), F.greatest("_own", "_other"))).drop("_own", "_other", "parts")
-    return found.where("rows IS NULL").union(_buckets(dealt, choose)).distinct()
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for table in _whole_groups(batches, ["key", "first", "second"], KERNEL_ROWS):
+            column = {c: table.column(c).to_numpy(zero_copy_only=False) for c in table.column_names}
+            ends = _group_ends([column[c] for c in ("key", "first", "second")])
+            last = np.repeat(ends, np.diff(np.concatenate([[-1], ends])))
+            size, sure, root, node = (column[c] for c in ("size", "sure", "root", "node"))
+            for i, j in pairs_by_shift(np.ascontiguousarray(column["fp"]).view("<u8"), last, radius):
+                one, two = size[i], size[j]
+                fits = (root[i] != root[j]) & (np.minimum(one, two) >= similarity * np.maximum(one, two) - 1e-9) & (sure[i] | (one > two)) & (sure[j] | (two > one))
+                if fits.any():
+                    x, y = node[i[fits]], node[j[fits]]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], names=["a", "b"])
+
+    mixed = rooted.groupBy("key").agg(F.min("root").alias("least"), F.max("root").alias("most"), F.count(F.lit(1)).alias("n")).where("least <> most")
+    rows = rooted.join(mixed.select("key", F.ceil(2 * F.col("n") / F.lit(bucket_rows)).alias("parts")), "key").withColumn("parts", F.when(F.col("parts") > 2, F.col("parts")).otherwise(F.lit(1)))
+    own = rows.withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")))
+    dealt = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    dealt = dealt.where((F.col("parts") == 1) | (F.col("part") != F.col("other")))
+    dealt = dealt.select("key", F.least("part", "other").alias("first"), F.greatest("part", "other").alias("second"), "node", "size", "fp", "sure", "root")
+    return map_arrow(dealt.repartition("key", "first", "second").sortWithinPartitions("key", "first", "second", "node"), compare, "a bigint, b bigint").distinct()
 
 
 def similar(pairs: DataFrame, texts: DataFrame, width: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
-    """The pairs (src, dst) of ``pairs`` (a, b, key_a, key_b) whose sets of shingles have at least this Jaccard similarity; texts: (text_key, text), one row a key."""
+    """The pairs (src, dst) of ``pairs`` (a, b, key_a, key_b) whose sets of shingles have at least this Jaccard similarity; texts: (text_key, text), one row a key.
+
+    A text that many pairs have as their second is dealt out in copies, one for each ``FAN`` pairs.
+    """
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in slices(whole, "text_a"):
-                kept = []
-                for x, y in zip(batch.column("text_a").to_pylist(), batch.column("text_b").to_pylist(), strict=True):
-                    one, two = (set(shingle_hashes(t.encode(), width).tolist()) for t in (x, y))
-                    both = len(one & two)
-                    kept.append(both >= similarity * (len(one) + len(two) - both))
-                yield batch.select(["a", "b"]).filter(pa.array(kept, pa.bool_())).rename_columns(["src", "dst"])
-
-    one, two = (texts.select(F.col("text_key").alias(f"key_{k}"), F.col("text").alias(f"text_{k}")) for k in "ab")
-    return map_arrow(pairs.join(one, "key_a").join(two, "key_b").select("a", "b", "text_a", "text_b"), judge, "src bigint, dst bigint")
+            for batch in slices(whole, "text_a", SLICE):
+                (one, ends_one), (two, ends_two) = (ordered_sets(batch.column(f"text_{k}"), None, width) for k in "ab")
+                sizes = np.diff(ends_one), np.diff(ends_two)
+                owner = np.concatenate([np.repeat(np.arange(batch.num_rows), x) for x in sizes])
+                shingle = np.concatenate([one, two])
+                order = np.lexsort((shingle, owner))
+                same = (shingle[order][1:] == shingle[order][:-1]) & (owner[order][1:] == owner[order][:-1])
+                both = np.bincount(owner[order][1:][same], minlength=batch.num_rows)
+                kept = both >= similarity * (sizes[0] + sizes[1] - both) - 1e-9
+                yield batch.select(["a", "b"]).filter(pa.array(kept)).rename_columns(["src", "dst"])
+
+    spread = pairs.groupBy("key_b").agg(F.ceil(F.count(F.lit(1)) / F.lit(FAN)).cast("int").alias("parts"))
+    dealt = pairs.join(spread, "key_b").withColumn("part", F.pmod(F.xxhash64("a"), F.col("parts")).cast("int")).drop("parts")
+    one = texts.select(F.col("text_key").alias("key_a"), F.col("text").alias("text_a"))
+    two = texts.select(F.col("text_key").alias("key_b"), F.col("text").alias("text_b")).join(spread, "key_b")
+    two = two.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
+    return map_arrow(dealt.join(one, "key_a").join(two, ["key_b", "part"]).select("a", "b", "text_a", "text_b"), judge, "src bigint, dst bigint")
 
 
 def _marked(rows: DataFrame, needed: DataFrame, key: str = "text_key") -> DataFrame:
@@ -385,13 +309,12 @@ def _marked(rows: DataFrame, needed: DataFrame, key: str = "text_key") -> DataFr
 def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
     """(doc_id, text_key, component_id, keep): groups of equal or similar texts; keep marks the text of each group that stays.
 
-    First every row of a bucket is tried against the bucket's most central one, which
-    joins groups of copies without forming their pairs; then each row is tried against the
-    nearest rows of its buckets that are still apart from it, more of them in each round of ``NEAREST``, until none in reach is untried.
-    Documents without a doc_id group by text alone.
+    In ``STARS`` rounds every row is tried against the hub of each of its buckets, which joins groups of copies without forming their
+    pairs; then all rows of a bucket that are still apart are compared with each other. Documents without a doc_id group by text alone.
     """
-    found = cut(features(docs, width))
-    of = cut(found.where(F.col("doc_id").isNotNull()).groupBy("text_key").agg(F.min("doc_id").alias("node"), F.first("fp").alias("fp"), F.first("bands").alias("bands"), F.first("bits").alias("bits")))
+    found = cut(features(docs, rarity(docs, width), width, similarity))
+    first = {c: F.first(c).alias(c) for c in ("size", "fp", "level", "keys", "sure")}
+    of = cut(found.where(F.col("doc_id").isNotNull()).groupBy("text_key").agg(F.min("doc_id").alias("node"), *first.values()))
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     texts = docs.select(text.alias("text"), F.md5(text).alias("text_key"))
 
@@ -405,20 +328,25 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = S
         collect_garbage(docs.sparkSession)
         return out
 
-    tried = cut(star_candidates(of))
-    links = verified(tried)
-    roots = components(links)
-    for nearest in NEAREST:
-        rooted = of.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        found_pairs = cut(cross_candidates(rooted, nearest=nearest, band_rows=BAND_ROWS))
-        pairs = cut(found_pairs.where(F.col("b").isNotNull()).select("a", "b").join(tried, ["a", "b"], "left_anti"))
-        more = verified(pairs)
-        if not more.isEmpty():
-            links = links.union(more)
+    shared = shared_keys(of)
+    roots = None
+
+    def rooted() -> DataFrame:
+        return shared.withColumn("root", F.col("node")) if roots is None else shared.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+
+    links, tried, hubs = None, None, of.select("node").limit(0)
+    for step in range(STARS + 1):
+        if step < STARS:
+            pairs, hubs = star_candidates(rooted(), hubs, similarity)
+        else:
+            pairs = cut(cross_candidates(rooted(), similarity))
+        new = pairs if tried is None else pairs.join(tried, (pairs["a"] == tried["x"]) & (pairs["b"] == tried["y"]), "left_anti")
+        both_ways = pairs.select(F.col("a").alias("x"), F.col("b").alias("y")).union(pairs.select("b", "a"))
+        tried = both_ways if tried is None else tried.union(both_ways)
+        more = verified(new)
+        if links is None or not more.isEmpty():
+            links = more if links is None else links.union(more)
             roots = components(links)
-        if found_pairs.where("b IS NULL AND rows IS NULL").isEmpty():  # every row has been tried against all in its reach
-            break
-        tried = tried.union(pairs)
     final = of.select("node", "text_key").join(roots, "node", "left").select("text_key", "node", F.coalesce("root", "node").alias("component_id"))
     out = found.select("doc_id", "text_key").join(final, "text_key", "left")
     return out.select("doc_id", "text_key", "component_id", F.coalesce(F.col("node") == F.col("component_id"), F.lit(False)).alias("keep"))
