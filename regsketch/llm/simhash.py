@@ -222,7 +222,7 @@ def shared_keys(of: DataFrame) -> DataFrame:
     """(key, node, size, fp, level, sure) for every prefix key that two texts or more have."""
     keyed = of.select("node", "size", "fp", "level", F.posexplode("keys").alias("place", "key"), F.col("sure").alias("upto")).withColumn("sure", F.col("place") < F.col("upto")).drop("place", "upto")
     twice = cut(keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key"))
-    return cut(_marked(keyed, twice, "key").join(twice, "key", "left_semi"))
+    return cut(_marked(keyed, twice, "key").join(twice, "key"))
 
 
 def star_candidates(rooted: DataFrame, hubs: DataFrame, similarity: float = SIMILARITY, radius: int = WIDE_RADIUS) -> tuple[DataFrame, DataFrame]:
@@ -293,7 +293,7 @@ def similar(pairs: DataFrame, texts: DataFrame, width: int = SHINGLE, similarity
 
 
 def _marked(rows: DataFrame, needed: DataFrame, key: str = "text_key") -> DataFrame:
-    """The rows whose key may be one of ``needed``, by a bitmap of hashed keys: what passes still has to be joined.
+    """The rows whose key may be one of ``needed``, by a bitmap of hashed keys: what passes still has to be joined, by an inner join with different keys (Spark would push a semi join below the bitmap).
 
     The bitmap has MARKS bits at any size of the input, so it is broadcast; it spares most rows without a partner the shuffle of
     their text, and where it is full it only lets all rows pass.
@@ -323,7 +323,7 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = S
         keyed = cut(pairs.join(key["a"], "a").join(key["b"], "b"))
         needed = keyed.select(F.col("key_a").alias("text_key")).union(keyed.select("key_b")).distinct()
         # All by text_key, so that a text is shuffled once, and once more with the other text of its pair.
-        own = _marked(texts, needed).join(needed, "text_key", "left_semi").dropDuplicates(["text_key"])
+        own = _marked(texts, needed).join(needed, "text_key").dropDuplicates(["text_key"])
         out = cut(similar(keyed, own, width, similarity))
         collect_garbage(docs.sparkSession)
         return out
