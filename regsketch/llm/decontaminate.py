@@ -9,10 +9,15 @@ common terms can add is granted to it, and passages that cannot reach the thresh
 
 A hit counts if the passage holds enough of the item's five-word shingles: half of
 those of the question and half of those of the answer, or four fifths of all. The
-answer is the last sentence or line; an item of one sentence is cut in half.
+answer is the last sentence or line; an item of one sentence is cut in half. An item of more than ``ENTRY`` terms
+is indexed as several entries of at most so many, one after another, and is found if one of them is; so a passage has one length
+whatever the items are.
+
+Items beyond ``INDEX_BYTES`` of text are dealt to several indexes, which are used one after another. Document frequencies, the number of
+entries and their mean length are those of the whole benchmark in each of them, so hits and scores do not depend on how many there are.
 
 Defined results: a null or empty text has no passages; items without words are never
-found; equal items are each found; repeated rows give repeated results; empty tables
+found; rows of one item_id are one item and are found once, those without one each by itself; repeated rows give repeated results; empty tables
 give no rows; texts of any length are searched whole; other columns pass through ``clean``.
 """
 
@@ -21,6 +26,7 @@ from __future__ import annotations
 import bisect
 import math
 import re
+from array import array
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -37,12 +43,14 @@ from .textbatch import Words, slices, words
 
 THRESHOLD, K1, B = 0.6, 1.2, 0.75
 SHINGLE, PART_OVERLAP, WHOLE_OVERLAP = 5, 0.5, 0.8
-#: Postings of a block; least words of half a passage.
-BLOCK, HALF = 32, 64
+#: Postings of a block; words of half a passage, and most terms of an entry, which so lies in one passage as a whole.
+BLOCK, ENTRY = 32, 128
 #: A term in more than this share of the items is common.
 COMMON = 0.05
-#: Bytes of benchmark text that one index, which is sent to all executors, may hold; more text takes more passes.
-INDEX_BYTES = 64 << 20
+#: Bytes of benchmark text that one index, which is sent to all executors, may hold; it takes twenty to thirty times as much memory. More text takes more passes.
+INDEX_BYTES = 8 << 20
+#: Entries of one item that stay in one index. A longer item (of a million words) may be found once for each run of so many.
+TOGETHER = 8192
 
 _TRIM = ".,;:!?\"'()[]"
 _UPPER = {ord(c): c.lower() for c in "ABCDEFGHIJKLMNOPQRSTUVWXYZ"}
@@ -65,46 +73,79 @@ def parts(text: str) -> tuple[list[str], list[str]]:
     return whole[: (len(whole) + 1) // 2], whole[(len(whole) + 1) // 2 :]
 
 
-def shingles(terms: list[str]) -> set[tuple[str, ...]]:
-    return {tuple(terms[i : i + SHINGLE]) for i in range(max(1, len(terms) - SHINGLE + 1))} if terms else set()
+def entries(text: str) -> list[tuple[list[str], list[str]]]:
+    """Question and answer of each entry of an item: one, or as many as its length takes."""
+    question, answer = parts(text)
+    whole = question + answer
+    if len(whole) <= ENTRY:
+        return [(question, answer)]
+    each = [whole[i : i + ENTRY] for i in range(0, len(whole), ENTRY)]
+    return [(x[: (len(x) + 1) // 2], x[(len(x) + 1) // 2 :]) for x in each]
+
+
+def windows(ids: np.ndarray, width: int) -> np.ndarray:
+    """A number for each run of so many known terms (ids from 0); runs with an unknown term (-1) are left."""
+    n = len(ids) - width + 1
+    if n <= 0 or not width:
+        return np.empty(0, dtype=np.uint64)
+    key, known = np.zeros(n, dtype=np.uint64), np.ones(n, dtype=bool)
+    for k in range(width):
+        own = ids[k : k + n]
+        known &= own >= 0
+        key = (key ^ own.astype(np.uint64)) * np.uint64(0x9E3779B97F4A7C15)
+        key ^= key >> np.uint64(29)
+    return key[known]
 
 
 @dataclass
 class Postings:
-    """Items of one term by rising number, their impacts, and each block's last item and largest impact."""
+    """Entries of one term by rising number, their impacts, and each block's last entry and largest impact."""
 
-    items: list[int]
-    impacts: list[float]
-    block_last: list[int]
-    block_most: list[float]
+    items: array
+    impacts: array
+    block_last: array
+    block_most: array
     most: float
 
 
+@dataclass
+class Collection:
+    """What scores need to know of all entries, whichever of them an index holds."""
+
+    size: int
+    mean: float
+    frequency: dict[str, int]
+
+    @staticmethod
+    def of(texts: list[tuple[list[str], list[str]]]) -> Collection:
+        lengths = [len(q) + len(a) for q, a in texts]
+        return Collection(len(texts), sum(lengths) / max(1, sum(n > 0 for n in lengths)), Counter(t for q, a in texts for t in {*q, *a}))
+
+
 class Index:
-    """Inverted index of items with scaled BM25 impacts and block maxima."""
-
-    def __init__(self, items: list[tuple[int, str]]):
-        self.ids = [i for i, _ in items]
-        self.texts = [parts(t or "") for _, t in items]
-        bags = [Counter(q + a) for q, a in self.texts]
-        lengths = [sum(b.values()) for b in bags]
-        mean = sum(lengths) / max(1, sum(n > 0 for n in lengths))
-        frequency = Counter(t for b in bags for t in b)
-        n = len(items)
-        idf = {t: math.log(1 + (n - f + 0.5) / (f + 0.5)) for t, f in frequency.items()}
-        lists: dict[str, list[tuple[int, float]]] = defaultdict(list)
-        for k, bag in enumerate(bags):
-            impact = {t: idf[t] * f * (K1 + 1) / (f + K1 * (1 - B + B * lengths[k] / mean)) for t, f in bag.items()}
+    """Inverted index of entries (item, question, answer) with scaled BM25 impacts and block maxima, in flat arrays."""
+
+    def __init__(self, rows: list[tuple[int, list[str], list[str]]], collection: Collection | None = None):
+        self.ids = [i for i, _, _ in rows]
+        known: dict[int | None, int] = {}
+        self.first = [k if i is None else known.setdefault(i, k) for k, i in enumerate(self.ids)]  # the first entry of the same item
+        of = collection or Collection.of([(q, a) for _, q, a in rows])
+        n, mean = len(rows), of.mean or 1.0
+        idf = {t: math.log(1 + (of.size - f + 0.5) / (f + 0.5)) for t, f in of.frequency.items()}
+        lists: dict[str, tuple[array, array]] = defaultdict(lambda: (array("i"), array("d")))
+        for k, (_, q, a) in enumerate(rows):
+            bag, length = Counter(q + a), len(q) + len(a)
+            impact = {t: idf[t] * f * (K1 + 1) / (f + K1 * (1 - B + B * length / mean)) for t, f in bag.items()}
             own = sum(impact.values())
             for t, x in impact.items():
-                lists[t].append((k, x / own))
+                lists[t][0].append(k)
+                lists[t][1].append(x / own)
         self.terms = {t: i for i, t in enumerate(sorted(lists))}
         self.postings = []
         for t in self.terms:
-            own = lists[t]
-            blocks = [own[i : i + BLOCK] for i in range(0, len(own), BLOCK)]
-            self.postings.append(Postings([k for k, _ in own], [x for _, x in own], [b[-1][0] for b in blocks], [max(x for _, x in b) for b in blocks], max(x for _, x in own)))
-        self.half = max(HALF, *lengths) if lengths else HALF
+            items, impacts = lists.pop(t)
+            starts = range(0, len(items), BLOCK)
+            self.postings.append(Postings(items, impacts, array("i", (items[min(i + BLOCK, len(items)) - 1] for i in starts)), array("d", (max(impacts[i : i + BLOCK]) for i in starts)), max(impacts)))
         # For the bound over a whole batch: postings of the rarer terms in flat arrays, and what common terms add at most.
         rare = [len(p.items) <= max(4, COMMON * n) for p in self.postings]
         self.granted = np.zeros(n)
@@ -113,9 +154,24 @@ class Index:
                 np.add.at(self.granted, p.items, p.impacts)
         sizes = np.array([len(p.items) if r else 0 for p, r in zip(self.postings, rare, strict=True)], dtype=np.int64)
         self.begins, self.sizes = np.cumsum(sizes) - sizes, sizes
-        self.flat_items = np.array([k for p, r in zip(self.postings, rare, strict=True) if r for k in p.items], dtype=np.int64)
-        self.flat_impacts = np.array([x for p, r in zip(self.postings, rare, strict=True) if r for x in p.impacts])
-        self.shingles = [(shingles(q), shingles(a), shingles(q + a)) for q, a in self.texts]
+        kept = [p for p, r in zip(self.postings, rare, strict=True) if r]
+        self.flat_items = np.concatenate([np.frombuffer(p.items, dtype=np.int32) for p in kept]) if kept else np.empty(0, dtype=np.int32)
+        self.flat_impacts = np.concatenate([np.frombuffer(p.impacts) for p in kept]) if kept else np.empty(0)
+        self.shingles = []
+        for _, q, a in rows:
+            ids = np.array([self.terms[t] for t in q + a], dtype=np.int64)
+            # (words of a shingle, the different shingles) of the question, the answer and all
+            self.shingles.append(tuple((w, np.unique(windows(x, w))) for x, w in ((x, min(SHINGLE, len(x))) for x in (ids[: len(q)], ids[len(q) :], ids))))
+
+    @classmethod
+    def of(cls, items: list[tuple[int, str]]) -> Index:
+        """An index of whole items by themselves."""
+        return cls([(i, q, a) for i, t in items for q, a in entries(t or "")])
+
+    def nbytes(self) -> int:
+        """Bytes of the arrays and terms."""
+        lists = sum(8 * len(p.impacts) + 4 * len(p.items) + 12 * len(p.block_last) + 400 for p in self.postings)
+        return lists + sum(120 + len(t) for t in self.terms) + sum(x.nbytes + 130 for e in self.shingles for _, x in e) + self.flat_items.nbytes + self.flat_impacts.nbytes + 3 * self.granted.nbytes
 
     def retrieve(self, query: set[int], threshold: float = THRESHOLD) -> list[tuple[int, float]]:
         """All items whose impacts over the query's terms add up to the threshold or more, by block-max WAND."""
@@ -162,17 +218,14 @@ class Index:
     def size(self) -> int:
         return len(self.ids)
 
-    def overlaps(self, item: int, passage: list[str]) -> tuple[float, float, float]:
-        """Shares of the question's, the answer's and all shingles of the item that the passage has."""
-        out = []
-        for own in self.shingles[item]:
-            have = {tuple(passage[i : i + n]) for n in {len(s) for s in own} for i in range(len(passage) - n + 1)}
-            out.append(len(own & have) / len(own) if own else 1.0)
-        return tuple(out)
+    def overlaps(self, item: int, passage: np.ndarray) -> tuple[float, float, float]:
+        """Shares of the question's, the answer's and all shingles of the entry that the passage (ids of terms, -1 for others) has."""
+        have = {w: windows(passage, w) for w in {w for w, _ in self.shingles[item]}}
+        return tuple(float(np.isin(own, have[w]).mean()) if len(own) else 1.0 for w, own in self.shingles[item])
 
 
 def hits(split: Words, index: Index, threshold: float = THRESHOLD) -> list[tuple[int, int, int, float, float, float]]:
-    """(text, item, first word of the passage, score, question's share, answer's share) of every item found in each text; the best passage for each."""
+    """(text, entry, first word of the passage, score, question's share, answer's share) of every item found in each text; the best entry and passage for each."""
     vocabulary = [term(w) for w in split.vocabulary.to_pylist()]
     lookup = np.array([index.terms.get(t, -1) for t in vocabulary], dtype=np.int64)
     empty = np.array([not t for t in vocabulary], dtype=bool)
@@ -183,9 +236,9 @@ def hits(split: Words, index: Index, threshold: float = THRESHOLD) -> list[tuple
     firsts = np.searchsorted(owners, np.arange(len(split.bounds) - 1))
     ends = np.append(firsts[1:], len(owners))
     place = np.arange(len(owners)) - firsts[owners]
-    per_text = np.maximum(1, -(-(ends - firsts) // index.half))
+    per_text = np.maximum(1, -(-(ends - firsts) // ENTRY))
     begin_half = np.cumsum(per_text) - per_text
-    half = begin_half[owners] + place // index.half
+    half = begin_half[owners] + place // ENTRY
     ids = lookup[codes]
     known = np.flatnonzero((ids >= 0) & (index.sizes[np.maximum(ids, 0)] > 0)) if len(index.sizes) else np.empty(0, dtype=np.int64)
     # Each term once in a half; then its rarer postings.
@@ -213,32 +266,56 @@ def hits(split: Words, index: Index, threshold: float = THRESHOLD) -> list[tuple
     best: dict[tuple[int, int], tuple] = {}
     for start in sorted(passages):
         text = int(text_of_half[start])
-        first = int(firsts[text] + (start - begin_half[text]) * index.half)
-        last = min(int(ends[text]), first + 2 * index.half)
+        first = int(firsts[text] + (start - begin_half[text]) * ENTRY)
+        last = min(int(ends[text]), first + 2 * ENTRY)
         if first >= last:
             continue
         query = set(ids[first:last].tolist()) - {-1}
         found = index.retrieve(query, threshold)
         if not found:
             continue
-        passage = [vocabulary[c] for c in codes[first:last]]
+        passage = ids[first:last]
         for item, score in found:
             question, answer, whole = index.overlaps(item, passage)
             if (question >= PART_OVERLAP and answer >= PART_OVERLAP) or whole >= WHOLE_OVERLAP:
-                row = (text, item, int(place[first]), score, question, answer)
-                if (text, item) not in best or best[text, item][3] < score:
-                    best[text, item] = row
+                row, key = (text, item, int(place[first]), score, question, answer), (text, index.first[item])
+                if key not in best or best[key][3] < score:
+                    best[key] = row
     return [best[k] for k in sorted(best)]
 
 
+def entry_rows(benchmark: DataFrame) -> DataFrame:
+    """(item_id, place, question, answer): the entries of every item, lists of terms."""
+
+    def cutter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kind = pa.list_(pa.string())
+        for whole in batches:
+            for batch in slices(whole):
+                found = [entries(t or "") for t in batch.column("text").to_pylist()]
+                rows = np.repeat(np.arange(len(found)), [len(x) for x in found])
+                flat = [e for x in found for e in x]
+                places = pa.array([k for x in found for k in range(len(x))], pa.int32())
+                yield pa.RecordBatch.from_arrays([batch.column("item_id").take(pa.array(rows)), places, pa.array([q for q, _ in flat], kind), pa.array([a for _, a in flat], kind)], names=["item_id", "place", "question", "answer"])
+
+    rows = benchmark.select(F.col("item_id").cast("bigint").alias("item_id"), F.col("text").cast("string").alias("text"))
+    return map_arrow(rows, cutter, "item_id bigint, place int, question array<string>, answer array<string>")
+
+
 def indexes(benchmark: DataFrame, most: int = INDEX_BYTES) -> Iterator[tuple[Index, bool]]:
-    """The benchmark in as few indexes as its size allows, one after another, and whether there are more than one; items are dealt by a hash of their number."""
-    rows = benchmark.select(F.col("item_id").cast("bigint").alias("item_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    passes = 1 + size // most
-    part = F.pmod(F.xxhash64("item_id", "text"), F.lit(passes))
+    """The benchmark in as few indexes as its size allows, one after another, and whether there are more than one; entries are dealt by a hash."""
+    found = cut(entry_rows(benchmark))
+    terms = F.concat("question", "answer")
+    row = found.agg(F.sum(F.aggregate(terms, F.lit(0).cast("bigint"), lambda n, t: n + F.octet_length(t) + 1)).alias("size"), F.count(F.lit(1)).alias("n"), F.sum(F.size(terms)).alias("terms"), F.count(F.when(F.size(terms) > 0, 1)).alias("full")).first()
+    passes = 1 + (row["size"] or 0) // most
+    part = F.pmod(F.xxhash64("item_id", F.floor(F.col("place") / TOGETHER)), F.lit(passes))
+    of_term = found.select(F.explode(F.array_distinct(terms)).alias("term"))
+    frequency = cut(of_term.groupBy("term").agg(F.count(F.lit(1)).alias("n")))
     for k in range(passes):
-        yield Index([(r["item_id"], r["text"]) for r in rows.where(part == k).orderBy("item_id", "text").collect()]), passes > 1
+        own = found.where(part == k)
+        rows = [(r["item_id"], r["question"], r["answer"]) for r in own.orderBy("item_id", "place", "question", "answer").collect()]
+        here = own.select(F.explode(terms).alias("term")).distinct()
+        counted = {r["term"]: r["n"] for r in frequency.join(here, "term", "left_semi").collect()}  # terms of this index's entries
+        yield Index(rows, Collection(row["n"], (row["terms"] or 0) / max(1, row["full"]), counted)), passes > 1
 
 
 def _passes(docs: DataFrame, benchmark: DataFrame, of_pass) -> Iterator[DataFrame]:
