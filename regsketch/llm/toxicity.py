@@ -3,10 +3,10 @@
 Words become symbols (insult, threat, target, negation, report, other); small
 transducers rewrite the symbols of a clause one after another: negation weakens the insults and
 threats that soon follow it, reported speech marks what is quoted, a target in the
-clause makes what is aimed at it direct. They are composed into one machine whose
-last part adds up weights. Clauses are scored, not words: a document's features are the
+clause, before or after, makes what is aimed at it direct. They are composed into one machine whose
+last part gives weights, which count by the strength of the word they are for. Clauses are scored, not words: a document's features are the
 sum and the largest of its clauses' weights and how many clauses matched, and a logistic function
-turns them into a score.
+turns them into a score. A clause in which all that is found is negated does not match. Clauses are read to their ends, however long.
 
 Which words are insults, beyond a fixed list, and the logistic function are learned from a
 bounded sample of labelled documents (``MOST``), whole texts.
@@ -38,20 +38,40 @@ MOST, MODULUS, HELD_OUT, PREDICTED_FROM = 6000, 5, 0, 0.5
 LEAST_ODDS, ERRORS, MOST_WORDS = 1.6, 2.5, 200
 #: Lengths of beginnings of words that may be learned too, longest first.
 STEMS = (8, 7, 6, 5, 4)
-#: Words after a negation that it reaches; words of a clause at most.
-REACH, LONGEST = 3, 48
+#: Words after a negation that it reaches.
+REACH = 3
 
 #: Word lists.
 INSULTS = "idiot moron stupid trash scum loser pathetic worthless disgusting clown dumb fool jerk garbage imbecile coward filth creep vermin cretin".split()
-THREATS = "kill hurt destroy burn crush beat shoot stab attack hunt".split()
-TARGETS = "you your yours you're u he she they them him her his their those these".split()
-NEGATIONS = "not never no don't isn't aren't wasn't won't can't without nobody".split()
-REPORTS = "said says say wrote writes called calls quoted quotes claimed claims reported told according".split()
+THREATS = (
+    "kill hurt destroy burn crush beat shoot stab attack hunt "
+    "töten umbringen erschießen verbrennen zerstören verprügeln erstechen "
+    "tuer frapper détruire brûler abattre poignarder écraser "
+    "matar golpear destruir quemar disparar apuñalar aplastar"
+).split()
+TARGETS = (
+    "you u your yours you're he she they them him her his their those these "
+    "du dich dir dein deine ihr euch euer ihn ihm sie "
+    "tu te toi ton ta tes vous votre vos lui eux "
+    "tú tu ti usted ustedes vosotros ellos ellas él ella"
+).split()
+NEGATIONS = (
+    "not never no don't isn't aren't wasn't won't can't without nobody "
+    "nicht nie niemals kein keine keiner ohne niemand "
+    "pas jamais aucun aucune sans ni personne "
+    "nunca jamás ningún ninguna sin nadie tampoco"
+).split()
+REPORTS = (
+    "said says say wrote writes called calls quoted quotes claimed claims reported told according "
+    "sagte sagt schrieb schreibt nannte nennt behauptete behauptet zitierte laut berichtete "
+    "dit disait écrit écrivait appelle appelait affirme affirmait selon rapporte "
+    "dijo dice escribió escribe llamó llama afirmó afirma según citó"
+).split()
 
 OTHER, INSULT, THREAT, TARGET, NEGATION, REPORT = range(6)
-#: Symbols that rewriting adds: weakened, quoted, and aimed versions.
-WEAK, QUOTED, AIMED, MENACE = range(6, 10)
-SYMBOLS = 10
+#: Symbols that rewriting adds: weakened, quoted, and aimed versions; the late ones are written at a target that comes after its insult or threat.
+WEAK, QUOTED, AIMED, MENACE, LATE_AIMED, LATE_MENACE = range(6, 12)
+SYMBOLS = 12
 ENDS = ".;:!?"
 _TRIM = ".,;:!?\"'()[]|#*$%&<>"
 
@@ -90,33 +110,46 @@ def negation() -> Transducer:
 def reported() -> Transducer:
     """After a verb of saying, what follows in the clause is quoted."""
     arcs = {(s, REPORT): (1, REPORT, 0.0) for s in range(2)}
-    return Transducer(2, arcs | {(1, x): (1, QUOTED, 0.0) for x in (INSULT, THREAT, WEAK)})
+    return Transducer(2, arcs | {(1, x): (1, QUOTED, 0.0) for x in (INSULT, THREAT)})
 
 
 def aimed() -> Transducer:
     """Insults and threats with a target in the clause, before or after them, are direct; states: nothing, target seen, insult seen, threat seen."""
     arcs = {(0, TARGET): (1, TARGET, 0.0), (0, INSULT): (2, INSULT, 0.0), (0, THREAT): (3, THREAT, 0.0)}
     arcs |= {(1, INSULT): (1, AIMED, 0.0), (1, THREAT): (1, MENACE, 0.0)}
-    arcs |= {(2, TARGET): (1, AIMED, -1.0), (3, TARGET): (1, MENACE, -0.6)}  # less what stood for the word when it was read
+    arcs |= {(2, THREAT): (3, THREAT, 0.0), (3, INSULT): (2, INSULT, 0.0)}
+    arcs |= {(2, TARGET): (1, LATE_AIMED, 0.0), (3, TARGET): (1, LATE_MENACE, 0.0)}
     return Transducer(4, arcs)
 
 
 def weighing() -> Transducer:
-    """The weight of each symbol."""
-    weights = {INSULT: 1.0, THREAT: 0.6, WEAK: 0.3, QUOTED: 0.5, AIMED: 1.7, MENACE: 2.0}
+    """The weight of each symbol; a late one's is what the word gains, which was read without a target."""
+    weights = {INSULT: 1.0, THREAT: 0.6, WEAK: 0.3, QUOTED: 0.5, AIMED: 1.7, MENACE: 2.0, LATE_AIMED: 0.7, LATE_MENACE: 1.4}
     return Transducer(1, {(0, x): (0, x, w) for x, w in weights.items()})
 
 
 GRAMMAR = negation().then(reported()).then(aimed()).then(weighing())
+#: For comparison: the same weights without any rewriting, so that words count wherever they stand.
+WORDS_ALONE = weighing()
+#: What makes a clause match: anything but weakened words.
+MATCHES = (INSULT, THREAT, QUOTED, AIMED, MENACE)
 
 
-def clause_weight(symbols: list[int], strengths: list[float], grammar: Transducer = GRAMMAR) -> float:
-    """The weight of one clause; an insult's part counts by the word's strength."""
-    state, total = 0, 0.0
+def read_clause(symbols: list[int], strengths: list[float], grammar: Transducer = GRAMMAR) -> tuple[float, bool]:
+    """The weight of one clause and whether it matches; weights count by the strength of the insult or threat they are for."""
+    state, total, matches, pending = 0, 0.0, False, 1.0
     for symbol, strength in zip(symbols, strengths, strict=True):
-        state, _, weight = grammar.step(state, symbol)
-        total += weight * (strength if symbol == INSULT else 1.0)
-    return max(0.0, total)
+        state, written, weight = grammar.step(state, symbol)
+        if weight:
+            total += weight * (pending if written in (LATE_AIMED, LATE_MENACE) else strength)
+        if written in (INSULT, THREAT):
+            pending = strength
+        matches |= written in MATCHES
+    return total, matches
+
+
+def clause_weight(symbols: list[int], strengths: list[float], grammar: Transducer = GRAMMAR) -> float:
+    return read_clause(symbols, strengths, grammar)[0]
 
 
 def plain(word: str) -> str:
@@ -146,7 +179,7 @@ def lexicon(learned: dict[str, float]) -> dict[str, tuple[int, float]]:
     return table | {w: (INSULT, s) for w, s in learned.items()}
 
 
-def features(split: Words, table: dict[str, tuple[int, float]]) -> np.ndarray:
+def features(split: Words, table: dict[str, tuple[int, float]], grammar: Transducer = GRAMMAR) -> np.ndarray:
     """For each text: whether a clause matched, log of 1 + the sum, the largest weight, log of 1 + matching clauses, log of 1 + the sum for 100 words."""
     rows = len(split.bounds) - 1
     out = np.zeros((rows, 5))
@@ -157,25 +190,27 @@ def features(split: Words, table: dict[str, tuple[int, float]]) -> np.ndarray:
     if not len(hot):
         return out
     closes = np.array([w[-1:] in ENDS for w in vocabulary], dtype=bool)[split.codes]
-    owners = split.owners
+    # A clause ends at a word that closes it and at the end of its text.
+    ends = np.union1d(np.flatnonzero(closes), (split.bounds[1:] - 1)[split.counts > 0])
     strength = np.array([s for _, s in known])[split.codes]
-    done = -1
+    telling = np.flatnonzero(symbol != OTHER)
+    owners = split.owners
     sums: dict[int, list[float]] = {}
-    for at in hot.tolist():
-        if at <= done:
-            continue
-        row = int(owners[at])
-        first, last = at, at
-        while first > split.bounds[row] and not closes[first - 1] and at - first < LONGEST // 2 and first - 1 > done:
-            first -= 1
-        while last + 1 < split.bounds[row + 1] and not closes[last] and last - at < LONGEST // 2:
-            last += 1
-        done = last
-        weight = clause_weight(symbol[first : last + 1].tolist(), strength[first : last + 1].tolist())
-        if weight > 0:
-            sums.setdefault(row, []).append(weight)
+    matched = np.zeros(rows, dtype=np.int64)
+    for clause in np.unique(np.searchsorted(ends, hot)).tolist():
+        first, last = (int(ends[clause - 1]) + 1 if clause else 0), int(ends[clause])
+        at = telling[np.searchsorted(telling, first) : np.searchsorted(telling, last, side="right")]
+        # Only as many other words in between matter as a negation reaches.
+        gaps = np.minimum(np.diff(at, prepend=at[0] - 1) - 1, REACH)
+        places = np.cumsum(gaps + 1) - 1
+        symbols, strengths = np.full(int(places[-1]) + 1, OTHER), np.zeros(int(places[-1]) + 1)
+        symbols[places], strengths[places] = symbol[at], strength[at]
+        weight, matches = read_clause(symbols.tolist(), strengths.tolist(), grammar)
+        row = int(owners[first])
+        sums.setdefault(row, []).append(weight)
+        matched[row] += matches
     for row, weights in sums.items():
-        out[row] = 1, np.log1p(sum(weights)), max(weights), np.log1p(len(weights)), np.log1p(100 * sum(weights) / split.counts[row])
+        out[row] = matched[row] > 0, np.log1p(sum(weights)), max(weights), np.log1p(matched[row]), np.log1p(100 * sum(weights) / split.counts[row])
     return out
 
 
@@ -251,7 +286,7 @@ def train(docs: DataFrame, labels: DataFrame, most: int = MOST) -> tuple[dict[st
                 splits.append(split)
                 y += batch.column("y").to_pylist()
                 ids += batch.column("doc_id").to_pylist()
-        order = np.argsort(np.array(ids, dtype=np.int64), kind="stable")
+        order = np.lexsort((np.array(keys, dtype=np.int64), np.array([len(b) for b in bags]), np.array(ids, dtype=np.int64)))  # rows of one doc_id by their texts
         first = {keys[i]: i for i in order[::-1]}  # words are learned from one text of each group of copies, whose labels go together
         new = learned_insults([(bags[i], y[i]) for i in sorted(first.values())])
         beta = UNTRAINED
