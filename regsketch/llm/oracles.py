@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from .divergence import BINS, CLASS_LIMIT, LEAST_CHARS, LEAST_SHARE, LEAST_TOTAL, LEAST_WORDS, SYMBOLS, WORD_LIMIT
-from .urlfilter import ORDER, RULES
+from .urlfilter import HELD, ORDER, RULES
 from .urlfilter import SYMBOLS as ALPHABET
 
 
@@ -16,11 +16,11 @@ def url_verdicts() -> str:
     rule = " ".join(f"WHEN {f} THEN '{r.text}'" for f, r in cases)
     allow = " ".join(f"WHEN {f} THEN {str(r.allow).upper()}" for f, r in cases)
     ctes = [
-        r"parsed AS (SELECT page_id, translate(regexp_extract(coalesce(url, ''), '(?s)^.*?://([^/?#]*)([^?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(coalesce(url, ''), '(?s)^.*?://([^/?#]*)([^?#]*)', 2) AS path FROM pages)",
+        r"parsed AS (SELECT page_id, translate(regexp_extract(u, '(?s)^.*?://([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(u, '(?s)^.*?://([^/?#]*)([^?#]*)', 2) AS path, regexp_replace(regexp_replace(lower(regexp_extract(u, '(?s)^.*?://(.*)$', 1)), '[0-9]', '0', 'g'), '[^a-z0._/-]', '?', 'g') AS body FROM (SELECT page_id, coalesce(url, '') AS u FROM pages))",
         f"ruled AS (SELECT *, CASE {rule} END AS rule, CASE {allow} END AS allow FROM parsed)",
-        "units AS (SELECT host, path, regexp_replace(regexp_replace(lower(host || path), '[0-9]', '0', 'g'), '[^a-z0._/-]', '?', 'g') AS body, count(*) FILTER (WHERE allow) AS acc, count(*) FILTER (WHERE NOT allow) AS rej FROM ruled GROUP BY host, path)",
-        f"runs AS (SELECT host, path, acc, rej, unnest(list_transform(range(1, length(body) + 1), lambda i: substr('{'^' * (ORDER - 1)}' || body, i, {ORDER}))) AS gram FROM units WHERE body <> '')",
-        "counts AS (SELECT gram, sum(acc) AS a, sum(rej) AS r FROM runs GROUP BY gram)",
+        f"units AS (SELECT body, count(*) FILTER (WHERE allow) AS acc, count(*) FILTER (WHERE NOT allow) AS rej, ('0x' || substr(md5(body), 1, 4))::INT % {HELD} = 0 AS held FROM ruled WHERE body <> '' GROUP BY body)",
+        f"runs AS (SELECT body, acc, rej, held, unnest(list_transform(range(1, length(body) + 1), lambda i: substr('{'^' * (ORDER - 1)}' || body, i, {ORDER}))) AS gram FROM units)",
+        "counts AS (SELECT gram, sum(CASE WHEN held THEN 0 ELSE acc END) AS a, sum(CASE WHEN held THEN 0 ELSE rej END) AS r FROM runs GROUP BY gram)",
     ]
     for k in range(1, ORDER + 1):
         lower = f"JOIN p{k - 1} ON p{k - 1}.g = substr(l.g, 2, {k - 1})" if k > 1 else ""
@@ -34,10 +34,11 @@ def url_verdicts() -> str:
     of = lambda n: f"(sum({n} * score) / sum({n}))"
     spread = lambda n: f"sqrt(greatest(1e-6, sum({n} * score * score) / sum({n}) - {of(n)} * {of(n)}))"
     ctes += [
-        f"scores AS (SELECT host, path, any_value(acc) AS acc, any_value(rej) AS rej, avg(ln(pa) - ln(pr)) AS score FROM runs JOIN p{ORDER} ON g = gram GROUP BY host, path)",
-        f"least AS (SELECT CASE WHEN sum(acc) > 0 AND sum(rej) > 0 THEN ({of('acc')} * {spread('rej')} + {of('rej')} * {spread('acc')}) / ({spread('acc')} + {spread('rej')}) END AS t FROM scores)",
+        f"scores AS (SELECT body, any_value(acc) AS acc, any_value(rej) AS rej, any_value(held) AS held, avg(ln(pa) - ln(pr)) AS score FROM runs JOIN p{ORDER} ON g = gram GROUP BY body)",
+        *(f"least_{name} AS (SELECT CASE WHEN sum(acc) > 0 AND sum(rej) > 0 THEN ({of('acc')} * {spread('rej')} + {of('rej')} * {spread('acc')}) / ({spread('acc')} + {spread('rej')}) END AS t FROM scores {where})" for name, where in (("held", "WHERE held"), ("all", ""))),
+        "least AS (SELECT coalesce((SELECT t FROM least_held), (SELECT t FROM least_all)) AS t)",
     ]
-    return f"WITH {', '.join(ctes)} SELECT page_id, ruled.host, ruled.path, rule, CASE WHEN allow THEN 'allow' WHEN NOT allow THEN 'block' WHEN score < t THEN 'block' ELSE 'allow' END AS verdict FROM ruled LEFT JOIN scores ON scores.host = ruled.host AND scores.path = ruled.path CROSS JOIN least"
+    return f"WITH {', '.join(ctes)} SELECT page_id, ruled.host, ruled.path, rule, CASE WHEN allow THEN 'allow' WHEN NOT allow THEN 'block' WHEN score < t THEN 'block' ELSE 'allow' END AS verdict FROM ruled LEFT JOIN scores ON scores.body = ruled.body CROSS JOIN least"
 
 
 def quality_rules() -> str:

@@ -3,7 +3,8 @@
 URLs that a rule accepts or blocks train two variable-order Markov models of characters:
 every order interpolates the next lower one with Witten-Bell weights, down to a uniform
 distribution. A URL that no rule fits is judged by the mean log-likelihood difference of
-its characters, against a threshold set between the two training classes.
+its characters after "://", query and fragment too, against a threshold. That is calibrated on a fifth of the ruled
+URLs (by a hash) that the models have not seen; on all of them if a class has none there.
 
 Characters are folded to 31 symbols, so there are at most 32**4 runs of four, however
 many URLs there are; the table of ratios is bounded by that.
@@ -44,14 +45,17 @@ class Rule:
 #: Fixed values.
 RULES = (Rule("org", "/", True), Rule("example.org", "/es/", False), Rule("example.org", "/en/1", False), Rule("com", "/fr/", True), Rule("com", "/de/", False))
 
-_SPLIT = r"(?s)^.*?://([^/?#]*)([^?#]*)"
+_SPLIT = r"(?s)^.*?://([^/?#]*)([^?#]*)(.*)$"
+#: One in so many ruled URLs is kept from the models for calibration.
+HELD = 5
 
 
 def parsed(pages: DataFrame) -> DataFrame:
-    """The rows with host (A-Z lower-cased) and path, empty where there is no "://"."""
+    """The rows with host (A-Z lower-cased) and path, empty where there is no "://", and with all that follows it over the small alphabet (_body)."""
     url = F.coalesce(F.col("url").cast("string"), F.lit(""))
     host = F.regexp_extract(url, _SPLIT, 1)
-    return pages.withColumns({"host": F.translate(host, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "path": F.regexp_extract(url, _SPLIT, 2)})
+    whole = F.concat(*(F.regexp_extract(url, _SPLIT, k) for k in (1, 2, 3)))
+    return pages.withColumns({"host": F.translate(host, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "path": F.regexp_extract(url, _SPLIT, 2), "_body": folded(whole)})
 
 
 def ruled(pages: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
@@ -63,9 +67,9 @@ def ruled(pages: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     return pages.withColumn("_hit", hit).withColumns({"rule": F.col("_hit.rule"), "rule_allows": F.col("_hit.allow")}).drop("_hit")
 
 
-def folded(host: Column, path: Column) -> Column:
-    """Host and path over the small alphabet."""
-    return F.regexp_replace(F.regexp_replace(F.lower(F.concat(host, path)), "[0-9]", "0"), "[^a-z0._/-]", "?")
+def folded(text: Column) -> Column:
+    """Text over the small alphabet."""
+    return F.regexp_replace(F.regexp_replace(F.lower(text), "[0-9]", "0"), "[^a-z0._/-]", "?")
 
 
 def _runs(units: DataFrame, *columns: str) -> DataFrame:
@@ -94,8 +98,18 @@ def ratios(units: DataFrame) -> DataFrame:
 
 
 def scores(units: DataFrame, table: DataFrame) -> DataFrame:
-    """(host, path, score): the mean ratio over the characters; the table has at most SYMBOLS ** ORDER rows, so it is broadcast."""
-    return _runs(units, "host", "path").join(F.broadcast(table), "gram").groupBy("host", "path").agg(F.avg("ratio").alias("score"))
+    """(body, score): the mean ratio over the characters; the table has at most SYMBOLS ** ORDER rows, so it is broadcast."""
+    return _runs(units, "body").join(F.broadcast(table), "gram").groupBy("body").agg(F.avg("ratio").alias("score"))
+
+
+def scored_units(known: DataFrame) -> DataFrame:
+    """(body, accepted, rejected, held, score) for every different body of ``known`` (_body, rule_allows) that is not empty; held ones are not in the models."""
+    weights = {"accepted": F.sum(F.coalesce(F.col("rule_allows").cast("bigint"), F.lit(0))), "rejected": F.sum(F.coalesce((~F.col("rule_allows")).cast("bigint"), F.lit(0)))}
+    units = known.where("_body <> ''").groupBy(F.col("_body").alias("body")).agg(*(w.alias(k) for k, w in weights.items()))
+    held = F.conv(F.substring(F.md5("body"), 1, 4), 16, 10).cast("int") % HELD == 0
+    units = cut(units.withColumn("held", held))
+    seen = units.select("body", *(F.when(F.col("held"), 0).otherwise(F.col(c)).alias(c) for c in weights))
+    return cut(units.join(scores(units, ratios(seen)), "body"))
 
 
 def threshold(scored: DataFrame) -> float | None:
@@ -115,13 +129,12 @@ def threshold(scored: DataFrame) -> float | None:
 def judged(pages: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """The rows with host, path, rule, verdict and lm_score (null where a rule decides or there is nothing to judge)."""
     known = ruled(parsed(pages), rules)
-    weights = {"accepted": F.sum(F.coalesce(F.col("rule_allows").cast("bigint"), F.lit(0))), "rejected": F.sum(F.coalesce((~F.col("rule_allows")).cast("bigint"), F.lit(0)))}
-    units = known.select("host", "path", "rule_allows").groupBy("host", "path").agg(*(w.alias(k) for k, w in weights.items()))
-    units = cut(units.withColumn("body", folded(F.col("host"), F.col("path"))))
-    scored = cut(units.join(scores(units, ratios(units)), ["host", "path"]).select("host", "path", "accepted", "rejected", "score"))
-    least = threshold(scored)
-    free = scored.where("accepted = 0 and rejected = 0").select("host", "path", F.col("score").alias("lm_score"))
-    out = known.join(free, ["host", "path"], "left")
+    units = scored_units(known)
+    least = threshold(units.where("held"))
+    least = threshold(units) if least is None else least
+    free = units.where("accepted = 0 and rejected = 0").select(F.col("body").alias("_body"), F.col("score").alias("lm_score"))
+    # Ruled rows and those without a body seek no score, so that they are in no bucket of the join.
+    sought = F.when(F.col("rule_allows").isNull() & (F.col("_body") != ""), F.col("_body"))
+    out = known.withColumn("_body", sought).join(free, "_body", "left").drop("_body")
     by_model = F.when(F.col("lm_score") < F.lit(least), "block").otherwise("allow") if least is not None else F.lit("allow")
     return out.withColumn("verdict", F.when(F.col("rule_allows"), "allow").when(~F.col("rule_allows"), "block").otherwise(by_model)).drop("rule_allows")
-
