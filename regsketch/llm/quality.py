@@ -14,6 +14,7 @@ source and doc_id enter no score; extra columns are ignored.
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -145,13 +146,14 @@ def train(docs: DataFrame, labels: DataFrame, most: int = MOST) -> tuple[np.ndar
     rows = sample(docs, labels, "quality", MODULUS, HELD_OUT, most)
 
     def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        documents, y, ids = [], [], []
+        documents, y, ids, sums = [], [], [], []
         for whole in batches:
             for batch in slices(whole, limit=SLICE):
                 documents += _documents(words(batch.column("text")))
                 y += batch.column("y").to_pylist()
                 ids += batch.column("doc_id").to_pylist()
-        order = np.argsort(np.array(ids, dtype=np.int64), kind="stable")
+                sums += [zlib.crc32(t.encode()) for t in batch.column("text").to_pylist()]
+        order = np.lexsort((np.array(sums, dtype=np.int64), np.array(ids, dtype=np.int64)))  # rows of one doc_id by their texts
         documents, y = [documents[i] for i in order], np.array(y, dtype=np.int64)[order]
         weights, bias = np.zeros(BUCKETS + 1, dtype=np.float32), float(np.log(share / (1 - share)))
         if len(np.unique(y)) == 2:

@@ -1,7 +1,9 @@
 """PII, quality rules, secrets, URLs: brute force and edge cases."""
 
 import hashlib
+import random
 import re
+import string
 from collections import Counter
 
 import numpy as np
@@ -184,6 +186,26 @@ def test_random_runs_of_letters_upper_hex_tokens_and_queries():
         assert [text[s:e] for s, _, e in secretscan.random_spans(text, coder)] == want, text
 
 
+def test_precision_and_recall_of_the_token_test():
+    """Random keys of many alphabets (hexadecimal ones not of a digest length, which is taken for a digest) against digests, identifiers, words and addresses: the method's own spans alone."""
+    r = random.Random(41)
+    pick = lambda alphabet, n: "".join(r.choice(alphabet) for _ in range(n))
+    low, up, digits = string.ascii_lowercase, string.ascii_uppercase, string.digits
+    keys = [lambda n: pick(low + up + digits, n), lambda n: pick(low + up, n), lambda n: pick(digits + "ABCDEF", n + 3), lambda n: pick(low + up + digits + "+/", n), lambda n: pick(low + up + digits + "_-", n), lambda n: pick(low + digits, n), lambda n: f"{pick(low + up + digits, 20)}.{pick(low + up + digits, n)}"]
+    words_ = "configuration value default timeout manager service request handler customer invoice shipping address international".split()
+    known = [
+        lambda: pick(digits + "ABCDEF", r.choice([40, 64])), lambda: "-".join(pick(digits + "abcdef", n) for n in (8, 4, 4, 4, 12)), lambda: "_".join(r.choice(words_) for _ in range(3)), lambda: "".join(r.choice(words_).title() for _ in range(3)),
+        lambda: f"https://{r.choice(words_)}.example.org/{r.choice(words_)}/{r.choice(words_)}", lambda: f"{r.choice(words_)}.{r.choice(words_)}@example.org", lambda: pick(digits, 20), lambda: "/".join(r.choice(words_) for _ in range(3)), lambda: "-".join(r.choice(words_) for _ in range(3)),
+    ]
+    coder = secretscan.encoding(queries.tokenizer_path("byte_bpe_50k.tiktoken"))
+    hit = lambda text: bool(secretscan.random_spans(text, coder))
+    positives = [f"the value is {k(r.choice([20, 24, 32, 48]))} here" for k in keys for _ in range(200)]
+    negatives = [f"the value is {k()} here" for k in known for _ in range(200)]
+    found, wrong = sum(map(hit, positives)), sum(map(hit, negatives))
+    recall, precision = found / len(positives), found / (found + wrong)
+    assert recall > 0.97 and precision > 0.97, (recall, precision, [n for n in negatives if hit(n)][:20], [p for p in positives if not hit(p)][:20])
+
+
 def test_secrets_query_digest(spark, sf):
     texts = dict(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect())
     for r in queries.op3_secrets(spark, sf).collect():
@@ -252,6 +274,16 @@ def test_url_model_is_the_brute_force_one(spark):
     assert got.keys() == want.keys() and all(got[g] == pytest.approx(want[g], abs=1e-9) for g in want)
 
 
+def test_url_model_on_urls_it_has_not_seen(spark):
+    """Held ruled URLs, judged by the threshold from one half of them and scored on the other."""
+    pages = spark.read.parquet("/root/testdata/sf0.1/pages.parquet").select("page_id", "url")
+    units = urlfilter.scored_units(urlfilter.ruled(urlfilter.parsed(pages))).where("held and accepted + rejected > 0").cache()
+    least = urlfilter.threshold(units.where("hash(body) % 2 = 0"))
+    rows = units.where("hash(body) % 2 <> 0").collect()
+    right = [(r["score"] >= least) == (r["accepted"] > 0) for r in rows]
+    assert len(rows) > 50 and np.mean(right) > 0.9
+
+
 def test_url_query(spark, sf):
     rows = queries.op5_urlfilter(spark, sf).collect()
     urls = dict(spark.read.parquet(f"{sf}/pages.parquet").select("page_id", "url").collect())
