@@ -8,11 +8,20 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``, else the context's checkpoint folder, else one of our own in the warehouse."""
+    """The folder of ``spark.checkpoint.dir``, else the context's checkpoint folder, else one of our own in the warehouse.
+
+    On a cluster a warehouse on the driver's own disk will not do, as executors would not see it; that is an error.
+    """
     if named := spark.conf.get("spark.checkpoint.dir", None):
         return named
     given = spark.sparkContext._jsc.sc().getCheckpointDir()
-    return given.get() if given.isDefined() else os.path.join(spark.conf.get("spark.sql.warehouse.dir"), "checkpoints")
+    if given.isDefined():
+        return given.get()
+    warehouse = spark.conf.get("spark.sql.warehouse.dir")
+    own_disk = "://" not in warehouse and not warehouse.startswith("hdfs:") or warehouse.startswith("file:")
+    if own_disk and not spark.sparkContext.master.split("[")[0] == "local":
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+    return os.path.join(warehouse, "checkpoints")
 
 
 def shared_checkpoints(spark: SparkSession) -> None:

@@ -341,38 +341,54 @@ def doc_classes(spark, d):
     return L.classes(doc_registers(spark, d), "doc_id")
 
 
-_REPS = f"regs AS MATERIALIZED ({_DOC_REGS}), cls AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY s) AS class_id FROM (SELECT doc_id, list(idx || ':' || reg ORDER BY idx) AS s FROM regs GROUP BY doc_id)), reps AS (SELECT r.* FROM regs r JOIN cls c USING (doc_id) WHERE c.class_id = doc_id), bands AS (SELECT doc_id, idx // 12 AS band, list((idx % 12) || ':' || reg ORDER BY idx) AS bucket FROM reps GROUP BY doc_id, idx // 12 HAVING count(*) >= 6), cand AS (SELECT DISTINCT a.doc_id AS left_key, b.doc_id AS right_key FROM bands a JOIN bands b ON a.band = b.band AND a.bucket = b.bucket AND a.doc_id < b.doc_id)"
+def _bands_sql() -> str:
+    """The bands of lists e, as (doc_id, band, bucket)."""
+    dense = f"SELECT doc_id, b AS band, array_to_string(run, ',') AS bucket FROM (SELECT doc_id, b, list_filter(e, lambda x: x // {64 * L.BAND} = b) AS run FROM reps, range({DOC.m // L.BAND}) t(b) WHERE len(e) >= {L.DENSE_FROM}) WHERE len(run) >= {L.FILLED}"
+    least = [f"list_min(list_transform(e, lambda x: (x::BIGINT * {a} + {b}) % {L.PRIME}))" for a, b in L.least_factors()]
+    sparse = " UNION ALL ".join(f"SELECT doc_id, {1000 + k}, concat_ws(',', {', '.join(least[k * L.LEAST_ROWS : (k + 1) * L.LEAST_ROWS])}) FROM reps WHERE len(e) < {L.SPARSE_BELOW}" for k in range(L.LEAST_BANDS))
+    return f"{dense} UNION ALL {sparse}"
 
 
-def _class_registers(spark, d) -> DataFrame:
-    own = cut(doc_registers(spark, d))
-    first = L.classes(own, "doc_id").where("doc_id = class_id").select("doc_id")
-    return cut(own.join(first, "doc_id", "left_semi"))
+_LISTS = f"lists AS MATERIALIZED (SELECT doc_id, list(idx * 64 + reg ORDER BY idx) AS e FROM ({_DOC_REGS}) GROUP BY doc_id), reps AS MATERIALIZED (SELECT min(doc_id) AS doc_id, e FROM lists GROUP BY e)"
+_REPS = f"{_LISTS}, bands AS MATERIALIZED ({_bands_sql()}), cand AS (SELECT DISTINCT a.doc_id AS left_key, b.doc_id AS right_key FROM bands a JOIN bands b ON a.band = b.band AND a.bucket = b.bucket AND a.doc_id < b.doc_id)"
+
+
+def _class_entries(spark, d) -> DataFrame:
+    """The sketch of one document of each class, as a list."""
+    lists = L.entry_lists(S.build_by_key(shingles(table(spark, d, "documents"), "doc_id"), "shingle", DOC, ["doc_id"]), "doc_id")
+    return cut(lists.groupBy("entries").agg(F.min("doc_id").alias("doc_id")))
 
 
 @query("doc_candidates", f"WITH {_REPS} SELECT left_key, right_key FROM cand")
 def doc_candidates(spark, d):
-    """Pairs of different sketches that share a band of twelve registers."""
-    return L.candidates(_class_registers(spark, d), "doc_id")
+    """Pairs of different sketches that share a band of registers or of least hashes."""
+    return L.candidates(_class_entries(spark, d), "doc_id", DOC.m)
 
 
-_PAIR_EQUAL = "SELECT left_key, right_key, 1 - sum(CASE WHEN k1 <> k2 THEN 1.0 ELSE 0.0 END)::DOUBLE / 256 AS f FROM (SELECT left_key, right_key, idx, coalesce(max(reg) FILTER (WHERE side = 1), 0) AS k1, coalesce(max(reg) FILTER (WHERE side = 2), 0) AS k2 FROM (SELECT left_key, right_key, 1 AS side, idx, reg FROM cand JOIN reps ON doc_id = left_key UNION ALL SELECT left_key, right_key, 2, idx, reg FROM cand JOIN reps ON doc_id = right_key) GROUP BY ALL) GROUP BY ALL"
+_SHARE = "len(list_intersect(a.e, b.e))::DOUBLE / len(list_distinct(list_concat(list_transform(a.e, lambda x: x // 64), list_transform(b.e, lambda x: x // 64))))"
 
 
-@query("doc_near_duplicates", f"WITH {_REPS} SELECT left_key, right_key, {O.sig(f'1 - least(1.0, greatest(0.0, (1 - f) / {O.ALPHA}))')} AS jaccard FROM ({_PAIR_EQUAL}) WHERE f >= 0.64")
+@query("doc_near_duplicates", f"WITH {_REPS} SELECT left_key, right_key, round(f, 9) AS equal, {O.sig(f'1 - least(1.0, greatest(0.0, (1 - f) / {O.ALPHA}))')} AS jaccard FROM (SELECT left_key, right_key, {_SHARE} AS f FROM cand JOIN reps a ON a.doc_id = left_key JOIN reps b ON b.doc_id = right_key) WHERE f >= {L.CUT}")
 def doc_near_duplicates(spark, d):
-    """Candidates of which at least 64 % of the registers are equal (a similarity of about one half), with the similarity."""
-    r1 = _class_registers(spark, d)
-    sides = L.pair_sides(cut(L.candidates(r1, "doc_id")), r1, "doc_id")
-    own = L.equal_registers(sides, DOC, ["left_key", "right_key"]).where("equal >= 0.64")
-    return own.select("left_key", "right_key", significant(L.jaccard_from_equal(F.col("equal"))).alias("jaccard"))
+    """Candidates of which at least 80 % of the registers above 0 in either are equal, with that share and the similarity that it means for many elements; for few it is the share itself."""
+    entries = _class_entries(spark, d)
+    own = L.similar_pairs(entries, cut(L.candidates(entries, "doc_id", DOC.m)), "doc_id")
+    return own.select("left_key", "right_key", F.round("equal", 9).alias("equal"), significant(L.jaccard_from_equal(F.col("equal"))).alias("jaccard"))
+
+
+#: Copies of the benchmark's shingles among which documents are dealt.
+SPREAD = 16
 
 
 @query("benchmark_overlap", f"SELECT doc_id, item_id, count(*) AS shared FROM ({shingles_sql('documents', 'doc_id')}) JOIN ({shingles_sql('benchmark', 'item_id')}) USING (shingle) GROUP BY ALL HAVING count(*) >= 5")
 def benchmark_overlap(spark, d):
     """Documents and benchmark items with five or more runs of three words in common."""
-    docs, items = shingles(table(spark, d, "documents"), "doc_id"), shingles(table(spark, d, "benchmark"), "item_id")
-    return docs.join(items, "shingle").groupBy("doc_id", "item_id").agg(F.count(F.lit(1)).alias("shared")).where("shared >= 5")
+    # Shingles of the items only, by a hash; one that many documents have is dealt out over SPREAD copies of its items.
+    items = shingles(table(spark, d, "benchmark"), "item_id").select("item_id", F.xxhash64("shingle").alias("h"), "shingle")
+    docs = shingles(table(spark, d, "documents"), "doc_id").select("doc_id", F.xxhash64("shingle").alias("h"), "shingle")
+    known = docs.join(items.select("h").distinct(), "h", "left_semi").withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(SPREAD)).cast("int"))
+    dealt = items.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(SPREAD - 1))))
+    return known.join(dealt, ["h", "part", "shingle"]).groupBy("doc_id", "item_id").agg(F.count(F.lit(1)).alias("shared")).where("shared >= 5")
 
 
 # Baselines ------------------------------------------------------------------

@@ -289,7 +289,7 @@ def topk_parts_by_customers(spark, d):
 def asof_snapshot(spark, d):
     """For each event the estimate of the last snapshot before its day; snapshots are dense, so the as-of join is one on the day."""
     snaps = _estimated(S.running(daily(spark, d), DAYS), ["bucket"])
-    return table(spark, d, "events").select("event_id", (_day() - 1).alias("bucket")).join(F.broadcast(snaps), "bucket", "left").select("event_id", "estimate")  # a row for each day
+    return table(spark, d, "events").select("event_id", (_day() - 1).alias("bucket")).join(snaps, "bucket", "left").select("event_id", "estimate")  # Spark broadcasts the days if they are few
 
 
 _RANGES = [(k, f"2024-01-{1 + 3 * k:02d} {(5 * k) % 24:02d}:30:00", f"2024-01-{3 + 3 * k + k % 3:02d} {(7 * k) % 24:02d}:00:00") for k in range(9)]

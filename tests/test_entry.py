@@ -7,7 +7,7 @@ import __spark_entry__ as entry
 from regsketch.plans import catalog
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"curve_ml", "curve_corrected_raw", "union_joint_vs_merge", "jaccard_joint", "set_ops_joint_fixed_point"}
+SLOW = {"curve_ml", "union_joint_vs_merge", "jaccard_joint"}
 
 
 @pytest.fixture(scope="module")
@@ -44,3 +44,23 @@ def test_entry_runs(spark):
 
 def test_names():
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_queries_without_packages_of_the_text_operators(monkeypatch):
+    """Where a package that only the text operators need is absent, the other queries are all there."""
+    real = entry.importlib.import_module
+
+    def absent(name):
+        if name.startswith(("regsketch.llm", "corpus_pipeline")):
+            raise ModuleNotFoundError("No module named 'xxhash'", name="xxhash")
+        return real(name)
+
+    monkeypatch.setattr(entry.importlib, "import_module", absent)
+    assert entry.queries().keys() == catalog.queries().keys() and entry.oracle_sql().keys() == catalog.oracle_sql().keys()
+
+    def broken(name):
+        raise ModuleNotFoundError("No module named 'regsketch.plans.gone'", name="regsketch.plans.gone")
+
+    monkeypatch.setattr(entry.importlib, "import_module", broken)
+    with pytest.raises(ModuleNotFoundError):
+        entry.queries()

@@ -11,30 +11,57 @@ from regsketch.operators import baselines as B
 from regsketch.operators import metrics, simulate
 from regsketch.operators import similarity as L
 from regsketch.operators import sketch as S
+from regsketch.plans import queries_pairs
 from regsketch.plans.spec import SketchSpec
 
 SPEC = SketchSpec(8, 20)
 
 
+def share(a, b):
+    """Equal registers among those above 0 in either."""
+    one, two = dict(divmod(x, 64) for x in a), dict(divmod(x, 64) for x in b)
+    return sum(two.get(k) == v for k, v in one.items()) / len(one.keys() | two.keys())
+
+
 def test_candidates_hold_the_similar_pairs(spark):
+    """Recall at the cut for sets of 5 to 900 elements, sparse and dense sketches."""
     r = random.Random(1)
     sets, n = [], 0
-    for _ in range(40):
-        base = [f"x{r.randrange(10**9)}" for _ in range(r.randrange(150, 900))]
-        for keep in (1.0, 0.97, 0.92, 0.8, 0.5):
+    for k in range(160):
+        base = [f"x{r.randrange(10**9)}" for _ in range(r.randrange(5, 60) if k % 2 else r.randrange(60, 900))]
+        for keep in (1.0, 0.97, 0.92, 0.86, 0.5):
             sets.append((n, [b if r.random() < keep else f"y{r.randrange(10**9)}" for b in base]))
             n += 1
     df = spark.createDataFrame([(k, x) for k, own in sets for x in own], "key int, x string")
-    r1 = S.build(df, "x", SPEC, ["key"])
-    found = {(p["left_key"], p["right_key"]) for p in L.candidates(r1, "key").collect()}
-    exact = {k: set(own) for k, own in sets}
-    similar = {(a, b) for a in exact for b in exact if a < b and len(exact[a] & exact[b]) >= 0.8 * len(exact[a] | exact[b])}
-    assert len(found & similar) >= 0.9 * len(similar) > 0
-    assert len([p for p in found if not exact[p[0]] & exact[p[1]]]) < 5
-    sides = L.pair_sides(spark.createDataFrame(sorted(found & similar), "left_key int, right_key int"), r1, "key")
-    for row in L.equal_registers(sides, SPEC, ["left_key", "right_key"]).withColumn("j", L.jaccard_from_equal(F.col("equal"))).collect():
-        a, b = exact[row["left_key"]], exact[row["right_key"]]
-        assert abs(row["j"] - len(a & b) / len(a | b)) < 0.2
+    entries = L.entry_lists(S.build(df, "x", SPEC, ["key"]), "key").cache()
+    lists = {r["key"]: r["entries"] for r in entries.collect()}
+    pairs = L.candidates(entries, "key", SPEC.m)
+    found = {(p["left_key"], p["right_key"]) for p in pairs.collect()}
+    similar = {(a, b) for a in lists for b in range(a + 1, n) if share(lists[a], lists[b]) >= L.CUT}
+    near = {p for p in similar if share(lists[p[0]], lists[p[1]]) < L.CUT + 0.05}
+    assert len(near) > 60 and len(found & near) >= 0.95 * len(near) and len(found & similar) >= 0.97 * len(similar)
+    assert len([p for p in found if p[0] // 5 != p[1] // 5]) < 0.001 * n * n
+    got = {(p["left_key"], p["right_key"]): p["equal"] for p in L.similar_pairs(entries, pairs, "key").collect()}
+    assert got.keys() == found & similar and all(got[p] == pytest.approx(share(lists[p[0]], lists[p[1]])) for p in got)
+
+
+def test_equal_registers_tell_the_similarity(spark):
+    r = random.Random(2)
+    base = [f"x{k}" for k in range(3000)]
+    df = spark.createDataFrame([(s, x) for s, own in ((1, base), (2, [b if r.random() < 0.9 else f"y{b}" for b in base])) for x in own], "side int, x string").withColumn("pair", F.lit(1))
+    got = L.equal_registers(S.build(df, "x", SketchSpec(12, 20), ["pair", "side"]), SketchSpec(12, 20), ["pair"]).select(L.jaccard_from_equal(F.col("equal"))).first()[0]
+    assert abs(got - 0.82) < 0.08
+
+
+def test_near_duplicate_documents_against_all_pairs(spark):
+    """Every pair of classes of sf0.01 compared: what the bands lose at the cut."""
+    d = "/root/testdata/sf0.01"
+    lists = {r["doc_id"]: r["entries"] for r in queries_pairs._class_entries(spark, d).collect()}
+    keys = sorted(lists)
+    sets = {k: set(lists[k]) for k in keys}
+    similar = {(a, b) for i, a in enumerate(keys) for b in keys[i + 1 :] if 0.8 * len(sets[a]) <= len(sets[b]) <= len(sets[a]) / 0.8 and len(sets[a] & sets[b]) >= 0.6 * len(sets[a]) and share(lists[a], lists[b]) >= L.CUT}
+    got = {(r["left_key"], r["right_key"]) for r in queries_pairs.doc_near_duplicates(spark, d).collect()}
+    assert got <= similar and len(got) >= 0.95 * len(similar) > 0
 
 
 def test_classes_of_equal_sketches(spark):
