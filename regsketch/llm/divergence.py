@@ -2,8 +2,8 @@
 
 Each document becomes two histograms: of character classes, and of common words of
 four languages with one bin for all other words. References are the same histograms
-of all documents of a language. A document fails if the Jensen-Shannon distance
-to the nearest reference is above a limit, in texts long enough for it to mean something.
+of all documents of a language that the base rules keep. A document passes if there is one language to which
+the Jensen-Shannon distances of both its histograms are within the limits, each in texts long enough for it to mean something.
 
 Defined results: a null text has no words; texts under 50 words, and texts of which
 over half the words lie in repeated three-word windows, fail before any divergence;
@@ -134,9 +134,10 @@ def measured(docs: DataFrame) -> DataFrame:
 
 
 def references(features: DataFrame, least_share: float = LEAST_SHARE) -> list[tuple[str, np.ndarray, np.ndarray]]:
-    """For each language the sums of both histograms over all its documents: a few hundred numbers each."""
+    """For each language the sums of both histograms over all its documents that pass the base rules: a few hundred numbers each."""
     sums = lambda name, n: [F.sum(F.get(name, F.lit(k))).alias(f"{name}{k}") for k in range(n)]
-    table = features.where("lang is not null").groupBy("lang").agg(F.count(F.lit(1)).alias("n"), *sums("classes", 8), *sums("commons", len(BINS) + 1))
+    sound = (F.col("n_words") >= LEAST_TOTAL) & (100 * F.col("n_repeat_words") <= 100 * MOST_REPEATED * F.col("n_words"))
+    table = features.where(F.col("lang").isNotNull() & sound).groupBy("lang").agg(F.count(F.lit(1)).alias("n"), *sums("classes", 8), *sums("commons", len(BINS) + 1))
     total = features.count()
     rows = table.where(F.col("n") >= max(1, least_share * total)).orderBy("lang").collect()  # at most 1 / least_share rows
     return [(r["lang"], np.array([r[f"classes{k}"] for k in range(8)], dtype=float), np.array([r[f"commons{k}"] for k in range(len(BINS) + 1)], dtype=float)) for r in rows]
@@ -155,7 +156,7 @@ def jensen_shannon(counts: np.ndarray, reference: np.ndarray) -> np.ndarray:
 
 
 def judged(docs: DataFrame, class_limit: float = CLASS_LIMIT, word_limit: float = WORD_LIMIT) -> DataFrame:
-    """doc_id, n_words, the measures, base_failed, kept, both distances and the nearest language."""
+    """doc_id, n_words, the measures, base_failed, kept, and both distances to the language that is nearest by words."""
     found = cut(measured(docs))
     known = references(found)
 
@@ -168,11 +169,12 @@ def judged(docs: DataFrame, class_limit: float = CLASS_LIMIT, word_limit: float
             failed = (total < LEAST_TOTAL) | (100 * repeats > 100 * MOST_REPEATED * total)
             by_class, by_word = (np.stack([jensen_shannon(x, r[k]) for r in known], axis=1) if known else np.zeros((n, 1)) for k, x in ((1, classes), (2, commons)))
             nearest = by_word.argmin(1)
-            class_far = (classes.sum(1) >= LEAST_CHARS) & (by_class.min(1) > class_limit)
-            word_far = (total >= LEAST_WORDS) & (by_word.min(1) > word_limit)
+            class_near = (classes.sum(1) < LEAST_CHARS)[:, None] | (by_class <= class_limit)
+            word_near = (total < LEAST_WORDS)[:, None] | (by_word <= word_limit)
+            near, at = (class_near & word_near).any(1), np.arange(n)
             names = [known[k][0] if known else None for k in nearest]
             own = [batch.column(c) for c in ("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")]
-            yield pa.RecordBatch.from_arrays([*own, pa.array(failed), pa.array(~failed & ~class_far & ~word_far), pa.array(by_class.min(1)), pa.array(by_word.min(1)), pa.array(names, pa.string())], names=["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "class_distance", "word_distance", "nearest_lang"])
+            yield pa.RecordBatch.from_arrays([*own, pa.array(failed), pa.array(~failed & near), pa.array(by_class[at, nearest]), pa.array(by_word[at, nearest]), pa.array(names, pa.string())], names=["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "class_distance", "word_distance", "nearest_lang"])
 
     schema = "doc_id bigint, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, base_failed boolean, kept boolean, class_distance double, word_distance double, nearest_lang string"
     return map_arrow(found, judge, schema)

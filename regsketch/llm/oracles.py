@@ -60,6 +60,7 @@ def quality_rules() -> str:
     js = lambda p, q: f"sqrt(greatest(0.0, list_sum(list_transform(list_zip({p}, {q}), lambda z: CASE WHEN z[1] > 0 THEN z[1] * log2(z[1] / ((z[1] + z[2]) / 2)) ELSE 0.0 END + CASE WHEN z[2] > 0 THEN z[2] * log2(z[2] / ((z[1] + z[2]) / 2)) ELSE 0.0 END)) / 2))"
     share = lambda c: f"list_transform({c}, lambda v: v::DOUBLE / greatest(1, list_sum({c})))"
     add = lambda c, n: "[" + ", ".join(f"sum({c}[{k}])" for k in range(1, n + 1)) + "]"
+    failed = f"n_words < {LEAST_TOTAL} OR 100 * n_repeat_words > 50 * n_words"
     return f"""WITH t AS (SELECT doc_id, lang, coalesce(text, '') AS text FROM documents),
 w AS (SELECT *, list_filter(string_split_regex(text, '{space}+'), lambda x: x <> '') AS w FROM t),
 v AS (SELECT doc_id, i, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] AS run FROM (SELECT doc_id, w, unnest(range(1, len(w) - 1)) AS i FROM w)),
@@ -70,7 +71,6 @@ words AS (SELECT doc_id, coalesce(list_position([{names}], lower(trim(x, '{trim}
 hist AS (SELECT doc_id, list_transform(range(1, {len(BINS) + 2}), lambda k: coalesce(m[k], 0)) AS commons FROM (SELECT doc_id, map_from_entries(list((bin::BIGINT, n))) AS m FROM words GROUP BY doc_id)),
 f AS (SELECT w.doc_id, w.lang, len(w) AS n_words, coalesce(list_sum(list_transform(w, lambda x: length(x))), 0)::BIGINT AS word_chars, {count(r'[^#*$%&|<>]')} AS n_symbols, coalesce(n_dup, 0) AS n_dup_lines, coalesce(n_repeat, 0) AS n_repeat_words,
 [{', '.join(count(p) for p in classes.values())}] AS classes, coalesce(commons, list_transform(range({len(BINS) + 1}), lambda k: 0)) AS commons FROM w LEFT JOIN rep USING (doc_id) LEFT JOIN lines USING (doc_id) LEFT JOIN hist USING (doc_id)),
-ref AS (SELECT lang, {share('rc')} AS rc, {share('rw')} AS rw FROM (SELECT lang, {add('classes', 8)} AS rc, {add('commons', len(BINS) + 1)} AS rw FROM f WHERE lang IS NOT NULL GROUP BY lang HAVING count(*) >= greatest(1, {LEAST_SHARE} * (SELECT count(*) FROM f)))),
-dist AS (SELECT f.doc_id, min({js(share('classes'), 'rc')}) AS dc, min({js(share('commons'), 'rw')}) AS dw FROM f, ref GROUP BY f.doc_id)
-SELECT doc_id, n_words::BIGINT AS n_words, word_chars, n_symbols::BIGINT AS n_symbols, n_dup_lines::BIGINT AS n_dup_lines, n_repeat_words::BIGINT AS n_repeat_words, n_words < {LEAST_TOTAL} OR 100 * n_repeat_words > 50 * n_words AS base_failed,
-NOT (n_words < {LEAST_TOTAL} OR 100 * n_repeat_words > 50 * n_words) AND NOT (list_sum(classes) >= {LEAST_CHARS} AND dc > {CLASS_LIMIT}) AND NOT (n_words >= {LEAST_WORDS} AND dw > {WORD_LIMIT}) AS kept FROM f LEFT JOIN dist USING (doc_id)"""
+ref AS (SELECT lang, {share('rc')} AS rc, {share('rw')} AS rw FROM (SELECT lang, {add('classes', 8)} AS rc, {add('commons', len(BINS) + 1)} AS rw FROM f WHERE lang IS NOT NULL AND NOT ({failed}) GROUP BY lang HAVING count(*) >= greatest(1, {LEAST_SHARE} * (SELECT count(*) FROM f)))),
+dist AS (SELECT doc_id, bool_or((chars < {LEAST_CHARS} OR dc <= {CLASS_LIMIT}) AND (n_words < {LEAST_WORDS} OR dw <= {WORD_LIMIT})) AS near FROM (SELECT f.doc_id, n_words, list_sum(classes) AS chars, {js(share('classes'), 'rc')} AS dc, {js(share('commons'), 'rw')} AS dw FROM f, ref) GROUP BY doc_id)
+SELECT doc_id, n_words::BIGINT AS n_words, word_chars, n_symbols::BIGINT AS n_symbols, n_dup_lines::BIGINT AS n_dup_lines, n_repeat_words::BIGINT AS n_repeat_words, {failed} AS base_failed, NOT ({failed}) AND coalesce(near, TRUE) AS kept FROM f LEFT JOIN dist USING (doc_id)"""
