@@ -33,8 +33,8 @@ from .textbatch import expanded, slices, words
 CAPACITY = 2048
 #: Pieces of one length are ranked within so many groups, as one length may hold a third of them.
 SALTS = 64
-#: Words whose ids a worker remembers.
-REMEMBERED = 600_000
+#: Words whose ids a worker remembers, and their characters, at most when a slice of text begins.
+REMEMBERED, REMEMBERED_CHARS = 600_000, 16 << 20
 
 PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint"
 
@@ -123,11 +123,13 @@ class WordTokenizer:
 
     def _forget(self) -> None:
         self.known: dict[str, int] = {}
+        self.chars = 0
         self.flat = np.empty(0, dtype="<u4")
         self.bounds = np.zeros(1, dtype=np.int64)
 
     def _learn(self, new: list[str]) -> None:
         """Remember the ids of new words."""
+        self.chars += sum(map(len, new))
         fits = [bool(self.plain and _PLAIN_WORD.fullmatch(w) and "<|" not in w) for w in new]
         plain, other = [w for w, f in zip(new, fits, strict=True) if f], [w for w, f in zip(new, fits, strict=True) if not f]
         ids, lengths = [self.flat], []
@@ -146,7 +148,7 @@ class WordTokenizer:
         """The ids of all texts in one array, and each text's bounds in it."""
         split = words(column)
         distinct = split.vocabulary.to_pylist()
-        if len(self.known) > REMEMBERED:
+        if len(self.known) > REMEMBERED or self.chars > REMEMBERED_CHARS:
             self._forget()
         if new := [w for w in distinct if w not in self.known]:
             self._learn(new)
