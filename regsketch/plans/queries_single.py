@@ -346,6 +346,29 @@ def est_ml(spark, d):
     return _estimates(spark, d, E.ml(F.col("counts"), 12, 20, 1e-12))
 
 
+#: The same with the fast hash, in 128-bit arithmetic on the SQL side.
+XX = SketchSpec(12, 20)
+_XX_WORDS = f"SELECT l_returnflag, l_linestatus, CAST(CASE WHEN h < 0 THEN CAST(h AS HUGEINT) + 18446744073709551616 ELSE h END AS UBIGINT) AS h FROM lineitem JOIN ({_xxhash_sql('l_orderkey')}) USING (l_orderkey)"
+_XX_REGS = f"SELECT l_returnflag, l_linestatus, idx, max(rank)::TINYINT AS reg FROM (SELECT l_returnflag, l_linestatus, {O.address('h', 12)} AS idx, {O.rank('h', 12, 20)} AS rank FROM ({_XX_WORDS})) GROUP BY ALL"
+_XX_COUNTS = O.counts(_XX_REGS, GRP)
+
+
+def _xx_counts(spark: SparkSession, d: str) -> DataFrame:
+    return by_group(spark, d, XX)
+
+
+@query("est_corrected_raw_xx", f"SELECT l_returnflag, l_linestatus, {O.sig('estimate')} AS estimate FROM (SELECT l_returnflag, l_linestatus, {O.corrected(12, 20)} AS estimate FROM ({_XX_COUNTS}))")
+def est_corrected_raw_xx(spark, d):
+    """Build and corrected estimate as one would use them: the fast hash, fill functions from tables."""
+    return _xx_counts(spark, d).select(*GRP, significant(E.corrected_raw_table(F.col("counts"), 12, 20)).alias("estimate"))
+
+
+@query("est_ml_xx", f"WITH RECURSIVE {O.ml_table('mlx', _XX_COUNTS, GRP, 12, 20)} SELECT l_returnflag, l_linestatus, {O.sig('estimate')} AS estimate FROM mlx")
+def est_ml_xx(spark, d):
+    """Build and likelihood estimate with the fast hash."""
+    return _xx_counts(spark, d).select(*GRP, significant(E.ml(F.col("counts"), 12, 20, 1e-12)).alias("estimate"))
+
+
 @query("est_ml_newton", f"WITH RECURSIVE {_ML} SELECT l_returnflag, l_linestatus, {O.sig('estimate')} AS estimate FROM ml")
 def est_ml_newton(spark, d):
     return _estimates(spark, d, E.ml(F.col("counts"), 12, 20, 1e-12, "newton"))
