@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from regsketch.llm import decontaminate, packing, pii, quality, simhash
 from regsketch.llm.queries import tokenizer_path
-from regsketch.llm.storage import shared_folder
+from regsketch.llm.storage import remove, shared_folder
 
 
 def drop_poor(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -48,12 +48,15 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``, each result written to shared storage and read again."""
+    """All stages over ``documents``, each result written to shared storage and read again; what a stage has read is removed once its own result is written."""
     base = os.path.join(shared_folder(spark), f"pipeline-{uuid.uuid4().hex}")
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs, read = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for k, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if k + 1 < len(STAGES):
             docs.write.parquet(path := f"{base}/{k}-{name}")
             docs = spark.read.parquet(path)
+            if read is not None:
+                remove(spark, read)
+            read = path
     return docs

@@ -8,7 +8,7 @@ from pyspark.sql import SparkSession
 
 from ..plans.lineage import cut, shared_folder
 
-__all__ = ["collect_garbage", "cut", "free", "shared_folder"]
+__all__ = ["collect_garbage", "cut", "free", "remove", "shared_folder"]
 
 
 def collect_garbage(spark: SparkSession) -> None:
@@ -23,3 +23,9 @@ def free(name: str, taken: list[str]) -> str:
     while name.lower() in low:
         name = f"_{name}"
     return name
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete a folder of ours from whichever store it is in."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
