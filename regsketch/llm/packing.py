@@ -34,7 +34,7 @@ CAPACITY = 2048
 #: Pieces of one length are ranked within so many groups, as one length may hold a third of them.
 SALTS = 64
 #: Words whose ids a worker remembers, and their characters, at most when a slice of text begins.
-REMEMBERED, REMEMBERED_CHARS = 600_000, 16 << 20
+REMEMBERED, REMEMBERED_CHARS = 250_000, 8 << 20
 
 PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint"
 

@@ -29,7 +29,7 @@ from .textbatch import Words, code_points, expanded, slices, words
 BUCKETS, DIMENSIONS, GRAMS = 1 << 17, 12, (3, 4, 5)
 EPOCHS, RATE, MOST, SEED = 8, 0.6, 5000, 7
 #: Bytes of text at once; the n-grams of its different words take some fifty times as much for a moment.
-SLICE = 1 << 20
+SLICE = 1 << 19
 #: The feature of a word that is the one before it, and how many features it counts as.
 REPEAT, REPEAT_WEIGHT = BUCKETS, 4
 MODULUS, HELD_OUT, PREDICTED_FROM = 4, 2, 0.7

@@ -222,7 +222,7 @@ def shared_keys(of: DataFrame) -> DataFrame:
     """(key, node, size, fp, level, sure) for every prefix key that two texts or more have."""
     keyed = of.select("node", "size", "fp", "level", F.posexplode("keys").alias("place", "key"), F.col("sure").alias("upto")).withColumn("sure", F.col("place") < F.col("upto")).drop("place", "upto")
     twice = cut(keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key"))
-    return cut(_marked(keyed, twice, "key").join(twice, "key"))
+    return cut(_marked(keyed, twice, ["key"]).join(twice, "key"))
 
 
 def star_candidates(rooted: DataFrame, hubs: DataFrame, similarity: float = SIMILARITY, radius: int = WIDE_RADIUS) -> tuple[DataFrame, DataFrame]:
@@ -292,22 +292,30 @@ def similar(pairs: DataFrame, texts: DataFrame, width: int = SHINGLE, similarity
     return map_arrow(dealt.join(one, "key_a").join(two, ["key_b", "part"]).select("a", "b", "text_a", "text_b"), judge, "src bigint, dst bigint")
 
 
-def _marked(rows: DataFrame, needed: DataFrame, key: str = "text_key") -> DataFrame:
-    """The rows whose key may be one of ``needed``, by a bitmap of hashed keys: what passes still has to be joined, by an inner join with different keys (Spark would push a semi join below the bitmap).
+def _marked(rows: DataFrame, needed: DataFrame, keys: list[str], there: bool = True) -> DataFrame:
+    """The rows whose keys may be among ``needed``, by a bitmap of their hashes; or with ``there`` false those whose keys cannot be.
 
-    The bitmap has MARKS bits at any size of the input, so it is broadcast; it spares most rows without a partner the shuffle of
-    their text, and where it is full it only lets all rows pass.
+    What passes still has to be joined, by an inner join with different keys (Spark would push a semi join below the bitmap). The bitmap has MARKS bits at any
+    size of the input, so it is broadcast; it spares most rows the shuffle of their text, and where it is full it only lets all rows pass.
     """
-    slot = F.pmod(F.xxhash64(key), F.lit(MARKS))
+    slot = F.pmod(F.xxhash64(*keys), F.lit(MARKS))
     bits = needed.select(slot.alias("slot")).groupBy(F.bitmap_bucket_number("slot").alias("_part")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("slot")).alias("_bits"))
     place = F.bitmap_bit_position(slot).cast("int")
     byte = F.conv(F.hex(F.col("_bits").substr(F.shiftright(place, 3) + 1, F.lit(1))), 16, 10).cast("int")
-    joined = rows.withColumn("_part", F.bitmap_bucket_number(slot)).join(F.broadcast(bits), "_part")
-    return joined.where(F.pmod(F.floor(byte / F.pow(F.lit(2.0), place % 8)), F.lit(2)) == 1).select(*rows.columns)
+    joined = rows.withColumn("_part", F.bitmap_bucket_number(slot)).join(F.broadcast(bits), "_part", "left")
+    marked = F.coalesce(F.pmod(F.floor(byte / F.pow(F.lit(2.0), place % 8)), F.lit(2)) == 1, F.lit(False))
+    return joined.where(marked if there else ~marked).select(*rows.columns)
 
 
 def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
-    """(doc_id, text_key, component_id, keep): groups of equal or similar texts; keep marks the text of each group that stays.
+    """(doc_id, text_key, component_id, keep): groups of equal or similar texts; keep marks the text of each group that stays."""
+    rows, groups = grouped(docs, width, similarity)
+    out = rows.join(groups, "text_key", "left")
+    return out.select("doc_id", "text_key", "component_id", F.coalesce(F.col("node") == F.col("component_id"), F.lit(False)).alias("keep"))
+
+
+def grouped(docs: DataFrame, width: int = SHINGLE, similarity: float = SIMILARITY) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, text_key) of every document, and (text_key, node, component_id) of every text: its least doc_id and its group's.
 
     In ``STARS`` rounds every row is tried against the hub of each of its buckets, which joins groups of copies without forming their
     pairs; then all rows of a bucket that are still apart are compared with each other. Documents without a doc_id group by text alone.
@@ -323,7 +331,7 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = S
         keyed = cut(pairs.join(key["a"], "a").join(key["b"], "b"))
         needed = keyed.select(F.col("key_a").alias("text_key")).union(keyed.select("key_b")).distinct()
         # All by text_key, so that a text is shuffled once, and once more with the other text of its pair.
-        own = _marked(texts, needed).join(needed, "text_key").dropDuplicates(["text_key"])
+        own = _marked(texts, needed, ["text_key"]).join(needed, "text_key").dropDuplicates(["text_key"])
         out = cut(similar(keyed, own, width, similarity))
         collect_garbage(docs.sparkSession)
         return out
@@ -347,9 +355,8 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, similarity: float = S
         if links is None or not more.isEmpty():
             links = more if links is None else links.union(more)
             roots = components(links)
-    final = of.select("node", "text_key").join(roots, "node", "left").select("text_key", "node", F.coalesce("root", "node").alias("component_id"))
-    out = found.select("doc_id", "text_key").join(final, "text_key", "left")
-    return out.select("doc_id", "text_key", "component_id", F.coalesce(F.col("node") == F.col("component_id"), F.lit(False)).alias("keep"))
+    groups = of.select("node", "text_key").join(roots, "node", "left").select("text_key", "node", F.coalesce("root", "node").alias("component_id"))
+    return found.select("doc_id", "text_key"), groups
 
 
 def deduplicated(docs: DataFrame, width: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
@@ -359,8 +366,13 @@ def deduplicated(docs: DataFrame, width: int = SHINGLE, similarity: float = SIMI
     """
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     own = F.coalesce(F.col("doc_id").cast("bigint"), -1 - F.pmod(F.xxhash64(text), F.lit(1 << 62)))
-    kept = near_duplicates(docs.select(own.alias("doc_id"), text.alias("text")), width, similarity).where("keep")
+    rows, groups = grouped(docs.select(own.alias("doc_id"), text.alias("text")), width, similarity)
     name, key = (free(n, docs.columns) for n in ("_dedup_id", "_dedup_key"))
-    chosen = kept.groupBy("text_key").agg(F.min("doc_id").alias(name)).withColumnRenamed("text_key", key)
+    chosen = cut(groups.where("node = component_id").select(F.col("node").alias(name), F.col("text_key").alias(key)))
+    # Only rows that go or that are there twice, and what a bitmap cannot tell from them, are joined: the others are not shuffled.
+    each = rows.groupBy(F.col("doc_id").alias(name), F.col("text_key").alias(key)).agg(F.count(F.lit(1)).alias("n"))
+    doubtful = cut(each.join(chosen.withColumn("stays", F.lit(True)), [name, key], "left").where("n > 1 OR stays IS NULL").select(name, key))
     marked = docs.withColumns({name: own, key: F.md5(text)})
-    return marked.join(chosen, [name, key], "left_semi").dropDuplicates([name, key]).select(*docs.columns)
+    sure = _marked(marked, doubtful, [name, key], there=False)
+    unsure = _marked(marked, doubtful, [name, key]).join(chosen, [name, key]).dropDuplicates([name, key])
+    return sure.select(*docs.columns).unionByName(unsure.select(*docs.columns))

@@ -622,10 +622,11 @@ def test_pipeline_on_odd_documents(spark, tmp_path):
 def test_marked_rows_hold_all_needed(spark):
     rows = spark.range(5000).select((F.col("id") - 2500).alias("node"), F.lit("t").alias("text"))
     needed = rows.where("node % 7 = 0").select("node")
-    got = {r["node"] for r in simhash._marked(rows, needed, "node").collect()}
+    got = {r["node"] for r in simhash._marked(rows, needed, ["node"]).collect()}
     want = {r["node"] for r in needed.collect()}
     assert want <= got and len(got) < len(want) + 20
-    assert simhash._marked(rows, needed.limit(0), "node").count() == 0
+    assert simhash._marked(rows, needed.limit(0), ["node"]).count() == 0 and simhash._marked(rows, needed.limit(0), ["node"], there=False).count() == 5000
+    assert {r["node"] for r in simhash._marked(rows, needed, ["node"], there=False).collect()} == {r["node"] for r in rows.collect()} - got
 
 
 def test_short_near_duplicates_are_all_found(spark):
