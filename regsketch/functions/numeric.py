@@ -233,3 +233,32 @@ def joint_ml_many(stats: np.ndarray, p: int, q: int, tolerance: float | None = N
     rates[rates < 1e-6] = 0.0
     sizes[live], rounds[live] = rates, turn
     return sizes, rounds, known
+
+
+def joint_rounds_many(stats: np.ndarray, p: int, q: int, rounds: int) -> np.ndarray:
+    """For each pair the sizes (only first, only second, both) after so many rounds of the multiplicative fixed point: each rate times the positive over the linear part of its gradient.
+
+    It begins with inclusion-exclusion, 1 at least, and keeps its digits where the likelihood is too flat for a search by its value.
+    """
+    n, m = len(stats), float(1 << p)
+    lt1, gt1, lt2, gt2, eq = (stats[:, c] for c in range(5))
+    n1, n2, nu = (ml_many(v.astype(np.int64), 1e-12)[0] for v in (lt1 + gt1 + eq, lt2 + gt2 + eq, gt1 + gt2 + eq))
+    rates = np.maximum(1.0, np.stack([nu - n2, nu - n1, n1 + n2 - nu], axis=1)) if n else np.zeros((0, 3))
+    w = 2.0 ** -np.minimum(np.arange(1, q + 2), q).astype(float) / m
+    w0 = 2.0 ** -np.arange(q + 1).astype(float) / m
+    first = [v[:, : q + 1].astype(float) for v in (lt1, gt1, lt2, gt2, eq)]
+    linear = np.stack([((first[0] + first[4] + first[1]) * w0).sum(1), ((first[2] + first[4] + first[3]) * w0).sum(1), ((first[0] + first[4] + first[2]) * w0).sum(1)], axis=1)
+    lt1, gt1, lt2, gt2, eq = (v[:, 1:].astype(float) for v in (lt1, gt1, lt2, gt2, eq))
+    share = lambda c, top, bottom: np.divide(c * top, bottom, out=np.zeros_like(c), where=(c > 0) & (bottom > 0))
+    for _ in range(rounds):
+        za, zb, zx = (-np.expm1(-rates[:, k, None] * w) for k in range(3))
+        ya, yb, yx = 1 - za, 1 - zb, 1 - zx
+        d1, d2, de = zx + yx * za, zx + yx * zb, zx + yx * za * zb
+        one, two = share(lt1, yx * ya, d1), share(lt2, yx * yb, d2)
+        up = np.stack([
+            ((one + share(eq, yx * ya * zb, de) + share(gt1, ya, za)) * w).sum(1),
+            ((two + share(eq, yx * yb * za, de) + share(gt2, yb, zb)) * w).sum(1),
+            ((one + two + share(eq, yx * (ya + za * yb), de)) * w).sum(1),
+        ], axis=1)
+        rates = np.divide(rates * up, linear, out=np.zeros_like(rates), where=linear > 0)
+    return rates

@@ -36,6 +36,21 @@ def test_query_is_its_sql(spark, sf, duck, name):
     assert normal(got) == normal(want)
 
 
+def test_joint_sizes_of_millions_are_those_of_the_sql(spark, duck):
+    """Nine million elements that are nearly all shared: the likelihood is too flat for a search by its value to find three decimals."""
+    from regsketch.plans import oracle as O
+    from regsketch.plans import queries_pairs as P
+
+    at = lambda first, *cells: [0] * first + [*cells] + [0] * (22 - first - len(cells))
+    cells = {"lt1": at(0), "gt1": at(10, 4, 12, 20, 10, 10, 2, 1, 4), "lt2": at(9, 6, 19, 24, 10, 2, 2), "gt2": at(0), "eq": at(8, 3, 49, 393, 913, 1031, 718, 423, 231, 134, 80, 31, 12, 7, 8)}
+    stat = spark.createDataFrame([("p", tuple(cells.values()))], "pair string, stat struct<" + ", ".join(f"{k}: array<bigint>" for k in cells) + ">")
+    got = P._joint(stat).first()
+    lists = "SELECT 'p' AS pair, " + ", ".join(f"{v}::BIGINT[] AS {k}" for k, v in cells.items())
+    start = "SELECT l.*, greatest(1.0, nu - n2)::DOUBLE AS a, greatest(1.0, nu - n1)::DOUBLE AS b, greatest(1.0, n1 + n2 - nu)::DOUBLE AS x FROM s_l l JOIN s USING (pair)"
+    want = duck.execute(f"WITH RECURSIVE {P.singles_sql('s', lists)}, {O.fixed_point('j', start, ['pair'], 12, 20, 2000)} SELECT a, b, x FROM j").fetchone()
+    assert want[2] > 8e6 and [round(got[c], 3) for c in P.SIZES] == [round(v, 3) for v in want]
+
+
 def test_entry_runs(spark):
     out = entry.entry(spark)
     rows = out.collect()
