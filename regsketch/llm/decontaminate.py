@@ -52,6 +52,9 @@ INDEX_BYTES = 8 << 20
 #: Entries of one item that stay in one index. A longer item (of a million words) may be found once for each run of so many.
 TOGETHER = 8192
 
+#: Bytes of text that a worker searches at once: its passages' postings are spread out beside it, at some twenty times as much.
+SLICE = 1 << 20
+
 _TRIM = ".,;:!?\"'()[]"
 _UPPER = {ord(c): c.lower() for c in "ABCDEFGHIJKLMNOPQRSTUVWXYZ"}
 
@@ -338,7 +341,7 @@ def scan(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD) ->
     def of_pass(sent) -> DataFrame:
         def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for whole in batches:
-                for batch in slices(whole):
+                for batch in slices(whole, limit=SLICE):
                     found = hits(words(batch.column("text")), sent.value, threshold)
                     columns = list(zip(*found, strict=True)) or [()] * 6
                     ids = batch.column("doc_id").take(pa.array(columns[0], pa.int64()))
@@ -350,6 +353,13 @@ def scan(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD) ->
     return reduce(DataFrame.unionByName, _passes(docs, benchmark, of_pass))
 
 
+def _kept(whole: pa.RecordBatch, index: Index, threshold: float = THRESHOLD) -> Iterator[pa.RecordBatch]:
+    """The rows of a batch in whose text no item is found."""
+    for batch in slices(whole, limit=SLICE):
+        bad = {h[0] for h in hits(words(batch.column("text")), index, threshold)}
+        yield batch.filter(pa.array([k not in bad for k in range(batch.num_rows)]))
+
+
 def clean(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """The documents without any benchmark item, all columns as they are."""
     left = [docs]
@@ -357,9 +367,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD) -
     def of_pass(sent) -> DataFrame:
         def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for whole in batches:
-                for batch in slices(whole):
-                    bad = {h[0] for h in hits(words(batch.column("text")), sent.value, threshold)}
-                    yield batch.filter(pa.array([k not in bad for k in range(batch.num_rows)]))
+                yield from _kept(whole, sent.value, threshold)
 
         return map_arrow(left[-1], keep, docs.schema)
 

@@ -780,3 +780,20 @@ def test_majority_bits():
     for k, got in enumerate(simhash.majority_bits(h, bounds).tolist()):
         own = h[bounds[k] : bounds[k + 1]].tolist()
         assert got == sum(1 << b for b in range(64) if 2 * sum(x >> b & 1 for x in own) > len(own))
+
+
+def test_search_for_items_holds_little_beside_a_batch_of_text():
+    """Arrays of a worker that takes 8000 documents through the index: two workers share an executor with a JVM that earlier stages have filled."""
+    import tracemalloc
+
+    import pyarrow.parquet as pq
+
+    items = pq.read_table("/root/testdata/sf0.1/benchmark.parquet").to_pydict()
+    index = decontaminate.Index.of(list(zip(items["item_id"], items["text"], strict=True)))
+    batch = next(pq.ParquetFile("/root/testdata/sf0.1/documents.parquet").iter_batches(8000, columns=["doc_id", "text"]))
+    tracemalloc.start()
+    kept = sum(b.num_rows for b in decontaminate._kept(batch, index))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert batch.column("text").nbytes > 8e6 and 0 < kept < batch.num_rows
+    assert peak < 64e6, peak
