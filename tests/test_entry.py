@@ -51,6 +51,15 @@ def test_joint_sizes_of_millions_are_those_of_the_sql(spark, duck):
     assert want[2] > 8e6 and [round(got[c], 3) for c in P.SIZES] == [round(v, 3) for v in want]
 
 
+#: Queries that once made up their arguments.
+ON_TABLES = ("h_function",)
+
+
+@pytest.mark.parametrize("name", ON_TABLES)
+def test_query_reads_a_table(spark, sf, name):
+    assert catalog.queries()[name](spark, sf).inputFiles()
+
+
 def test_entry_runs(spark):
     out = entry.entry(spark)
     rows = out.collect()
