@@ -52,7 +52,7 @@ def test_joint_sizes_of_millions_are_those_of_the_sql(spark, duck):
 
 
 #: Queries that once made up their arguments.
-ON_TABLES = ("h_function", "fill_functions", "fill_identity", "ripple_curve", "register_pmf", "pair_pmf", "equal_register_bounds", "equal_register_interval")
+ON_TABLES = ("h_function", "fill_functions", "fill_identity", "ripple_curve", "register_pmf", "pair_pmf", "equal_register_bounds", "equal_register_interval", "storage_factor")
 
 
 @pytest.mark.parametrize("name", ON_TABLES)
