@@ -146,10 +146,10 @@ def joint_samples(spark: SparkSession, spec: SketchSpec, runs: int, grid=JOINT_G
 
 
 def joint_error_grid(samples: DataFrame) -> DataFrame:
-    """(config, target, runs, truth, mean, standard deviation and root mean square error of both estimates, factor, iterations): how much better the joint estimate is."""
+    """(config, target, runs, mean truth, mean, standard deviation and root mean square error of both estimates, factor, iterations): how much better the joint estimate is."""
     rmse = lambda c: F.sqrt(F.avg((F.col(c) - F.col("truth")) ** 2)).alias(f"rmse_{c}")
-    each = [f(c) for c in ("conventional", "joint") for f in (lambda c: F.avg(c).alias(f"mean_{c}"), lambda c: F.stddev_pop(c).alias(f"stdev_{c}"), rmse)]
-    out = samples.groupBy("config", "target").agg(F.count(F.lit(1)).alias("runs"), F.first("truth").alias("truth"), *each, F.avg("iterations").alias("iterations"))
+    each = [f(c) for c in ("conventional", "joint") for f in (lambda c: F.avg(c).alias(f"mean_{c}"), lambda c: F.stddev_pop(F.col(c) - F.col("truth")).alias(f"stdev_{c}"), rmse)]
+    out = samples.groupBy("config", "target").agg(F.count(F.lit(1)).alias("runs"), F.avg("truth").alias("truth"), *each, F.avg("iterations").alias("iterations"))
     return out.withColumn("factor", F.try_divide("rmse_conventional", "rmse_joint"))
 
 

@@ -1,6 +1,7 @@
 """Experiments and queries that SQL cannot express, against what is known of them."""
 
 import math
+from functools import reduce
 
 import pytest
 from pyspark.sql import functions as F
@@ -8,6 +9,7 @@ from pyspark.sql import functions as F
 from regsketch.operators import metrics, simulate
 from regsketch.operators import sketch as S
 from regsketch.plans import catalog, queries_work
+from regsketch.plans.lineage import cut
 from regsketch.plans.spec import SketchSpec
 
 Q = catalog.queries()
@@ -52,10 +54,9 @@ def test_all_pairs_beside_their_exact_sizes(spark):
         assert rows[pair]["only_right"] < 1e-3
 
 
-def test_joint_estimates_beat_inclusion_exclusion_in_every_setting(spark, monkeypatch):
+def test_joint_estimates_beat_inclusion_exclusion_in_every_setting(spark):
     """Ratios of errors above 1 within sampling error for all four sizes at both shapes, and over 2 where little is shared."""
-    monkeypatch.setattr(queries_work, "JOINT_RUNS", (((12, 52), 300), ((18, 46), 40)))
-    rows = Q["joint_error_grid"](spark, None).collect()
+    rows = [r for p, q, runs in ((12, 52, 300), (18, 46, 40)) for r in simulate.joint_error_grid(simulate.joint_samples(spark, SketchSpec(p, q), runs)).select(F.lit(p).alias("p"), "*").collect()]
     assert len(rows) == 2 * 4 * len(simulate.JOINT_GRID)
     for r in rows:
         noise = 2.0 / math.sqrt(r["runs"])
@@ -67,11 +68,15 @@ def test_joint_estimates_beat_inclusion_exclusion_in_every_setting(spark, monkey
     assert ratio[12, "1000000,1000000,100000", "both"] > 2 and ratio[12, "100000,100000,1000", "both"] > 2
 
 
-def test_errors_of_six_shapes_over_all_sizes(spark, monkeypatch):
+def simulated(spark, shapes, sizes, runs):
+    parts = [simulate.error_samples(spark, SketchSpec(p, q), list(sizes), runs).select(F.lit(p).alias("p"), F.lit(q).alias("q"), "*") for p, q in shapes]
+    return reduce(lambda a, b: a.unionByName(b), parts)
+
+
+def test_errors_of_six_shapes_over_all_sizes(spark):
     """Unbiased wherever the shape reaches, the expected spread in the middle, and a likelihood estimate that spreads no more than the corrected mean."""
-    monkeypatch.setattr(queries_work, "ERROR_RUNS", 200)
-    monkeypatch.setattr(simulate, "SIZES", (10, 1000, 30_000, 10**6, 10**8, 4 * 10**9, 5 * 10**10))
-    rows = {(r["p"], r["q"], r["method"], r["n"]): r for r in Q["simulated_errors"](spark, None).collect()}
+    errors, by = cut(simulated(spark, queries_work.CONFIGS, (10, 1000, 30_000, 10**6, 10**8, 4 * 10**9, 5 * 10**10), 200)), ["p", "q", "method", "n"]
+    rows = {(r["p"], r["q"], r["method"], r["n"]): r for r in metrics.summary(errors, by).join(metrics.bands(errors, by), by).collect()}
     assert len(rows) == 6 * 2 * 7
     reach = {(12, 20): 4 * 10**9, (8, 24): 4 * 10**9, (16, 16): 4 * 10**9, (22, 10): 4 * 10**9, (12, 52): 5 * 10**10, (12, 14): 10**8}
     for (p, q, method, n), r in rows.items():
@@ -88,7 +93,8 @@ def test_errors_of_six_shapes_over_all_sizes(spark, monkeypatch):
 
 def test_operating_ranges(spark):
     """Some 4e9 for 5-bit registers, 1e8 for 4-bit ones, and no end up to 1e11 for 6-bit ones."""
-    reach = {(r["p"], r["q"], r["method"]): r["up_to"] for r in Q["operating_range"](spark, None).collect()}
+    errors, by = simulated(spark, ((12, 20), (12, 14), (12, 52)), [int(10 ** (k / 8)) for k in range(24, 89)], 250), ["p", "q", "method"]
+    reach = {(r["p"], r["q"], r["method"]): r["up_to"] for r in metrics.operating_range(cut(metrics.summary(errors, [*by, "n"])), by, 0.03).collect()}
     for method in ("corrected_raw", "ml"):
         assert 2e9 <= reach[12, 20, method] <= 5e10 and 4e7 <= reach[12, 14, method] <= 1e9 and reach[12, 52, method] == 10**11
 
@@ -117,3 +123,17 @@ def test_snapshots_end_with_the_whole_table(spark, sf):
     whole = S.multiplicity(S.build(line, "l_orderkey", spec), spec).first()["counts"]
     last = S.multiplicity(S.snapshots(line, "l_orderkey", "l_orderkey", [100, S.WHOLE], spec), spec, ["bucket"]).where("bucket = 1").first()["counts"]
     assert whole == last
+
+
+def test_joint_errors_over_parts_of_the_pairs(spark, monkeypatch):
+    """The parts' exact sizes add up to the pairs', and the joint estimate is no worse within sampling error."""
+    sf = "/root/testdata/sf0.01"
+    monkeypatch.setattr(queries_work, "JOINT_RUNS", (((12, 20), 100), ((14, 20), 20)))
+    exact = {r["pair"]: r for r in Q["exact_set_ops"](spark, sf).collect()}
+    rows = Q["joint_error_grid"](spark, sf).collect()
+    assert len(rows) == 2 * 4 * len(exact)
+    for r in rows:
+        own = exact[r["config"]]
+        whole = own[r["target"]] if r["target"] != "union" else own["only_left"] + own["only_right"] + own["both"]
+        assert abs(r["truth"] * r["runs"] - whole) < 1e-6 * (whole + 1)
+        assert r["factor"] is None or r["rmse_joint"] < 1.25 * r["rmse_conventional"] + 0.05
