@@ -137,3 +137,16 @@ def test_joint_errors_over_parts_of_the_pairs(spark, monkeypatch):
         whole = own[r["target"]] if r["target"] != "union" else own["only_left"] + own["only_right"] + own["both"]
         assert abs(r["truth"] * r["runs"] - whole) < 1e-6 * (whole + 1)
         assert r["factor"] is None or r["rmse_joint"] < 1.25 * r["rmse_conventional"] + 0.05
+
+
+def test_errors_over_parts_of_the_orders(spark):
+    """Every order is in one part of each division, and the estimates are unbiased with the shape's spread at most."""
+    sf = "/root/testdata/sf0.01"
+    orders = spark.read.parquet(f"{sf}/orders.parquet").select("o_orderkey").distinct().count()
+    rows = Q["simulated_errors"](spark, sf).collect()
+    assert len(rows) == 6 * 2 * len(queries_work.PARTS)
+    for r in rows:
+        scale = metrics.expected_stdev(1 << r["p"])
+        assert round(r["n"] * r["runs"]) == orders
+        assert abs(r["bias"]) < 5 * r["stdev"] / math.sqrt(r["runs"]) + scale * scale + 1e-3, r
+        assert r["q05"] <= r["q25"] <= r["median"] <= r["q75"] <= r["q95"] and (r["runs"] > 100 or r["stdev"] < 2 * scale)
