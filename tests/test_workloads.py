@@ -150,3 +150,12 @@ def test_errors_over_parts_of_the_orders(spark):
         assert round(r["n"] * r["runs"]) == orders
         assert abs(r["bias"]) < 5 * r["stdev"] / math.sqrt(r["runs"]) + scale * scale + 1e-3, r
         assert r["q05"] <= r["q25"] <= r["median"] <= r["q75"] <= r["q95"] and (r["runs"] > 100 or r["stdev"] < 2 * scale)
+
+
+def test_operating_ranges_over_the_orders(spark):
+    """The smallest range ends within the table, the others do not."""
+    sf = "/root/testdata/sf0.1"
+    whole = spark.read.parquet(f"{sf}/lineitem.parquet").select("l_orderkey").distinct().count()
+    reach = {(r["p"], r["q"], r["method"]): r["up_to"] for r in Q["operating_range"](spark, sf).collect()}
+    for method in ("corrected_raw", "ml"):
+        assert 2e4 < reach[12, 2, method] < whole and reach[12, 6, method] == whole and reach[12, 20, method] == whole
