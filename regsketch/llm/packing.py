@@ -28,7 +28,7 @@ from pyspark.sql.window import Window
 
 from ..plans.ship import map_arrow
 from .storage import cut
-from .textbatch import expanded, slices, words
+from .textbatch import SLICE_BYTES, expanded, slices, words
 
 CAPACITY = 2048
 #: Pieces of one length are ranked within so many groups, as one length may hold a third of them.
@@ -159,25 +159,30 @@ class WordTokenizer:
         return ids, running[split.bounds]
 
 
-def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, separator: int = 0) -> DataFrame:
+def _cut_up(whole: pa.RecordBatch, coder: WordTokenizer, capacity: int, separator: int, at_once: int) -> Iterator[pa.RecordBatch]:
+    """The pieces of a batch of texts, of which so many bytes are tokenised at once."""
+    for batch in slices(whole, limit=at_once):
+        ids, bounds = coder.ids(batch.column("text"))
+        doc_ids = batch.column("doc_id").to_pylist()
+        out: list[tuple] = []
+        for row, doc_id in enumerate(doc_ids):
+            own = np.append(ids[bounds[row] : bounds[row + 1]], np.uint32(separator)).astype("<u4").tobytes()
+            total = len(own) // 4
+            for piece, start in enumerate(range(0, total, capacity)):
+                stop = min(total, start + capacity)
+                out.append((doc_id, piece, start, stop - start, zlib.crc32(own[4 * start : 4 * stop])))
+        columns = list(zip(*out, strict=True))
+        kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
+        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
+
+
+def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, separator: int = 0, at_once: int = SLICE_BYTES) -> DataFrame:
     """One row for each piece: doc_id, piece, start, length, ids_crc32 (its ids as little-endian unsigned 32-bit)."""
 
     def cutter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = WordTokenizer.of(tokenizer)
         for whole in batches:
-            for batch in slices(whole):
-                ids, bounds = coder.ids(batch.column("text"))
-                doc_ids = batch.column("doc_id").to_pylist()
-                out: list[tuple] = []
-                for row, doc_id in enumerate(doc_ids):
-                    own = np.append(ids[bounds[row] : bounds[row + 1]], np.uint32(separator)).astype("<u4").tobytes()
-                    total = len(own) // 4
-                    for piece, start in enumerate(range(0, total, capacity)):
-                        stop = min(total, start + capacity)
-                        out.append((doc_id, piece, start, stop - start, zlib.crc32(own[4 * start : 4 * stop])))
-                columns = list(zip(*out, strict=True))
-                kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
+            yield from _cut_up(whole, coder, capacity, separator, at_once)
 
     return map_arrow(docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text")), cutter, PIECES)
 
@@ -271,9 +276,9 @@ def places(plans: list[Pattern]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return tuple(np.array(x, dtype=np.int64)[order] for x in (keys, bins, offsets))
 
 
-def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, separator: int = 0, salts: int = SALTS) -> DataFrame:
-    """Every piece of every document with its place: PIECES, then sequence_id and offset."""
-    made = cut(pieces(docs, tokenizer, capacity, separator).withColumn("salt", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(salts)).cast("int")))
+def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, separator: int = 0, salts: int = SALTS, at_once: int = SLICE_BYTES) -> DataFrame:
+    """Every piece of every document with its place: PIECES, then sequence_id and offset. A worker tokenises ``at_once`` bytes of text at a time: less takes less memory and more time."""
+    made = cut(pieces(docs, tokenizer, capacity, separator, at_once).withColumn("salt", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(salts)).cast("int")))
     counts = made.groupBy("length", "salt").agg(F.count(F.lit(1)).alias("n"))
     table = counts.collect()  # at most capacity * salts rows
     histogram = np.zeros(capacity + 1, dtype=np.int64)

@@ -12,6 +12,10 @@ import regsketch
 
 _shipped: dict[str, str] = {}
 
+#: Bytes of rows in a batch that goes to a Python worker, where many steps share an executor's memory. By itself Spark gathers up to 64 MB, or 10,000 texts, and holds them
+#: some four times: in the JVM's vectors and its send buffer, each grown by doubling, and in the worker beside the batch before.
+BATCH_BYTES = 4 << 20
+
 
 def ship(spark: SparkSession) -> None:
     """Send the package's source to the executors, once for each application."""
@@ -31,6 +35,12 @@ def ship(spark: SparkSession) -> None:
     _shipped[context.applicationId] = top
 
 
+def small_batches(spark: SparkSession) -> None:
+    """From now on the session hands rows to Python workers in batches of ``BATCH_BYTES``, or one longer row by itself; a size that was set for it stays."""
+    if (name := "spark.sql.execution.arrow.maxBytesPerBatch") not in spark.conf.getAll:
+        spark.conf.set(name, str(BATCH_BYTES))
+
+
 def released() -> None:
     """Give memory that Arrow and the C library keep for later back to the system: a worker serves many tasks beside the JVM."""
     import ctypes

@@ -797,3 +797,51 @@ def test_search_for_items_holds_little_beside_a_batch_of_text():
     tracemalloc.stop()
     assert batch.column("text").nbytes > 8e6 and 0 < kept < batch.num_rows
     assert peak < 64e6, peak
+
+
+def test_stages_hand_small_batches_to_workers(spark, sf, tmp_path):
+    """10,000 texts in one Arrow batch are some 35 MB, which the JVM and the worker hold several times."""
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    texts = spark.range(4000, numPartitions=1).select(F.repeat(F.lit("some words "), 500).alias("text"))
+
+    def largest():
+        def sizes(batches):
+            for b in batches:
+                yield pa.RecordBatch.from_arrays([pa.array([b.nbytes]), pa.array([b.num_rows])], names=["bytes", "rows"])
+
+        row = texts.mapInArrow(sizes, "bytes bigint, rows bigint").agg(F.max("bytes").alias("bytes"), F.sum("rows").alias("rows")).first()
+        assert row["rows"] == 4000
+        return row["bytes"]
+
+    documents = spark.read.parquet(f"{sf}/documents.parquet").limit(20)
+    for kind, stage in corpus_pipeline.STAGES:
+        if kind == "personal_data":
+            continue  # without Python
+        spark.conf.unset(name)
+        assert largest() > 20e6
+        stage(spark, documents, sf)
+        assert largest() < 5e6, kind
+    spark.conf.set(name, "8m")
+    corpus_pipeline.STAGES[2][1](spark, documents, sf)
+    assert spark.conf.get(name) == "8m"  # what the user has set stays
+    spark.conf.unset(name)
+
+
+def test_packing_holds_little_beside_a_batch_of_text():
+    """Arrays of a worker that tokenises 8000 documents, after the tokenizer was read; the pieces are those of larger slices."""
+    import tracemalloc
+
+    import pyarrow.parquet as pq
+
+    coder = packing.WordTokenizer(queries.tokenizer_path())
+    batch = next(pq.ParquetFile("/root/testdata/sf0.1/documents.parquet").iter_batches(8000, columns=["doc_id", "text"]))
+    peaks, found = [], []
+    for at_once in (corpus_pipeline.PACKED_AT_ONCE, 4 << 20):
+        coder._forget()
+        tracemalloc.start()
+        own = list(packing._cut_up(batch, coder, packing.CAPACITY, 0, at_once))
+        peaks.append(tracemalloc.get_traced_memory()[1])
+        tracemalloc.stop()
+        found.append(pa.Table.from_batches(own).to_pylist())
+    assert found[0] == found[1] and len(found[0]) >= batch.num_rows
+    assert peaks[0] < 0.6 * peaks[1], peaks
